@@ -46,3 +46,23 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
        NOT (n_words < 10 OR 100 * n_repeat_words > 20 * n_words) AND NOT bad AS kept
 FROM m JOIN verdict ON m.source IS NOT DISTINCT FROM verdict.source
 """
+
+ORACLES["op10_warc"] = r"""
+WITH p AS (
+  SELECT page_id, coalesce(html, '') AS h, sha1(coalesce(html, '')) AS hex FROM pages
+), top AS (
+  SELECT hex, max(page_id) AS top FROM p GROUP BY hex
+), bits AS (
+  SELECT page_id, hex, array_to_string(list_transform(string_split(hex, ''),
+         lambda c: lpad(bin(instr('0123456789abcdef', c) - 1), 4, '0')), '') AS b FROM p
+), coded AS (
+  SELECT page_id, array_to_string(list_transform(range(0, 32),
+         lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
+              1 + CAST(list_sum(list_transform(range(0, 5), lambda j: CAST(substr(b, CAST(5 * i + j + 1 AS INT), 1) AS INT) * (16 // CAST(pow(2, j) AS INT)))) AS INT), 1)), '') AS d
+  FROM bits
+)
+SELECT p.page_id, CAST(octet_length(encode(h)) AS BIGINT) AS payload_bytes, d AS payload_digest,
+       CASE WHEN p.page_id = top THEN 'response' ELSE 'revisit' END AS record_type,
+       CASE WHEN p.page_id = top THEN NULL ELSE top END AS refers_to
+FROM p JOIN top USING (hex) JOIN coded ON coded.page_id = p.page_id
+"""

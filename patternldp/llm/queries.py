@@ -9,11 +9,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..shipping import ship
+from . import language_id, toxicity
 from .host_quality import host_quality
+from .html_text import extract
+from .media import media_columns
 from .ngram_join import ngram_classes
 from .packing import pack
-from . import toxicity as tox
 from .scratch import table
+from .sharding import place
+from .warc import read_archives, write_archives
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 
@@ -28,24 +32,58 @@ def query(f: Callable[[SparkSession, str], DataFrame]) -> Callable[[SparkSession
     return run
 
 
+def _remainder(n: int) -> F.Column:
+    return F.crc32(F.col("doc_id").cast("string")) % n
+
+
 @query
-def op3_host_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return host_quality(table(spark, sf_dir, "documents")).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+def op1_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack(table(spark, sf_dir, "documents"))
 
 
 @query
-def op9_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return ngram_classes(table(spark, sf_dir, "documents"), k=4, num=85, den=100)
+def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    scored = toxicity.toxicity(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
+    return scored.select("doc_id", (_remainder(3) == 1).alias("held_out"), "score", (F.col("score") >= toxicity.CUTOFF).cast("int").alias("predicted"))
 
 
 @query
-def op1_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pack(table(spark, sf_dir, "documents"))
+def op3_host_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    judged = host_quality(table(spark, sf_dir, "documents"))
+    return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
 @query
-def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    placed = place(table(spark, sf_dir, "documents").select("doc_id"), "doc_id", {f"shard-{i:03d}": 1 for i in range(64)})
+    return placed.select("doc_id", "slot", "shard")
+
+
+@query
+def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    scored = tox.toxicity(docs, tox.fit(docs, table(spark, sf_dir, "labels")))
-    held_out = F.crc32(F.col("doc_id").cast("string")) % 3 == 1
-    return scored.select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= tox.CUTOFF).cast("int").alias("predicted"))
+    found = language_id.identify(docs, language_id.fit(docs))
+    return found.select("doc_id", (_remainder(4) == 2).alias("held_out"), "lang_pred", "score")
+
+
+@query
+def op7_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = media_columns(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "position", "caption")
+
+
+@query
+def op8_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return extract(table(spark, sf_dir, "pages"))
+
+
+@query
+def op9_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_classes(table(spark, sf_dir, "documents"), k=4, num=85, den=100)
+
+
+@query
+def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    records = read_archives(write_archives(table(spark, sf_dir, "pages")))
+    return records.select(F.col("id").alias("page_id"), "payload_bytes", "payload_digest", "record_type", "refers_to")
