@@ -12,6 +12,7 @@ from ..shipping import ship
 from . import language_id, toxicity
 from .host_quality import host_quality
 from .html_text import extract
+from .lattice import default_model, digests, encode_documents
 from .media import media_columns
 from .ngram_join import ngram_classes
 from .packing import pack
@@ -67,6 +68,11 @@ def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", (_remainder(4) == 2).alias("held_out"), "lang_pred", "score")
 
 
+@query
+def op6_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return digests(encode_documents(table(spark, sf_dir, "documents"), default_model()))
+
+
 @query
 def op7_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = media_columns(table(spark, sf_dir, "documents"))
