@@ -6,12 +6,13 @@ the counts is below the allowed difference in every coordinate), so trees are bu
 pair can straddle:
 
 * Two sets that reach the threshold differ in at most H elements (H follows from their sizes).  Hashed into more
-  than H groups, some group holds the same tokens in both.  Documents that share a group's content, within a
-  size class, are candidates; documents that are joined by such matches form a block.
-* In each block a bulk-loaded R-tree over the count vectors finds the pairs whose bound reaches the needed
-  overlap; these are verified on the sets.  Blocks too large for one task are cut into pairs of parts.
+  than H groups, some group holds the same tokens in both.  Documents that share a group's content, within a size
+  class, form a bucket.
+* In each bucket a bulk-loaded R-tree over the count vectors finds the pairs whose bound reaches the needed overlap.
+  Documents that such pairs connect form a block, and within it a second tree leads to the pairs that are verified on
+  the sets.  Buckets and blocks too large for one task are cut into pairs of parts.
 
-No pair within a group is ever listed: group matches become stars, and links a spanning forest.
+No group's pairs are listed: a bucket passes on a spanning forest of the pairs within the bound, a block one of the links.
 Sets and groups are compared by 64-bit hashes.
 
 Defined results: null or empty texts have no set and link with nothing; a null id is kept, unlinked, with a null
@@ -20,11 +21,13 @@ component; rows of one id are one document; equal sets are one node however many
 
 from __future__ import annotations
 
+import functools
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -32,10 +35,12 @@ from .components import components
 from .scratch import materialise
 from .wordbytes import chunks, mix, shingle_sets
 
-GROUPS = 16  # coordinates of a count vector
+COORDINATES = ((200, 32), (1000, 64), (1 << 62, 256))  # of the count vectors of sets below each size; each divides the next
 LEAF = 16
 PART_DOCS, PART_SHINGLES = 512, 1 << 20  # of a part of a large block, about
-FLUSH = 1 << 20  # signatures combined before the shuffle
+SMALL_RUN = 8  # buckets up to this size are told apart by their members
+SEEN = 1 << 20  # sets that a task remembers, to leave out copies
+BUCKET_DOCS = 4096  # of a part of a large bucket
 BITMAP_BITS = 1 << 23
 CLASS_RATIO = 1.2
 SEEDS = 4  # hashings tried for sets that leave too many groups empty
@@ -115,97 +120,117 @@ def set_hash(s: np.ndarray) -> int:
     return int(_signed(mix(np.bitwise_xor.reduce(mix(s + np.uint64(1)), keepdims=True) + np.add.reduce(s, keepdims=True) + np.uint64(len(s))))[0])
 
 
-_ROW = pa.schema([("key", pa.int64()), ("a", pa.int64()), ("b", pa.int64()), ("n", pa.int64())])
-_ROW_DDL = "key long, a long, b long, n long"
+_ROW = pa.schema([("key", pa.int64()), ("a", pa.int64()), ("n", pa.int64()), ("node", pa.int64()), ("vec", pa.binary())])
+_ROW_DDL = "key long, a long, n long, node long, vec binary"
 
 
-def _emit(key, a, b, n) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in (key, a, b, n)], schema=_ROW)
+def _rows(key, a, n, node, vec) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip((key, a, n, node, vec), _ROW)], schema=_ROW)
 
 
-def _combined(key: np.ndarray, node: np.ndarray) -> pa.RecordBatch:
-    """Of rows with one key: the first goes on under it; the others become edges to it, dealt by their own hash."""
-    order = np.lexsort((node, key))
-    key, node = key[order], node[order]
-    new = np.concatenate(([True], key[1:] != key[:-1]))
-    hub = node[np.maximum.accumulate(np.where(new, np.arange(len(key)), 0))]
-    edge = (hub != node) & ~new
-    spread = _signed(mix(node[edge].view(np.uint64) + hub[edge].view(np.uint64)))
-    key = np.concatenate((key[new], spread))
-    a = np.concatenate((node[new], hub[edge]))
-    b = np.concatenate((node[new], node[edge]))
-    return _emit(key, a, b, np.full(len(key), -1))
+def _signature_rows(key: np.ndarray, node: np.ndarray) -> pa.RecordBatch:
+    m = len(key)
+    return pa.RecordBatch.from_arrays([pa.array(key), pa.array(node), *[pa.nulls(m, f.type) for f in _ROW][2:]], schema=_ROW)
 
 
 def _describe(k: int, threshold: Threshold):
-    """Rows for the shuffle: each document (id, node, size) and the signatures of each set seen first in its partition."""
+    """Rows for the shuffle: each document (id, size, set and count vector) and the signatures of each set seen first in its task."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
-        by_size: dict[int, list[tuple[int, int, int]]] = {}
-        keys: list[np.ndarray] = []
-        nodes: list[np.ndarray] = []
-        held = 0
+        classes = functools.cache(threshold.classes)
         for batch in batches:
             ids, texts = (c.to_pylist() for c in batch.columns)
             for lo, hi in chunks(texts):
-                sets = shingle_sets(texts[lo:hi], k)
-                key, a, b, n = [], [], [], []
-                for doc, s in zip(ids[lo:hi], sets):
-                    node = None
+                docs, keys, nodes = [], [], []
+                for doc, s in zip(ids[lo:hi], shingle_sets(texts[lo:hi], k)):
+                    node = vec = None
                     if len(s) and doc is not None:
                         node = set_hash(s)
                         if node not in seen:
                             seen.add(node)
-                            classes = by_size.get(len(s))
-                            if classes is None:
-                                classes = by_size[len(s)] = threshold.classes(len(s))
-                            sig = _signed(signatures(s, classes))
-                            keys.append(sig)
-                            nodes.append(np.full(len(sig), node))
-                            held += len(sig)
-                    key.append((doc or 0) * 0x9E3779B97F4A7C15 + 2**63 & 2**64 - 1)
-                    a.append(doc)
-                    b.append(node)
-                    n.append(len(s))
-                yield _emit(_signed(np.array(key, np.uint64)), a, b, n)
-                if held > FLUSH:
-                    yield _combined(np.concatenate(keys), np.concatenate(nodes))
-                    keys, nodes, held = [], [], 0
-            if len(seen) > FLUSH:
+                            vec = count_vector(s).tobytes()
+                            keys.append(_signed(signatures(s, classes(len(s)))))
+                            nodes.append(np.full(len(keys[-1]), node))
+                    docs.append(((doc or 0) * 0x9E3779B97F4A7C15 + 2**63 & 2**64 - 1, doc, len(s), node, vec))
+                key, *rest = zip(*docs)
+                yield _rows(_signed(np.array(key, np.uint64)), *rest)
+                if keys:
+                    yield _signature_rows(np.concatenate(keys), np.concatenate(nodes))
+            if len(seen) > SEEN:
                 seen.clear()
-        if held:
-            yield _combined(np.concatenate(keys), np.concatenate(nodes))
 
     return run
 
 
-def _stars(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From rows sorted by key: documents and edges as they are, and an edge from each node to its key's first."""
-    last_key = last_hub = None
-    for batch in batches:
-        key, a, n = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1, 3))
-        doc = n >= 0
-        keep = doc.copy()
-        b = batch.column(2).to_numpy(zero_copy_only=False)
-        edge = ~doc & (a != b)
-        keep |= edge
+def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """From rows sorted by key and set: documents as they are, and the members of each bucket of more than one set.
+
+    A small bucket is named by its members, so that sets that meet in many buckets are passed on once.  A large one is
+    passed on as it comes; no bucket is held.
+    """
+    big = None  # key and last member of a large bucket that goes on
+    held_k, held_v = np.empty(0, np.int64), np.empty(0, np.int64)
+
+    def out(k: np.ndarray, v: np.ndarray, last: bool) -> Iterator[pa.RecordBatch]:
+        nonlocal big, held_k, held_v
+        k, v = np.concatenate((held_k, k)), np.concatenate((held_v, v))
+        held_k = held_v = np.empty(0, np.int64)
+        if not len(k):
+            return
+        fresh = np.concatenate(([big is None or k[0] != big[0] or v[0] != big[1]], (k[1:] != k[:-1]) | (v[1:] != v[:-1])))
+        k, v = k[fresh], v[fresh]
+        if big is not None and len(k):
+            more = int(np.searchsorted(k != big[0], True)) if (k != big[0]).any() else len(k)
+            if more:
+                yield _signature_rows(k[:more], v[:more])
+                big = (big[0], int(v[more - 1]))
+            if more < len(k):
+                big = None
+            k, v = k[more:], v[more:]
+        if not len(k):
+            return
+        start = np.flatnonzero(np.concatenate(([True], k[1:] != k[:-1])))
+        size = np.diff(np.concatenate((start, [len(k)])))
+        end = len(k)
+        if not last:
+            if size[-1] <= SMALL_RUN:
+                end = int(start[-1])
+                held_k, held_v = k[end:], v[end:]
+                start, size = start[:-1], size[:-1]
+            else:
+                big = (int(k[-1]), int(v[-1]))
+        if not len(start):
+            return
+        each = np.repeat(size, size)
+        names = np.repeat(_signed(mix(np.add.reduceat(mix(v[:end].view(np.uint64)), start))), size)
+        keep = each > 1
         if keep.any():
-            yield batch.filter(pa.array(keep))
-        at = np.flatnonzero(~doc & ~edge)
-        if len(at):
-            k, v = key[at], a[at].astype(np.int64)
-            new = np.concatenate(([k[0] != last_key], k[1:] != k[:-1]))
-            starts = np.maximum.accumulate(np.where(new, np.arange(len(k)), -1))
-            hub = np.where(starts >= 0, v[starts], 0 if last_hub is None else last_hub)
-            last_key, last_hub = k[-1], int(hub[-1])
-            out = hub != v
-            if out.any():
-                yield _emit(k[out], hub[out], v[out], np.full(int(out.sum()), -1))
+            yield _signature_rows(np.where(each <= SMALL_RUN, names, k[:end])[keep], v[:end][keep])
+
+    for batch in batches:
+        doc = batch.column(2).is_valid()
+        if doc.true_count:
+            yield batch.filter(doc)
+        if doc.true_count < len(doc):
+            rest = batch.filter(pa.compute.invert(doc))
+            yield from out(rest.column(0).to_numpy(), rest.column(1).to_numpy(), False)
+    yield from out(np.empty(0, np.int64), np.empty(0, np.int64), True)
 
 
-def count_vectors(sets: list[np.ndarray]) -> np.ndarray:
-    return np.array([np.bincount((s % np.uint64(GROUPS)).astype(np.int64), minlength=GROUPS) for s in sets], np.int32).reshape(len(sets), GROUPS)
+def coordinates(n: int) -> int:
+    return next(g for most, g in COORDINATES if n < most)
+
+
+def count_vector(s: np.ndarray, groups: int | None = None) -> np.ndarray:
+    """Tokens of the set in each group; one that overflows 16 bits would be a set of millions and is held in 32."""
+    return np.bincount((s % np.uint64(groups or coordinates(len(s)))).astype(np.int64), minlength=groups or coordinates(len(s))).astype(np.uint32)
+
+
+def fold(vectors: list[np.ndarray]) -> np.ndarray:
+    """Vectors with as many coordinates as the shortest has; groups of one remainder are summed."""
+    least = min(map(len, vectors))
+    return np.array([v.reshape(-1, least).sum(0) for v in vectors], np.int32)
 
 
 class CountTree:
@@ -228,15 +253,24 @@ class CountTree:
             self.upper.append(np.array([self.upper[-1][x].max(0) for x in kids]))
             self.least.append(np.array([self.least[-1][x].min() for x in kids]))
 
-    def pairs(self, other: CountTree, threshold: Threshold) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        """Index pairs, by leaf pair, whose summed coordinate minima reach the least overlap of their sizes."""
+    def members(self, level: int, at: int) -> np.ndarray:
+        """The points below a node."""
+        if level == 0:
+            return self.levels[0][at]
+        return np.concatenate([self.members(level - 1, k) for k in self.levels[level][at]])
+
+    def pairs(self, other: CountTree, threshold: Threshold, settled: Callable[[np.ndarray, np.ndarray], bool]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Index pairs, by leaf pair, whose summed coordinate minima reach the least overlap of their sizes.
+
+        Node pairs all of whose points are ``settled`` are passed over.
+        """
         if not len(self.points) or not len(other.points):
             return
         stack = [(len(self.levels) - 1, 0, len(other.levels) - 1, 0)]
         while stack:
             i, x, j, y = stack.pop()
             bound = int(np.minimum(self.upper[i][x], other.upper[j][y]).sum())
-            if bound < threshold.overlap(int(self.least[i][x] + other.least[j][y])):
+            if bound < threshold.overlap(int(self.least[i][x] + other.least[j][y])) or settled(self.members(i, x), other.members(j, y)):
                 continue
             if i == 0 and j == 0:
                 p, q = self.levels[0][x], other.levels[0][y]
@@ -249,48 +283,53 @@ class CountTree:
                 stack.extend((i, x, j - 1, k) for k in other.levels[j][y])
 
 
-def linked_forest(sets: list[np.ndarray], side: np.ndarray, whole: bool, threshold: Threshold) -> list[tuple[int, int]]:
-    """Spanning forest of the links among ``sets``: all of them if ``whole``, else between the two sides."""
-    parent = list(range(len(sets)))
-
-    def root(x: int) -> int:
-        while parent[x] != x:
-            parent[x] = parent[parent[x]]
-            x = parent[x]
-        return x
-
+def forest(points: np.ndarray, side: np.ndarray, whole: bool, threshold: Threshold, verify: Callable[[int, int], bool]) -> list[tuple[int, int]]:
+    """Spanning forest of the pairs within the bound that ``verify`` holds for: among all points if ``whole``, else between the sides."""
+    label = np.arange(len(points))
     left = np.flatnonzero(side == 0)
     right = left if whole else np.flatnonzero(side == 1)
-    points = count_vectors(sets)
     tree = CountTree(points[left])
     other = tree if whole else CountTree(points[right])
-    found = []
-    for us, vs in tree.pairs(other, threshold):
-        for u, v in zip(left[us].tolist(), right[vs].tolist()):
-            if (whole and u >= v) or root(u) == root(v):
-                continue
-            a, b = sets[u], sets[v]
-            if len(a) > len(b):
-                a, b = b, a
-            at = np.searchsorted(b, a)
-            at[at == len(b)] = 0
-            if int((b[at] == a).sum()) >= threshold.overlap(len(a) + len(b)):
-                parent[root(u)] = root(v)
+    found: list[tuple[int, int]] = []
+
+    def settled(p: np.ndarray, q: np.ndarray) -> bool:
+        a, b = label[left[p]], label[right[q]]
+        return bool((a == a[0]).all() and (b == a[0]).all())
+
+    for us, vs in tree.pairs(other, threshold, settled):
+        us, vs = left[us], right[vs]
+        open_ = label[us] != label[vs]
+        for u, v in zip(us[open_].tolist(), vs[open_].tolist()):
+            if label[u] != label[v] and (not whole or u < v) and verify(u, v):
+                label[label == label[v]] = label[u]
                 found.append((u, v))
     return found
 
 
+def linked_forest(sets: list[np.ndarray], side: np.ndarray, whole: bool, threshold: Threshold) -> list[tuple[int, int]]:
+    """Spanning forest of the links among ``sets``."""
+
+    def linked(u: int, v: int) -> bool:
+        a, b = sets[u], sets[v]
+        if len(a) > len(b):
+            a, b = b, a
+        at = np.searchsorted(b, a)
+        at[at == len(b)] = 0
+        return int((b[at] == a).sum()) >= threshold.overlap(len(a) + len(b))
+
+    return forest(fold([count_vector(s) for s in sets]), side, whole, threshold, linked)
+
+
 _EDGE = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
 
-def _verify(k: int, threshold: Threshold):
-    """Over rows sorted by block pair: the links of each, found in memory of one block pair."""
+def _by_pair(solve: Callable[[list, np.ndarray, bool], list[tuple[int, int]]]):
+    """Over rows (name, i, j, part, node, content) sorted by name, i and j: the edges that ``solve`` finds in each."""
 
-    def solve(rows: list[tuple]) -> pa.RecordBatch:
+    def close(rows: list[tuple]) -> pa.RecordBatch:
         i, j = rows[0][1], rows[0][2]
         node = [r[4] for r in rows]
-        side = np.array([0 if r[3] == i else 1 for r in rows])
-        found = linked_forest(shingle_sets([r[5] for r in rows], k), side, i == j, threshold)
+        found = solve([r[5] for r in rows], np.array([0 if r[3] == i else 1 for r in rows]), i == j)
         return pa.RecordBatch.from_arrays([pa.array([node[u] for u, _ in found], pa.int64()), pa.array([node[v] for _, v in found], pa.int64())], schema=_EDGE)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -298,15 +337,25 @@ def _verify(k: int, threshold: Threshold):
         for batch in batches:
             for r in zip(*(c.to_pylist() for c in batch.columns)):
                 if rows and rows[0][:3] != r[:3]:
-                    yield solve(rows)
+                    if len(rows) > 1:
+                        yield close(rows)
                     rows = []
                 rows.append(r)
-        if rows:
-            yield solve(rows)
+        if len(rows) > 1:
+            yield close(rows)
 
     return run
 
 
+def _edges(placed: DataFrame, content: str, solve) -> DataFrame:
+    """``placed`` has ``name``, ``node``, ``parts`` and ``content``; every two parts of a name meet in one task."""
+    parts = int(placed.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    meets = F.expr("transform(sequence(0L, parts - 1), p -> struct(least(part, p) AS i, greatest(part, p) AS j))")
+    spread = placed.withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts"))).select("name", "part", "node", content, F.explode(meets).alias("m"))
+    pairs = spread.select("name", F.col("m.i").alias("i"), F.col("m.j").alias("j"), "part", "node", content)
+    return pairs.repartition(parts, "name", "i", "j").sortWithinPartitions("name", "i", "j", "node").mapInArrow(_by_pair(solve), "a long, b long")
+
+
 def _bitmap(ids: DataFrame) -> bytes:
     """Bits of the hashed ids: 1 MB whatever their number; false positives only cost a larger shuffle."""
     h = ids.select((F.pmod(F.xxhash64("id"), F.lit(BITMAP_BITS)) + 1).alias("h"))  # the functions count bits from 1
@@ -338,21 +387,28 @@ def ngram_classes(docs: DataFrame, key: str = "doc_id", text: str = "text", k: i
     """``key``, ``n_shingles`` and ``component_id`` (least key reachable by links) of every document."""
     threshold = Threshold(num, den)
     src = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"))
-    dealt = src.mapInArrow(_describe(k, threshold), _ROW_DDL)
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    rows = materialise(dealt.repartition(parts, "key").sortWithinPartitions("key", "a").mapInArrow(_stars, _ROW_DDL), "ngram-rows")
-    described = rows.where("n >= 0").select(F.col("a").alias("id"), F.col("b").alias("node"), "n")
+    dealt = src.mapInArrow(_describe(k, threshold), _ROW_DDL).repartition(parts, "key").sortWithinPartitions("key", "a")
+    rows = materialise(dealt.mapInArrow(_buckets, _ROW_DDL), "ngram-rows")
+    described = rows.where("n is not null").select(F.col("a").alias("id"), "node", "n")
     firsts = described.where("node is not null").groupBy("node").agg(F.min("id").alias("id"), F.max("n").alias("n"))
-    blocks = components(rows.where("n < 0").select("a", "b"))
-    members = materialise(blocks.join(firsts, "node").select("node", F.col("label").alias("block"), "id", "n"), "ngram-members")
-    sizes = members.groupBy("block").agg(F.greatest(F.ceil(F.count("*") / PART_DOCS), F.ceil(F.sum("n") / PART_SHINGLES)).cast("long").alias("parts"))
-    placed = members.join(sizes, "block").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")))
-    meets = F.expr("transform(sequence(0L, parts - 1), p -> struct(least(part, p) AS i, greatest(part, p) AS j))")
-    spread = placed.join(_texts_of(src, members), "id").select("block", "part", "node", "text", F.explode(meets).alias("m"))
-    pairs = spread.select("block", F.col("m.i").alias("i"), F.col("m.j").alias("j"), "part", "node", "text")
-    links = materialise(pairs.repartition(parts, "block", "i", "j").sortWithinPartitions("block", "i", "j", "node").mapInArrow(_verify(k, threshold), "a long, b long"), "ngram-links")
+    vectors = rows.where("vec is not null").groupBy("node").agg(F.min("vec").alias("vec"))
+
+    def within_bound(vecs: list[bytes], side: np.ndarray, whole: bool) -> list[tuple[int, int]]:
+        return forest(fold([np.frombuffer(v, np.uint32) for v in vecs]), side, whole, threshold, lambda u, v: True)
+
+    buckets = rows.where("n is null").select(F.col("key").alias("name"), F.col("a").alias("node")).distinct()
+    sizes = buckets.groupBy("name").agg(F.ceil(F.count("*") / BUCKET_DOCS).cast("long").alias("parts"))
+    blocks = components(_edges(buckets.join(sizes, "name").join(vectors, "node"), "vec", within_bound))
+    members = materialise(blocks.join(firsts, "node").select("node", F.col("label").alias("name"), "id", "n"), "ngram-members")
+    sizes = members.groupBy("name").agg(F.greatest(F.ceil(F.count("*") / PART_DOCS), F.ceil(F.sum("n") / PART_SHINGLES)).cast("long").alias("parts"))
+
+    def verified(texts: list[str], side: np.ndarray, whole: bool) -> list[tuple[int, int]]:
+        return linked_forest(shingle_sets(texts, k), side, whole, threshold)
+
+    links = materialise(_edges(members.join(sizes, "name").join(_texts_of(src, members), "id"), "text", verified), "ngram-links")
     labels = components(links)
-    of_label = labels.join(firsts, labels["node"] == firsts["node"]).groupBy("label").agg(F.min("id").alias("least"))
+    of_label = labels.join(firsts, "node").groupBy("label").agg(F.min("id").alias("least"))
     answer = firsts.join(labels, "node", "left").join(of_label, "label", "left").select("node", F.coalesce("least", "id").alias("component_id"))
     return described.join(answer, "node", "left").select(F.col("id").alias(key), F.col("n").alias("n_shingles"), F.coalesce("component_id", "id").alias("component_id"))
 
