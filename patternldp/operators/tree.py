@@ -115,8 +115,8 @@ def path_dp(graph: Graph, runs: DataFrame, k: int, noise: Noise | None = None) -
 
 
 def mark_stats(graph: Graph, runs: DataFrame, tree: RootedPattern) -> DataFrame:
-    """``run``, ``kind`` (node or arc), ``child``, ``vertex``, ``n``: nodes by mark, kept arcs by pair of marks."""
-    nodes = marked_nodes(graph, runs, tree).groupBy("run", "vertex").agg(F.count("*").alias("n")).select("run", F.lit("node").alias("kind"), F.lit(None).cast("int").alias("child"), "vertex", "n")
+    """``run``, ``kind`` (node or arc), ``child`` (-1 for nodes), ``vertex``, ``n``: nodes by mark, kept arcs by pair of marks."""
+    nodes = marked_nodes(graph, runs, tree).groupBy("run", "vertex").agg(F.count("*").alias("n")).select("run", F.lit("node").alias("kind"), F.lit(-1).alias("child"), "vertex", "n")
     arcs = kept_arcs(graph, runs, tree).groupBy("run", "child", "vertex").agg(F.count("*").alias("n")).select("run", F.lit("arc").alias("kind"), "child", "vertex", "n")
     return nodes.union(arcs)
 
