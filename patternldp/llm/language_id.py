@@ -24,7 +24,7 @@ SAMPLE = 1500
 MOST_LANGUAGES = 500
 BITS = 15
 STEPS = 8
-SMOOTHING = 0.5
+SMOOTHING = 0.02  # share of the corpus's distribution in each language's
 LARGEST_SET = 3
 LEAST_SHARE = 0.02
 UNKNOWN = "und"
@@ -67,8 +67,9 @@ class LanguageModel:
     def __init__(self, languages: list[str], counts: np.ndarray):
         """``counts``: trigrams by language and bucket."""
         self.languages = languages
-        p = counts + SMOOTHING * (counts.sum(0) + 1) / max(1.0, counts.sum()) * counts.shape[1]
-        self.p = (p / p.sum(1, keepdims=True)).T if len(languages) else np.empty((1 << BITS, 0))
+        corpus = (counts.sum(0) + 0.1) / (counts.sum() + 0.1 * counts.shape[1])
+        own = counts / np.maximum(1.0, counts.sum(1, keepdims=True))
+        self.p = ((1 - SMOOTHING) * own + SMOOTHING * corpus).T if len(languages) else np.empty((1 << BITS, 0))
 
     @classmethod
     def fit(cls, rows: list[tuple[str, str]]) -> LanguageModel:

@@ -72,7 +72,7 @@ class ArchiveWriter:
         fs, at = file_system(path)
         fs.create_dir(at.rsplit("/", 1)[0], recursive=True)
         self.path, self.records, self.bytes = path, 0, 0
-        self.out = fs.open_output_stream(at)
+        self.out = fs.open_output_stream(at, compression=None)
         self.frames = zstandard.ZstdCompressor(level=LEVEL, dict_data=zstandard.ZstdCompressionDict(dictionary) if dictionary else None, write_checksum=True, write_content_size=True)
         if dictionary:
             self._put(struct.pack("<II", SKIPPABLE, len(dictionary)) + dictionary)
@@ -100,7 +100,7 @@ def _exactly(stream, n: int) -> bytes:
 def frames(path: str) -> Iterator[bytes]:
     """The content of each frame but the dictionary's; holds one record and one block of the file."""
     fs, at = file_system(path)
-    with fs.open_input_stream(at) as stream:
+    with fs.open_input_stream(at, compression=None) as stream:
         held = stream.read(8)
         dictionary = None
         if len(held) == 8 and struct.unpack("<I", held[:4])[0] == SKIPPABLE:
