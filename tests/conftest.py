@@ -34,8 +34,3 @@ def duck(sf):
     for t in TABLES:
         c.sql(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
     return c
-
-
-def rows(df):
-    df = df[sorted(df.columns)]
-    return sorted(map(repr, df.astype(object).where(df.notna(), None).itertuples(index=False, name=None)))

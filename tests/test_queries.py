@@ -1,7 +1,7 @@
 """Queries against their SQL on the smallest tables: all relational ones, and a selection of the others."""
 
 import pytest
-from conftest import rows
+from compare import rows
 
 from patternldp.queries import flagship, methods, relational, streams
 from patternldp.sqlapi import parse_call
