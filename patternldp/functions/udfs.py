@@ -12,13 +12,16 @@ from pyspark.sql import functions as F
 from .pattern import Pattern
 
 
-@F.pandas_udf("double")
-def laplace_np(u: pd.Series, scale: pd.Series) -> pd.Series:
+def laplace_numpy(u: pd.Series, scale: pd.Series) -> pd.Series:
     """Laplace noise from uniforms, in numpy; the column form in ``noise`` stays in the JVM."""
     c = u - 0.5
     return -scale * np.sign(c) * np.log1p(-2 * np.abs(c))
 
 
+def laplace_np(u: Column, scale: Column) -> Column:
+    return F.pandas_udf(laplace_numpy, "double")(u, scale)
+
+
 def trimmed(values: Column, dropped: int = 2) -> Column:
     """A grouped aggregate as a pandas function: the mean without the extremes."""
 
@@ -49,7 +52,6 @@ def grouped_paths(arcs: DataFrame, group: str, k: int) -> DataFrame:
     return arcs.groupBy(group).applyInPandas(count, f"{group} long, ordered long")
 
 
-@F.udtf(returnType="n int, trees int, automorphisms string")
 class FreeTrees:
     """The number of tree shapes on 1 to ``most`` vertices and their automorphism counts."""
 
@@ -59,7 +61,6 @@ class FreeTrees:
             yield n, len(trees), ",".join(map(str, sorted(t.automorphisms for t in trees)))
 
 
-@F.udtf(returnType="method string, bytes double")
 class CommModel:
     """Bytes of each method for a graph's size and a pattern's."""
 
@@ -75,6 +76,6 @@ class CommModel:
 
 
 def register(spark: SparkSession) -> None:
-    spark.udtf.register("free_trees", FreeTrees)
-    spark.udtf.register("comm_model", CommModel)
-    spark.udf.register("laplace_np", laplace_np)
+    spark.udtf.register("free_trees", F.udtf(FreeTrees, returnType="n int, trees int, automorphisms string"))
+    spark.udtf.register("comm_model", F.udtf(CommModel, returnType="method string, bytes double"))
+    spark.udf.register("laplace_np", F.pandas_udf(laplace_numpy, "double"))

@@ -225,23 +225,32 @@ add("agg_mode_type", on("events")(lambda e: e.groupBy("event_type").count().orde
 # Windows, order, sets.
 _DEG = sql.graph("trade")
 _T = lambda f: lambda s, d: f(view(s, d, "trade").degrees())
-_BY = Window.partitionBy(F.pmod("id", F.lit(8))).orderBy(F.desc("degree"), "id")
+def _by():
+    return Window.partitionBy(F.pmod("id", F.lit(8))).orderBy(F.desc("degree"), "id")
+
+
 _BYS = "OVER (PARTITION BY id % 8 ORDER BY d DESC, id)"
 add("win_rank_hubs", _T(lambda x: x.select("id", F.rank().over(Window.partitionBy(F.pmod("id", F.lit(8))).orderBy(F.desc("degree"))).alias("r"))), _DEG + "\nSELECT id, CAST(rank() OVER (PARTITION BY id % 8 ORDER BY d DESC) AS INT) AS r FROM deg")
 add("win_dense_rank", _T(lambda x: x.select("id", F.dense_rank().over(Window.partitionBy(F.pmod("id", F.lit(8))).orderBy(F.desc("degree"))).alias("r"))), _DEG + "\nSELECT id, CAST(dense_rank() OVER (PARTITION BY id % 8 ORDER BY d DESC) AS INT) AS r FROM deg")
-add("win_ntile_degree", _T(lambda x: x.select("id", F.ntile(4).over(_BY).alias("q"))), _DEG + f"\nSELECT id, CAST(ntile(4) {_BYS} AS INT) AS q FROM deg")
-add("win_percent_rank", _T(lambda x: x.select("id", F.round(F.percent_rank().over(_BY), 9).alias("p"), F.round(F.cume_dist().over(_BY), 9).alias("c"))), _DEG + f"\nSELECT id, round(percent_rank() {_BYS}, 9) AS p, round(cume_dist() {_BYS}, 9) AS c FROM deg")
-_U = Window.partitionBy("user_id").orderBy("ts", "event_id")
+add("win_ntile_degree", _T(lambda x: x.select("id", F.ntile(4).over(_by()).alias("q"))), _DEG + f"\nSELECT id, CAST(ntile(4) {_BYS} AS INT) AS q FROM deg")
+add("win_percent_rank", _T(lambda x: x.select("id", F.round(F.percent_rank().over(_by()), 9).alias("p"), F.round(F.cume_dist().over(_by()), 9).alias("c"))), _DEG + f"\nSELECT id, round(percent_rank() {_BYS}, 9) AS p, round(cume_dist() {_BYS}, 9) AS c FROM deg")
+def _user():
+    return Window.partitionBy("user_id").orderBy("ts", "event_id")
+
+
 _US = "OVER (PARTITION BY user_id ORDER BY ts, event_id)"
-add("win_lag_lead_handoff", on("events")(lambda e: e.select("event_id", F.lag("event_id").over(_U).alias("before"), F.lead("event_id").over(_U).alias("after")).fillna(-1)), f"SELECT event_id, coalesce(lag(event_id) {_US}, -1) AS before, coalesce(lead(event_id) {_US}, -1) AS after FROM events")
-add("win_first_last", on("events")(lambda e: e.select("event_id", F.first("event_type").over(_U).alias("first"), F.last("event_type").over(_U.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("last"))), f"SELECT event_id, first_value(event_type) {_US} AS first, last_value(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS last FROM events")
-add("win_running_sum", on("events")(lambda e: e.select("event_id", F.count("*").over(_U.rowsBetween(Window.unboundedPreceding, 0)).alias("n"))), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS n FROM events")
-add("win_rows_frame", on("events")(lambda e: e.select("event_id", F.min("event_id").over(_U.rowsBetween(-2, 2)).alias("m"))), "SELECT event_id, min(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS m FROM events")
-_DAY = Window.partitionBy("user_id").orderBy("day").rangeBetween(-2, 0)
-add("win_range_frame_days", on("events")(lambda e: e.withColumn("day", F.datediff(F.to_date("ts"), F.lit("2024-01-01"))).select("event_id", F.count("*").over(_DAY).alias("n"))), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) RANGE BETWEEN 2 PRECEDING AND CURRENT ROW) AS n FROM events")
+add("win_lag_lead_handoff", on("events")(lambda e: e.select("event_id", F.lag("event_id").over(_user()).alias("before"), F.lead("event_id").over(_user()).alias("after")).fillna(-1)), f"SELECT event_id, coalesce(lag(event_id) {_US}, -1) AS before, coalesce(lead(event_id) {_US}, -1) AS after FROM events")
+add("win_first_last", on("events")(lambda e: e.select("event_id", F.first("event_type").over(_user()).alias("first"), F.last("event_type").over(_user().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("last"))), f"SELECT event_id, first_value(event_type) {_US} AS first, last_value(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS last FROM events")
+add("win_running_sum", on("events")(lambda e: e.select("event_id", F.count("*").over(_user().rowsBetween(Window.unboundedPreceding, 0)).alias("n"))), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS n FROM events")
+add("win_rows_frame", on("events")(lambda e: e.select("event_id", F.min("event_id").over(_user().rowsBetween(-2, 2)).alias("m"))), "SELECT event_id, min(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS m FROM events")
+def _days():
+    return Window.partitionBy("user_id").orderBy("day").rangeBetween(-2, 0)
+
+
+add("win_range_frame_days", on("events")(lambda e: e.withColumn("day", F.datediff(F.to_date("ts"), F.lit("2024-01-01"))).select("event_id", F.count("*").over(_days()).alias("n"))), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) RANGE BETWEEN 2 PRECEDING AND CURRENT ROW) AS n FROM events")
 add("win_row_number_trim", on("lineitem")(lambda x: trimmed_mean(x.select("l_returnflag", F.col("l_quantity").alias("q")), "q", ["l_returnflag"], 100).select("l_returnflag", F.round("trimmed", 9).alias("trimmed"))), "SELECT l_returnflag, round(avg(q), 9) AS trimmed FROM (SELECT l_returnflag, l_quantity AS q, row_number() OVER (PARTITION BY l_returnflag ORDER BY l_quantity) AS r, count(*) OVER (PARTITION BY l_returnflag) AS n FROM lineitem) WHERE r > 100 AND r <= n - 100 GROUP BY l_returnflag")
 add("topk_hubs", lambda s, d: view(s, d, "supply").degrees().orderBy(F.desc("degree"), "id").limit(10), sql.graph("supply") + "\nSELECT id, d AS degree FROM deg ORDER BY d DESC, id LIMIT 10")
-add("topk_per_kind", _T(lambda x: x.withColumn("r", F.row_number().over(_BY)).where("r <= 3").select("id", "degree", "r")), _DEG + f"\nSELECT id, d AS degree, CAST(r AS INT) AS r FROM (SELECT *, row_number() {_BYS} AS r FROM deg) WHERE r <= 3")
+add("topk_per_kind", _T(lambda x: x.withColumn("r", F.row_number().over(_by())).where("r <= 3").select("id", "degree", "r")), _DEG + f"\nSELECT id, d AS degree, CAST(r AS INT) AS r FROM (SELECT *, row_number() {_BYS} AS r FROM deg) WHERE r <= 3")
 add("sort_multi_nulls", on("events")(lambda e: e.groupBy(F.when(F.col("event_type") != "view", F.col("event_type")).alias("k")).agg(F.count("*").alias("n")).orderBy(F.col("k").asc_nulls_last(), F.desc("n"))), "SELECT CASE WHEN event_type <> 'view' THEN event_type END AS k, count(*) AS n FROM events GROUP BY 1 ORDER BY 1 NULLS LAST, 2 DESC")
 add("limit_offset", on("part")(lambda p: p.select("p_partkey").orderBy("p_partkey").offset(5).limit(7)), "SELECT p_partkey FROM part ORDER BY p_partkey LIMIT 7 OFFSET 5")
 _A = lambda f: lambda s, d: f(view(s, d, "supply").arcs, view(s, d, "supply_sparse").arcs)
