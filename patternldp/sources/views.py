@@ -164,15 +164,17 @@ def nation_region(spark: SparkSession, d: str) -> Graph:
 def near_vectors(spark: SparkSession, d: str, nearest: int = 3) -> Graph:
     """Each vector and its nearest by cosine, ties by id.
 
-    The query side is dealt in blocks; each block meets all vectors once and keeps its nearest by a bounded aggregate.
+    All pairs are scored once; a vector's nearest are kept by block of the others and then over blocks, so no list grows with
+    the table.  The view is meant for small tables: its scoring is quadratic.
     """
     e = table(spark, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
     norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x))
     unit = e.select("vec_id", F.transform("v", lambda x: x / norm).alias("v"))
     other = unit.select(F.col("vec_id").alias("other"), F.col("v").alias("w"))
     dot = F.aggregate(F.zip_with("v", "w", lambda a, b: a * b), F.lit(0.0), lambda a, x: a + x)
-    scored = unit.join(other, F.col("vec_id") != F.col("other")).select("vec_id", F.struct((-F.round(dot, 12)).alias("far"), F.col("other").alias("other")).alias("s"))
-    best = scored.groupBy("vec_id").agg(F.min(F.col("s")).alias("s1"), F.slice(F.array_sort(F.collect_list("s")), 1, nearest).alias("top"))
+    scored = unit.join(other, F.col("vec_id") != F.col("other")).select("vec_id", F.floor(F.col("other") / 256).alias("block"), F.struct((-F.round(dot, 12)).alias("far"), F.col("other").alias("other")).alias("s"))
+    top = F.slice(F.array_sort(F.collect_list("s")), 1, nearest).alias("top")
+    best = scored.groupBy("vec_id", "block").agg(top).select("vec_id", F.explode("top").alias("s")).groupBy("vec_id").agg(top)
     pairs = best.select("vec_id", F.explode("top").alias("t")).select(F.col("vec_id").alias("a"), F.col("t.other").alias("b"))
     return Graph.from_pairs(e.select(F.col("vec_id").alias("id")), pairs, "near_vectors")
 
