@@ -19,12 +19,13 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .arrowmap import map_texts
+from .scratch import release_memory
 from .wordbytes import chunks, mix, word_hashes
-from pyspark.sql import types as T
 
-SAMPLE = 2500
+SAMPLE = 1500
 CUTOFF = 0.7
 BITS, LEARNED_BITS, LEARNED = 17, 12, 4
 PREFIXES = (4, 5, 6, 7, 8)
@@ -70,15 +71,15 @@ def featurise(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, np.ndarr
     blob = _LETTER[np.frombuffer(b" ".join(enc) + b" " * (max(PREFIXES) + 1), np.uint8)]
     h, start = word_hashes(blob)
     first = np.searchsorted(start, begin)
-    buckets = np.empty((len(h), FIXED), np.int64)
-    buckets[:, 0] = (h >> np.uint64(64 - BITS)).astype(np.int64)
+    buckets = np.empty((len(h), FIXED), np.int32)
+    buckets[:, 0] = (h >> np.uint64(64 - BITS)).astype(np.int32)
     p, alive = np.zeros(len(h), np.uint64), np.ones(len(h), bool)
     for j in range(max(PREFIXES)):
         b = blob[start + j]
         alive &= b != 32
         p = p * np.uint64(257) + np.where(alive, b, 0).astype(np.uint64)
         if j + 1 in PREFIXES:
-            buckets[:, 1 + PREFIXES.index(j + 1)] = (mix(p + np.uint64(j)) >> np.uint64(64 - BITS)).astype(np.int64)
+            buckets[:, 1 + PREFIXES.index(j + 1)] = (mix(p + np.uint64(j)) >> np.uint64(64 - BITS)).astype(np.int32)
     keys, rows = _function_table()
     at = np.minimum(np.searchsorted(keys, h), len(keys) - 1)
     hit = np.where((keys[at] == h)[:, None], rows[at], 0)
@@ -136,14 +137,15 @@ class ToxicityModel:
             ok = count >= w
             if ok.any():
                 for j in range(1, w):  # windows that reach into the next text
-                    r[first[1:][ok & (first[1:] - j < len(r))] - j] = -np.inf
+                    at = first[1:] - j
+                    r[at[(at >= first[:-1]) & (at < len(r))]] = -np.inf
                 starts = first[:-1][ok]
                 best[ok] = np.maximum(np.maximum.reduceat(r, starts, axis=0), 0)
             parts.append(best)
         return np.concatenate(parts, 1) @ self.out + self.bias
 
     def fit(self, texts: list[str], labels: list[int]) -> ToxicityModel:
-        y = np.array(labels)
+        y = np.array(labels, np.int64)
         self.n = np.bincount(y, minlength=2).astype(float)
         if not len(y) or not self.n.all():
             return self
@@ -249,7 +251,10 @@ def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, key:
 def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> ToxicityModel:
     """Fitted on labelled rows whose crc32 of the id as text is not 1 modulo 3."""
     rows = training_rows(docs, labels, sample, learnable=F.crc32(F.col("doc_id").cast("string")) % 3 != 1)
-    return ToxicityModel().fit([t for t, _ in rows], [y for _, y in rows])
+    model = ToxicityModel().fit([t for t, _ in rows], [y for _, y in rows])
+    del rows
+    release_memory()
+    return model
 
 
 def toxicity(docs: DataFrame, model: ToxicityModel, key: str = "doc_id", text: str = "text") -> DataFrame:
