@@ -18,11 +18,13 @@ the unknown piece if the model has none; decoding gives back every text but for
 from __future__ import annotations
 
 import heapq
+import math
 import re
 import zlib
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import chain
 
 import numpy as np
 import public_tokenizers
@@ -33,6 +35,9 @@ from pyspark.sql import functions as F
 SPACE = "▁"
 COMMON, COMMON_OF_PARTITION, COMMON_CHARS = 50_000, 20_000, 32
 CACHE = 200_000  # words folded in place that a worker remembers
+COUNTED = 300_000  # words that a task counts at a time, before it keeps the more frequent
+SHORT = 48
+_remembered: dict[str, Folded] = {}  # by model, in a worker
 _WORD = re.compile(f"\n|{SPACE}*[^{SPACE}\n]+|{SPACE}+")
 
 
@@ -104,10 +109,38 @@ def viterbi_fold(lattices: DataFrame, penalty: float = -1e6) -> DataFrame:
     return best.select("word", F.expr(back).alias("path"))
 
 
+def merge_short(word: str, table: PieceTable) -> list[int]:
+    """The merge fold of a short word: the pairs' scores stand in a list, of which the first greatest is merged."""
+    get, none = table.pieces.get, (-1, -math.inf)
+    part = list(word)
+    score = [get(a + b, none)[1] for a, b in zip(part, part[1:])]
+    while score:
+        best = max(score)
+        if best == -math.inf:
+            break
+        i = score.index(best)
+        part[i] += part.pop(i + 1)
+        score.pop(i)
+        if i < len(score):
+            score[i] = get(part[i] + part[i + 1], none)[1]
+        if i:
+            score[i - 1] = get(part[i - 1] + part[i], none)[1]
+    out: list[int] = []
+    for p in part:
+        hit = get(p)
+        if hit is None:
+            out += table.uncovered(p)
+        else:
+            out.append(hit[0])
+    return out
+
+
 def merge_word(word: str, table: PieceTable) -> list[int]:
     """The merge fold of one word in place, in time near its length."""
     get = table.pieces.get
     n = len(word)
+    if n <= SHORT:
+        return merge_short(word, table)
     part: list[str | None] = list(word)
     after, before = list(range(1, n + 1)), list(range(-1, n - 1))
     heap: list[tuple[float, int, int, str]] = []
@@ -144,12 +177,34 @@ def merge_word(word: str, table: PieceTable) -> list[int]:
     return out
 
 
-def decode(ids: list[int], table: PieceTable) -> str:
-    raw = {i: b for b, i in table.bytes.items()}
-    out = bytearray()
-    for i in ids:
-        out += bytes([raw[i]]) if i in raw else table.names[i].encode()
-    text = out.decode("utf-8", "replace").replace(SPACE, " ")
+class Folded(dict):
+    """Ids of words: those folded beforehand, and up to ``CACHE`` more that are folded when first asked for.
+
+    Values are tuples of numbers, which the garbage collector does not follow.
+    """
+
+    def __init__(self, table: PieceTable, known: dict[str, list[int]]):
+        super().__init__((w, tuple(ids)) for w, ids in known.items())
+        self.table, self.most = table, len(known) + CACHE
+
+    def __missing__(self, word: str) -> tuple[int, ...]:
+        ids = tuple(merge_word(word, self.table))
+        if len(self) < self.most:
+            self[word] = ids
+        return ids
+
+
+def piece_bytes(table: PieceTable) -> list[bytes]:
+    """What each id stands for, in UTF-8."""
+    out = [n.encode() for n in table.names]
+    for b, i in table.bytes.items():
+        out[i] = bytes([b])
+    return out
+
+
+def decode(ids: list[int], table: PieceTable, units: list[bytes] | None = None) -> str:
+    units = units or piece_bytes(table)
+    text = b"".join([units[i] for i in ids]).decode("utf-8", "replace").replace(SPACE, " ")
     return text[1:] if text[:1] == " " else text
 
 
@@ -160,8 +215,8 @@ def common_words(docs: DataFrame, text: str = "text", most: int = COMMON) -> Dat
         for batch in batches:
             for t in batch.column(0).to_pylist():
                 seen.update(words(t) if t else ())
-                if len(seen) > 10 * CACHE:
-                    seen = Counter(dict(seen.most_common(CACHE)))
+                if len(seen) > COUNTED:
+                    seen = Counter(dict(seen.most_common(COUNTED // 4)))
         top = [(w, c) for w, c in seen.most_common(COMMON_OF_PARTITION) if len(w) <= COMMON_CHARS and w.strip(SPACE + "\n")]
         yield pa.RecordBatch.from_arrays([pa.array([w for w, _ in top], pa.string()), pa.array([c for _, c in top], pa.int64())], names=["word", "n"])
 
@@ -184,26 +239,19 @@ def encode_documents(docs: DataFrame, model: str, key: str = "doc_id", text: str
     kind = src.schema["_key"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, folded = sent.value
-        here: dict[str, list[int]] = {}
+        if model not in _remembered:
+            _remembered[model] = Folded(*sent.value)
+        ids_of = _remembered[model].__getitem__
+        units = piece_bytes(sent.value[0])
 
         def encode(t: str | None) -> list[int]:
-            ids: list[int] = []
-            for w in words(t) if t else ():
-                found = folded.get(w) or here.get(w)
-                if found is None:
-                    found = merge_word(w, table)
-                    if len(here) >= CACHE:
-                        here.clear()
-                    here[w] = found
-                ids += found
-            return ids
+            return list(chain.from_iterable(map(ids_of, words(t)))) if t else []
 
         for batch in batches:
             keys, texts = batch.column(0), batch.column(1).to_pylist()
             for lo in range(0, len(texts), 256):
                 ids = [encode(t) for t in texts[lo : lo + 256]]
-                yield pa.RecordBatch.from_arrays([keys[lo : lo + 256], pa.array(ids, pa.list_(pa.int32())), pa.array([decode(i, table) for i in ids])], names=["_key", "ids", "decoded"])
+                yield pa.RecordBatch.from_arrays([keys[lo : lo + 256], pa.array(ids, pa.list_(pa.int32())), pa.array([decode(i, table, units) for i in ids])], names=["_key", "ids", "decoded"])
 
     return src.mapInArrow(run, f"_key {kind}, ids array<int>, decoded string").withColumnRenamed("_key", key)
 
