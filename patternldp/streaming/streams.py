@@ -22,10 +22,15 @@ from ..sources.scratch import fresh_path
 from ..sources.views import Graph
 
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
+CLOSING = "30 days"
 
 
-def event_stream(spark: SparkSession, sf_dir: str, files: int = 1) -> DataFrame:
-    """The events as a stream of files, a week each, in the order of time; ``ts`` as a timestamp."""
+def event_stream(spark: SparkSession, sf_dir: str, files: int = 1, closing: bool = False) -> DataFrame:
+    """The events as a stream of files, a week each, in the order of time; ``ts`` as a timestamp.
+
+    ``closing`` adds a last file with one row of nulls ``CLOSING`` after the last event: it moves watermarks past all windows
+    and sessions of events, while its own window stays open and is never written.
+    """
     path = f"{sf_dir}/events.parquet"
     schema = spark.read.parquet(path).schema
     reader = spark.readStream.schema(schema).option("maxFilesPerTrigger", files)
@@ -34,6 +39,10 @@ def event_stream(spark: SparkSession, sf_dir: str, files: int = 1) -> DataFrame:
     for w in range(5):  # one after the other, so that files are taken in the order of time
         rows = spark.read.parquet(path)
         rows.where((week <= 0) if w == 0 else (week >= 4) if w == 4 else week == w).coalesce(1).write.mode("append").parquet(folder)
+    if closing:
+        last = spark.read.parquet(path).agg(F.max("ts").alias("ts")).where("ts IS NOT NULL")
+        row = [(F.col("ts") + F.expr(f"INTERVAL {CLOSING}") if f.name == "ts" else F.lit(None)).cast(f.dataType).alias(f.name) for f in schema]
+        last.select(*row).coalesce(1).write.mode("append").parquet(folder)
     return reader.parquet(folder).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
@@ -67,7 +76,9 @@ def tumbling_counts(events: DataFrame, width: str = "1 day", delay: str = "1 day
 
 
 def sliding_users(events: DataFrame, width: str = "2 days", slide: str = "1 day", delay: str = "1 day") -> DataFrame:
-    return events.withWatermark("ts", delay).groupBy(F.window("ts", width, slide).alias("w")).agg(F.approx_count_distinct("user_id", 0.01).alias("users"), F.count("*").alias("n")).select(F.col("w.start").alias("start"), "n")
+    """``start``, ``users`` (distinct, exact) and ``n`` of each window; the state holds a row for each user of an open window."""
+    each = events.withWatermark("ts", delay).groupBy(F.window("ts", width, slide).alias("w"), "user_id").agg(F.count("*").alias("n"))
+    return each.groupBy("w").agg(F.count("user_id").alias("users"), F.sum("n").alias("n")).select(F.col("w.start").alias("start"), "users", "n")
 
 
 def user_sessions(events: DataFrame, gap: str = "6 hours", delay: str = "1 day") -> DataFrame:

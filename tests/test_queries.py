@@ -35,6 +35,17 @@ def test_streams_and_functions(name, spark, sf, duck):
     check(streams, name, spark, sf, duck)
 
 
+@pytest.mark.parametrize("name", ["stream_tumbling_pairs_all", "stream_sliding_users_all", "stream_session_users_all"])
+def test_streams_return_every_window(name, spark, sf, duck):
+    """Against SQL over all events, the last days included."""
+    check(streams, name, spark, sf, duck)
+
+
+@pytest.mark.parametrize("name", ["stream_tumbling_pairs", "stream_sliding_users", "stream_session_users"])
+def test_streams_by_date(name, spark, sf, duck):
+    check(streams, name, spark, sf, duck)
+
+
 def test_sql_calls():
     assert parse_call("walk", "'trade', 3, 1.0") == ("walk", "trade", 3, 1.0, 42)
     with pytest.raises(ValueError):
