@@ -52,6 +52,7 @@ def trigrams(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, np.ndarra
     code = np.where(good, code, 32)
     doc = np.repeat(np.arange(len(parts)), sizes)
     keep = good | np.concatenate(([True], good[:-1]))  # of a run of others, the first
+    keep[begin[:-1]] = True  # a run ends where its text does
     code, doc, good = code[keep].astype(np.uint64), doc[keep], good[keep]
     has = np.bincount(doc[good], minlength=len(parts)) > 0
     if len(code) < 3:

@@ -249,6 +249,20 @@ def test_language_mixtures_and_edges(docs, empty):
     assert language_id.identify(empty, m).count() == 0 and language_id.fit(empty).predict(["x"])[0] == ["und"]
 
 
+def test_languages_do_not_depend_on_batches():
+    m = language_id.LanguageModel.fit([("the quick brown fox is a dog ", "en"), ("der schnelle braune fuchs à", "de")])
+    texts = ["A.", "the fox", "123 !?", "A.", "é", "the fox", "", None, " ", "A.", "der fuchs and the dog"]
+    names, scores, shares = m.predict(texts)
+    for t, name, score, share in zip(texts, names, scores, shares):
+        (one,), (alone,), own = m.predict([t])
+        assert (one, alone) == (name, score) and np.allclose(own[0], share)
+        assert (name == "und") == (not any(c.isalpha() for c in t or ""))
+    for t in texts:  # trigrams of each text, wherever it stands
+        bucket, count, first, _ = language_id.trigrams(["x", t])
+        own, times, _, _ = language_id.trigrams([t])
+        assert bucket[first[1] :].tolist() == own.tolist() and count[first[1] :].tolist() == times.tolist()
+
+
 # Sharding.
 def test_lookup_table():
     shards = {f"s{i}": 1 for i in range(7)}
