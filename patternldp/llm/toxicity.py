@@ -25,7 +25,7 @@ from .arrowmap import map_texts
 from .scratch import release_memory
 from .wordbytes import chunks, mix, word_hashes
 
-SAMPLE = 1500
+SAMPLE = 2500
 CUTOFF = 0.7
 BITS, LEARNED_BITS, LEARNED = 17, 12, 4
 PREFIXES = (4, 5, 6, 7, 8)
@@ -90,6 +90,22 @@ def featurise(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, np.ndarr
     return buckets, first, lang
 
 
+class Vocabulary:
+    """Numbers for words that differ in a bucket, so that a document to learn from is four bytes a word."""
+
+    def __init__(self) -> None:
+        self.number: dict[bytes, int] = {}
+
+    def ids(self, buckets: np.ndarray) -> np.ndarray:
+        if not len(buckets):
+            return np.empty(0, np.int32)
+        own, inverse = np.unique(np.ascontiguousarray(buckets).view(f"V{buckets.itemsize * FIXED}").ravel(), return_inverse=True)
+        return np.array([self.number.setdefault(w.tobytes(), len(self.number)) for w in own], np.int32)[inverse]
+
+    def rows(self) -> np.ndarray:
+        return np.frombuffer(b"".join(self.number), np.int32).reshape(-1, FIXED)
+
+
 class ToxicityModel:
     """Fitted weights; small arrays only, so that it can be sent to every worker."""
 
@@ -107,10 +123,10 @@ class ToxicityModel:
         self.limits = np.zeros(len(FUNCTION_WORDS) + 1)  # the last is for other languages
         self.fitted = False
 
-    def embed(self, buckets: np.ndarray, own: tuple[np.ndarray, float, float, int] | None = None) -> np.ndarray:
+    def embed(self, buckets: np.ndarray) -> np.ndarray:
         x = np.empty((len(buckets), FIXED + LEARNED), np.float32)
         for f in range(FIXED):
-            x[:, f] = self.odds[f, buckets[:, f]] if own is None else self._without(buckets[:, f], f, own[3])
+            x[:, f] = self.odds[f, buckets[:, f]]
         x[:, FIXED:] = self.table[buckets[:, 0] >> (BITS - LEARNED_BITS)]
         return x
 
@@ -120,7 +136,7 @@ class ToxicityModel:
 
     def _without(self, b: np.ndarray, f: int, label: int) -> np.ndarray:
         pos, neg = self.seen[f][1][b].astype(float), self.seen[f][0][b].astype(float)
-        return self._log_odds(pos - label, neg - (1 - label))
+        return self._log_odds(np.maximum(pos - label, 0), np.maximum(neg - (1 - label), 0))
 
     def respond(self, x: np.ndarray, w: int) -> np.ndarray:
         n = len(x) - w + 1
@@ -149,31 +165,38 @@ class ToxicityModel:
         self.n = np.bincount(y, minlength=2).astype(float)
         if not len(y) or not self.n.all():
             return self
-        docs, langs = [], []
+        vocabulary, docs, langs = Vocabulary(), [], []
         for lo, hi in chunks(texts):
             b, first, lang = featurise(texts[lo:hi])
-            docs += [b[first[i] : first[i + 1]] for i in range(hi - lo)]
+            ids = vocabulary.ids(b)
+            docs += [ids[first[i] : first[i + 1]].copy() for i in range(hi - lo)]
             langs.append(lang)
         langs = np.concatenate(langs)
+        rows = vocabulary.rows()
+        del vocabulary
         self.seen = np.zeros((FIXED, 2, 1 << BITS), np.float32)
-        for b, label in zip(docs, y):
+        for words, label in zip(docs, y):
+            own = rows[np.unique(words)]
             for f in range(FIXED):
-                self.seen[f, label, np.unique(b[:, f])] += 1
+                self.seen[f, label, np.unique(own[:, f])] += 1
         self.odds = np.stack([self._log_odds(s[1], s[0]) for s in self.seen]).astype(np.float32)
-        fixed = [self.embed(b, (None, 0, 0, int(label)))[:, :FIXED] for b, label in zip(docs, y)]
-        self._train(docs, fixed, y)
-        scores = np.array([self._forward(b, x)[0] for b, x in zip(docs, fixed)])
+        # Own words are taken out by label alone, so a word has two rows of fixed numbers, whatever the documents.
+        self.fixed = [np.stack([self._without(rows[:, f], f, label) for f in range(FIXED)], 1).astype(np.float32) for label in (0, 1)]
+        self.slots = rows[:, 0] >> (BITS - LEARNED_BITS)
+        del rows
+        self._train(docs, y)
+        scores = np.array([self._forward(words, label)[0] for words, label in zip(docs, y)])
         everywhere = _limit(scores, y)
         for at in range(-1, len(FUNCTION_WORDS)):
             own = langs == at
             enough = own.sum() >= MIN_CALIBRATION and 3 <= y[own].sum() < own.sum()
             self.limits[at] = _limit(scores[own], y[own]) if enough else everywhere
         self.fitted = True
-        del self.seen
+        del self.seen, self.fixed, self.slots
         return self
 
-    def _forward(self, b: np.ndarray, fixed: np.ndarray):
-        x = np.concatenate((fixed, self.table[b[:, 0] >> (BITS - LEARNED_BITS)]), 1)
+    def _forward(self, words: np.ndarray, label: int):
+        x = np.concatenate((self.fixed[label][words], self.table[self.slots[words]]), 1)
         pooled, where = [], {}
         for w, n in WIDTHS.items():
             r = self.respond(x, w)
@@ -185,7 +208,7 @@ class ToxicityModel:
         h = np.concatenate(pooled)
         return float(h @ self.out + self.bias), h, where, x
 
-    def _train(self, docs: list[np.ndarray], fixed: list[np.ndarray], y: np.ndarray) -> None:
+    def _train(self, docs: list[np.ndarray], y: np.ndarray) -> None:
         rng = np.random.default_rng(11)
         weights = {"out": self.out, "bias": np.array([self.bias], np.float32), "table": self.table} | {f"f{w}": a for w, a in self.filters.items()}
         moment = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in weights.items()}
@@ -197,7 +220,7 @@ class ToxicityModel:
                 grad = {k: np.zeros_like(v) for k, v in weights.items()}
                 batch = order[lo : lo + BATCH]
                 for i in batch:
-                    z, h, where, x = self._forward(docs[i], fixed[i])
+                    z, h, where, x = self._forward(docs[i], y[i])
                     g = (1 / (1 + np.exp(-z)) - y[i]) * (heavy if y[i] else 1.0) / len(batch)
                     grad["out"] += g * h
                     grad["bias"] += g
@@ -208,7 +231,7 @@ class ToxicityModel:
                             for j in range(w):
                                 p = where[w] + j
                                 grad[f"f{w}"][j] += x[p].T * live
-                                np.add.at(grad["table"], docs[i][p, 0] >> (BITS - LEARNED_BITS), live[:, None] * self.filters[w][j][FIXED:].T)
+                                np.add.at(grad["table"], self.slots[docs[i][p]], live[:, None] * self.filters[w][j][FIXED:].T)
                         at += n
                 step += 1
                 for k, v in weights.items():

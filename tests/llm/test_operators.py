@@ -232,6 +232,18 @@ def test_scores_do_not_depend_on_batches():
     assert np.allclose(m.score(texts), [m.score([t])[0] for t in texts], atol=1e-5)
 
 
+def test_classifier_learns_from_2500_of_a_label(spark):
+    docs = spark.range(5200).selectExpr("id AS doc_id", "concat('word', id) AS text")
+    rows = toxicity.training_rows(docs, docs.selectExpr("doc_id", "int(doc_id % 2) AS toxic"))
+    assert Counter(y for _, y in rows) == {0: 2500, 1: 2500}
+
+
+def test_vocabulary_keeps_every_bucket():
+    v, parts = toxicity.Vocabulary(), [toxicity.featurise(t)[0] for t in (["one two one", "idiots"], [None, ""], ["two three idiot one"])]
+    ids = [v.ids(b) for b in parts]
+    assert all((v.rows()[i] == b).all() for i, b in zip(ids, parts)) and len(v.rows()) == 5 and all(i.dtype == np.int32 for i in ids)
+
+
 def test_language_held_out(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     out = language_id.identify(docs, language_id.fit(docs)).join(docs, "doc_id").where(F.crc32(F.col("doc_id").cast("string")) % 4 == 2).collect()
