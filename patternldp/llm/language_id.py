@@ -33,7 +33,7 @@ _letters: np.ndarray | None = None
 
 
 def letters() -> np.ndarray:
-    """Which code points of the basic plane are letters; those above it count as letters."""
+    """Which code points of the basic plane are letters."""
     global _letters
     if _letters is None:
         _letters = np.fromiter((chr(i).isalpha() for i in range(0x10000)), bool, 0x10000)
@@ -48,7 +48,11 @@ def trigrams(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray, np.ndarra
     begin = np.concatenate(([0], np.cumsum(sizes)))
     for p, b in zip(parts, begin):
         code[b + 1 : b + 1 + len(p)] = p
-    good = np.where(code < 0x10000, letters()[np.minimum(code, 0xFFFF)], True)
+    good = letters()[np.minimum(code, 0xFFFF)]
+    above = np.flatnonzero(code > 0xFFFF)
+    if len(above):
+        kinds, which = np.unique(code[above], return_inverse=True)
+        good[above] = np.array([chr(c).isalpha() for c in kinds.tolist()])[which]
     code = np.where(good, code, 32)
     doc = np.repeat(np.arange(len(parts)), sizes)
     keep = good | np.concatenate(([True], good[:-1]))  # of a run of others, the first

@@ -275,6 +275,12 @@ def test_languages_do_not_depend_on_batches():
         assert bucket[first[1] :].tolist() == own.tolist() and count[first[1] :].tolist() == times.tolist()
 
 
+def test_letters_above_the_basic_plane():
+    m = language_id.LanguageModel.fit([("the quick brown fox 😀😀", "en"), ("der schnelle braune fuchs", "de")])
+    names, scores, _ = m.predict(["😀😀😀", "𝐀𝐁", "the fox 😀😀", "the fox"])
+    assert names[0] == "und" and scores[0] == 0 and names[1] != "und" and (names[2], scores[2]) == (names[3], scores[3])
+
+
 # Sharding.
 def test_lookup_table():
     shards = {f"s{i}": 1 for i in range(7)}
