@@ -2,8 +2,8 @@
 
 Languages are hashed character-trigram distributions.  A document's trigrams are drawn from a mixture of them; its
 shares are found by expectation-maximisation, and the set of languages by penalised likelihood: sets of the one, two and
-three largest shares are compared by log-likelihood less half a logarithm of the number of trigrams for each
-language.  The largest share within the chosen set is the prediction.
+three largest shares, and on while a larger one is better, are compared by log-likelihood less half a logarithm of the
+number of trigrams for each language.  The largest share within the chosen set is the prediction.
 
 The distributions are fitted on a hash sample of about ``SAMPLE`` documents of each language; all rows are predicted.
 Defined results: a null text, one without letters, or an empty fit gives ``und`` with score 0; ties go to the
@@ -25,7 +25,7 @@ MOST_LANGUAGES = 500
 BITS = 15
 STEPS = 8
 SMOOTHING = 0.02  # share of the corpus's distribution in each language's
-LARGEST_SET = 3
+TRIED_SETS = 3  # sizes up to which sets are tried in any case; beyond, while they gain
 LEAST_SHARE = 0.02
 UNKNOWN = "und"
 
@@ -116,7 +116,7 @@ class LanguageModel:
         chosen = (rank == 0).astype(float)
         open_ = np.flatnonzero(full[np.arange(len(live)), order[:, min(1, k - 1)]] >= LEAST_SHARE) if k > 1 else np.empty(0, int)
         sizes = np.diff(starts)
-        for size in range(2, min(k, LARGEST_SET) + 1):
+        for size in range(2, k + 1):
             if not len(open_):
                 break
             at = np.concatenate([np.arange(starts[i], starts[i] + sizes[i]) for i in open_])
@@ -126,6 +126,8 @@ class LanguageModel:
             better = like - (size - 1) / 2 * np.log(n[open_] + 1) > best[open_]
             best[open_[better]] = (like - (size - 1) / 2 * np.log(n[open_] + 1))[better]
             chosen[open_[better]] = share[better]
+            if size >= TRIED_SETS:
+                open_ = open_[better]
         shares[live] = chosen
         top = chosen.argmax(1)
         for i, t, s in zip(live.tolist(), top.tolist(), full[np.arange(len(live)), top].tolist()):
@@ -153,13 +155,16 @@ def fit(docs: DataFrame, sample: int = SAMPLE) -> LanguageModel:
 
 
 def identify(docs: DataFrame, model: LanguageModel, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """``key``, ``lang_pred`` and ``score`` of every row."""
+    """``key``, ``lang_pred``, ``score`` and ``shares`` (language to share, of the chosen set) of every row."""
     src = docs.select(F.col(key), F.col(text))
     sent = docs.sparkSession.sparkContext.broadcast(model)
-    schema = T.StructType([src.schema.fields[0], T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
+    schema = T.StructType([src.schema.fields[0], T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType()), T.StructField("shares", T.MapType(T.StringType(), T.DoubleType(), False))])
 
     def make(cols: list[list]) -> dict[str, list]:
-        names, scores, _ = sent.value.predict(cols[1])
-        return {key: cols[0], "lang_pred": names, "score": scores}
+        names, scores, shares = sent.value.predict(cols[1])
+        maps: list[list[tuple[str, float]]] = [[] for _ in names]
+        for i, j in np.argwhere(shares > 0).tolist():
+            maps[i].append((sent.value.languages[j], float(shares[i, j])))
+        return {key: cols[0], "lang_pred": names, "score": scores, "shares": maps}
 
     return map_texts(src, 1, schema, make)

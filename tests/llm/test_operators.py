@@ -281,6 +281,14 @@ def test_letters_above_the_basic_plane():
     assert names[0] == "und" and scores[0] == 0 and names[1] != "und" and (names[2], scores[2]) == (names[3], scores[3])
 
 
+def test_shares_of_every_language(spark):
+    words = {"a": "aba abb abc abd", "b": "efe eff efg efh", "c": "iji ijj ijk ijl", "d": "mnm mnn mno mnp"}
+    m = language_id.LanguageModel.fit([(w, lang) for lang, w in words.items()])
+    rows = [(1, " ".join([*words.values()] * 20)), (2, words["a"]), (3, None)]
+    got = {r["doc_id"]: r["shares"] for r in language_id.identify(spark.createDataFrame(rows, "doc_id long, text string"), m).collect()}
+    assert set(got[1]) == set(words) and all(abs(x - 0.25) < 0.05 for x in got[1].values()) and got[2] == {"a": 1.0} and got[3] == {}
+
+
 # Sharding.
 def test_lookup_table():
     shards = {f"s{i}": 1 for i in range(7)}
