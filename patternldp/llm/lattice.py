@@ -1,44 +1,52 @@
 """SentencePiece encoding and decoding as a relational lattice.
 
-The substrings of a word, up to the longest piece, are joined to the piece table; the hits are the edges of the word's
-lattice; they are grouped by word and folded with ``aggregate``.  Two folds are offered:
+Texts are cut into units where no piece holds both neighbouring characters: no edge of any lattice crosses such a place, so
+units are encoded apart and the cut changes no id.  All distinct units of the corpus go one way:
 
-* ``viterbi`` for unigram models: the path with the greatest sum of scores, the longest last piece first on ties;
-* ``merge`` for byte-pair models: the best-scored pair of neighbours, leftmost on ties, is merged until none is left.
-  A best path is not what such a model encodes, so the fold follows its merges.
+* their substrings, up to the longest piece, are exploded and equi-joined to the piece table; the hits are the edges;
+* the edges are grouped by unit and folded with ``aggregate``, either by ``viterbi`` (unigram models: the path with the
+  greatest sum of scores) or by ``merge`` (byte-pair models, whose encoding is not the best path: the best-scored pair
+  of neighbours, leftmost on ties, is merged until none is left);
+* the ids go back to the units that asked for them, packed into one dictionary for each input split, written beside the
+  table; a task that encodes a split reads that split's dictionary alone.
 
-Documents hold far more words than a join per token could carry through a shuffle, so the relational fold runs over the
-``COMMON`` most frequent words, its answer (a bounded table) is broadcast, and the rest of the words are folded where
-they stand, by the same rule.  The size of that table changes no result.
+Nothing is broadcast but the piece table, no list grows with the corpus, and texts are never shuffled.  Units are told apart
+by 64-bit hashes.  A unit of more than ``LONG`` characters (a long run that pieces bridge throughout) is folded in place, as a
+fold in one row takes the square of its length.
 
 Defined results: a null or empty text has no pieces; a character that no piece covers becomes its UTF-8 bytes' pieces, or
-the unknown piece if the model has none; decoding gives back every text but for U+2581, which becomes a space.
+the unknown piece if the model has none; decoding gives back every text but for U+2581, which becomes a space; rows with
+equal or null keys are encoded each; other columns are never read, so their names cannot clash.
 """
 
 from __future__ import annotations
 
 import heapq
 import math
-import re
+import struct
+import uuid
 import zlib
-from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
-from itertools import chain
 
 import numpy as np
 import public_tokenizers
 import pyarrow as pa
+import pyarrow.fs
+import zstandard
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .scratch import fresh_path, materialise
+from .warc import file_system
+from .wordbytes import _R, _R_INV, _power, chunks, mix
+
 SPACE = "▁"
-COMMON, COMMON_OF_PARTITION, COMMON_CHARS = 50_000, 20_000, 32
-CACHE = 200_000  # words folded in place that a worker remembers
-COUNTED = 300_000  # words that a task counts at a time, before it keeps the more frequent
-SHORT = 48
-_remembered: dict[str, Folded] = {}  # by model, in a worker
-_WORD = re.compile(f"\n|{SPACE}*[^{SPACE}\n]+|{SPACE}+")
+LONG = 512
+SPAN = 4096  # an edge's key is start * SPAN + length
+SEEN = 1 << 20  # units that a task remembers, to leave out those it has listed
+SLICE = 1 << 20  # characters that are hashed at once, about
 
 
 @dataclass
@@ -61,9 +69,10 @@ class PieceTable:
 
     @classmethod
     def of(cls, pieces: dict[str, tuple[int, float]], names: list[str], raw: dict[int, int] | None = None, unknown: int = 0) -> PieceTable:
-        if any("\n" in p or re.search(f"[^{SPACE}]{SPACE}", p) for p in pieces):
-            raise ValueError("a piece crosses the border of a word")
-        return cls(pieces, names, raw or {}, unknown, max(map(len, pieces), default=1))
+        longest = max(map(len, pieces), default=1)
+        if longest >= SPAN:
+            raise ValueError(f"a piece has {SPAN} characters or more")
+        return cls(pieces, names, raw or {}, unknown, longest)
 
     def uncovered(self, char: str) -> list[int]:
         if not self.bytes:
@@ -71,77 +80,126 @@ class PieceTable:
         return [self.bytes[b] for b in char.encode("utf-8", "surrogatepass")]
 
     def frame(self, spark: SparkSession) -> DataFrame:
-        """The piece table: as large as the vocabulary."""
-        return spark.createDataFrame([(p, i, s) for p, (i, s) in self.pieces.items()], "piece string, id int, score double")
+        """The piece table, and an empty piece that every unit hits once: as large as the vocabulary."""
+        rows = [(p, i, s) for p, (i, s) in self.pieces.items() if p]
+        return spark.createDataFrame([("", None, None), *rows], "piece string, id int, score double")
 
 
-def words(text: str) -> list[str]:
-    """The text's words in order: a leading space is added, spaces become U+2581 and begin a word; line feeds stand alone."""
-    return _WORD.findall(SPACE + text.replace(" ", SPACE)) if text else []
+# Cutting texts into units.
+def units_of(text: str, table: PieceTable) -> list[str]:
+    """The units of one text: a leading space is added, and spaces become U+2581."""
+    run = Cutter(table).cut([text])
+    return [run.text[s:e] for s, e in zip(run.start.tolist(), run.end.tolist())]
 
 
+@dataclass
+class Run:
+    text: str  # all texts of the run, spaces as U+2581
+    start: np.ndarray  # of each unit
+    end: np.ndarray
+    hash: np.ndarray  # of each unit, signed
+    first: np.ndarray  # index of each text's first unit; one more at the end
+
+
+class Cutter:
+    """Cuts where no piece bridges two characters."""
+
+    def __init__(self, table: PieceTable):
+        bridges = {p[i : i + 2] for p in table.pieces for i in range(len(p) - 1)}
+        chars = sorted({c for b in bridges for c in b})
+        self.kinds = len(chars) + 1  # 0: characters that no longer piece holds
+        self.kind = np.zeros(0x110000, np.int32)
+        self.kind[[ord(c) for c in chars]] = np.arange(1, self.kinds)
+        self.bridged = np.zeros(self.kinds**2, bool)
+        for a, b in bridges:
+            self.bridged[self.kind[ord(a)] * self.kinds + self.kind[ord(b)]] = True
+
+    def cut(self, texts: list[str | None]) -> Run:
+        parts = [SPACE + t.replace(" ", SPACE) if t else "" for t in texts]
+        text = "".join(parts)
+        begin = np.zeros(len(parts) + 1, np.int64)
+        np.cumsum([len(p) for p in parts], out=begin[1:])
+        code = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)
+        kind = self.kind[code]
+        head = np.ones(len(code), bool)
+        head[1:] = ~self.bridged[kind[:-1] * self.kinds + kind[1:]]
+        head[begin[:-1][np.diff(begin) > 0]] = True
+        start = np.flatnonzero(head)
+        end = np.append(start[1:], len(code)) if len(start) else start
+        return Run(text, start, end, _hashes(code, start, end), np.searchsorted(start, begin))
+
+
+def _hashes(code: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    out, lo = np.empty(len(start), np.uint64), 0
+    while lo < len(start):
+        hi = max(lo + 1, int(np.searchsorted(end, start[lo] + SLICE, "right")))
+        a, b = int(start[lo]), int(end[hi - 1])
+        total = np.zeros(b - a + 1, np.uint64)
+        np.cumsum(mix(code[a:b].astype(np.uint64) + np.uint64(0x9E3779B97F4A7C15)) * _power(_R, "up", b - a), out=total[1:])
+        s, e = start[lo:hi] - a, end[lo:hi] - a
+        out[lo:hi] = mix((total[e] - total[s]) * _power(_R_INV, "down", b - a + 1)[s] + (e - s).astype(np.uint64))
+        lo = hi
+    return out.view(np.int64)
+
+
+# Lattices and folds, in tables.
 def edges(distinct: DataFrame, table: PieceTable) -> DataFrame:
-    """``word`` and its lattice: an array of start, length, score and id.  ``distinct`` has one column, ``word``."""
-    cut = F.expr(f"flatten(transform(sequence(1, length(word)), i -> transform(sequence(1, least({table.longest}, length(word) - i + 1)), l -> struct(i - 1 AS s, l AS l, substring(word, i, l) AS piece))))")
-    parts = distinct.where("length(word) > 0").select("word", F.explode(cut).alias("e")).select("word", "e.s", "e.l", "e.piece")
-    hits = parts.join(F.broadcast(table.frame(distinct.sparkSession)), "piece", "left")  # bounded by the vocabulary
-    return hits.groupBy("word").agg(F.expr("filter(collect_list(struct(s, l, score, id)), e -> e.id IS NOT NULL)").alias("edges"))
+    """``u``, ``unit`` and its lattice ``edges``: an array of key (start * SPAN + length), score and id.
 
+    ``distinct`` has a row for each unit (``u``, ``unit``).  Rows of a unit stay in one partition from explode to group, so a
+    table that is already partitioned by ``u`` is not shuffled.
+    """
+    starts = distinct.withColumn("s", F.explode(F.expr("sequence(0, length(unit) - 1)")))
+    parts = starts.withColumn("l", F.explode(F.expr(f"sequence(if(s = 0, 0, 1), least({table.longest}, length(unit) - s))"))).withColumn("piece", F.expr("substring(unit, s + 1, l)"))
+    hits = parts.join(F.broadcast(table.frame(distinct.sparkSession)), "piece")  # bounded by the vocabulary
+    return hits.groupBy("u").agg(F.first("unit").alias("unit"), F.collect_list(F.struct(F.expr(f"s * {SPAN} + l").alias("k"), "score", "id")).alias("edges"))
 
-def merge_fold(lattices: DataFrame) -> DataFrame:
-    """``word`` and ``path``: start, length and id (null where no piece covers the character) of its pieces."""
-    by_span = lattices.withColumn("m", F.expr("map_from_entries(transform(edges, e -> struct(e.s * 4096 + e.l AS k, struct(e.score, e.id) AS v)))"))
-    better = "filter(transform(sequence(0, size(acc) - 2), i -> struct(try_element_at(m, acc[i].s * 4096 + acc[i].l + acc[i + 1].l).score AS score, -i AS at)), c -> c.score IS NOT NULL)"
-    apply_ = "concat(slice(acc, 1, -b.at), array(struct(acc[-b.at].s AS s, acc[-b.at].l + acc[-b.at + 1].l AS l)), slice(acc, -b.at + 3, size(acc)))"
-    step = f"CASE WHEN size(acc) < 2 THEN acc ELSE coalesce(get(transform(filter(array(array_max({better})), b -> b IS NOT NULL), b -> {apply_}), 0), acc) END"
-    start = "transform(sequence(0, length(word) - 1), i -> struct(i AS s, 1 AS l))"
-    folded = by_span.withColumn("acc", F.expr(f"aggregate(sequence(1, length(word)), {start}, (acc, x) -> {step})"))
-    return folded.select("word", F.expr("transform(acc, p -> struct(p.s, p.l, try_element_at(m, p.s * 4096 + p.l).id AS id))").alias("path"))
 
+_ID = "coalesce(get(ids, int(array_position(ks, {k})) - 1), -1 - ascii(substring(unit, {s} + 1, 1)))"
+
+
+def _columns(lattices: DataFrame) -> DataFrame:
+    return lattices.select("u", "unit", F.col("edges.k").alias("ks"), F.col("edges.score").alias("scores"), F.col("edges.id").alias("ids"))
 
-def viterbi_fold(lattices: DataFrame, penalty: float = -1e6) -> DataFrame:
-    """``word`` and ``path`` of the greatest score; a character that no piece covers costs ``penalty``."""
-    all_edges = "concat(edges, transform(filter(sequence(0, length(word) - 1), i -> NOT exists(edges, e -> e.s = i AND e.l = 1)), i -> struct(i AS s, 1 AS l, CAST({p} AS DOUBLE) AS score, CAST(NULL AS INT) AS id)))".format(p=penalty)
-    start = "array(struct(CAST(0 AS DOUBLE) AS total, 0 AS l, CAST(NULL AS INT) AS id))"
-    reach = "array_max(transform(filter(g, e -> e.s + e.l = x AND acc[e.s] IS NOT NULL), e -> struct(acc[e.s].total + e.score AS total, e.l AS l, e.id AS id)))"
-    best = lattices.withColumn("g", F.expr(all_edges)).withColumn("best", F.expr(f"aggregate(sequence(1, length(word)), {start}, (acc, x) -> concat(acc, array({reach})))"))
-    back = "aggregate(sequence(1, length(word)), struct(length(word) AS at, CAST(array() AS ARRAY<STRUCT<s: INT, l: INT, id: INT>>) AS path), (b, x) -> CASE WHEN b.at = 0 THEN b ELSE struct(b.at - best[b.at].l AS at, concat(array(struct(b.at - best[b.at].l AS s, best[b.at].l AS l, best[b.at].id AS id)), b.path) AS path) END).path"
-    return best.select("word", F.expr(back).alias("path"))
-
-
-def merge_short(word: str, table: PieceTable) -> list[int]:
-    """The merge fold of a short word: the pairs' scores stand in a list, of which the first greatest is merged."""
-    get, none = table.pieces.get, (-1, -math.inf)
-    part = list(word)
-    score = [get(a + b, none)[1] for a, b in zip(part, part[1:])]
-    while score:
-        best = max(score)
-        if best == -math.inf:
-            break
-        i = score.index(best)
-        part[i] += part.pop(i + 1)
-        score.pop(i)
-        if i < len(score):
-            score[i] = get(part[i] + part[i + 1], none)[1]
-        if i:
-            score[i - 1] = get(part[i - 1] + part[i], none)[1]
-    out: list[int] = []
-    for p in part:
-        hit = get(p)
-        if hit is None:
-            out += table.uncovered(p)
-        else:
-            out.append(hit[0])
-    return out
+
+def merge_fold(lattices: DataFrame) -> DataFrame:
+    """``u``, ``unit`` and ``path``: the ids of its pieces; -1 - c where no piece covers the character c.
+
+    What is folded is the list of parts with the score of merging each with the next one; a step merges at the first
+    greatest score and looks up the two scores that change.
+    """
+    score = "get(scores, int(array_position(ks, {s} * %d + {l})) - 1)" % SPAN
+    first = f"transform(sequence(0, length(unit) - 1), i -> struct(i AS s, 1 AS l, {score.format(s='i', l='2')} AS score))"
+    both = "(get(acc, p - 1).l + get(acc, p).l)"
+    left = f"transform(slice(acc, greatest(p - 1, 1), if(p > 1, 1, 0)), x -> struct(x.s AS s, x.l AS l, {score.format(s='x.s', l=f'(x.l + {both})')} AS score))"
+    here = f"struct(get(acc, p - 1).s AS s, {both} AS l, {score.format(s='get(acc, p - 1).s', l=f'({both} + get(acc, p + 1).l)')} AS score)"
+    merged = f"concat(slice(acc, 1, greatest(p - 2, 0)), {left}, array({here}), slice(acc, p + 2, size(acc)))"
+    step = f"CASE WHEN array_max(acc.score) IS NULL THEN acc ELSE coalesce(get(transform(array(int(array_position(acc.score, array_max(acc.score)))), p -> {merged}), 0), acc) END"
+    folded = _columns(lattices).withColumn("acc", F.expr(f"aggregate(sequence(1, length(unit)), {first}, (acc, i) -> {step})"))
+    return folded.select("u", "unit", F.expr(f"transform(acc, p -> {_ID.format(k=f'p.s * {SPAN} + p.l', s='p.s')})").alias("path"))
 
 
-def merge_word(word: str, table: PieceTable) -> list[int]:
-    """The merge fold of one word in place, in time near its length."""
-    get = table.pieces.get
-    n = len(word)
-    if n <= SHORT:
-        return merge_short(word, table)
-    part: list[str | None] = list(word)
+def viterbi_fold(lattices: DataFrame, penalty: float = -1e6) -> DataFrame:
+    """The same for the path of the greatest score, the longest last piece on ties; an uncovered character costs ``penalty``."""
+    reach = f"""array_max(filter(transform(sequence(1, least({{longest}}, e)), l -> struct(
+        get(acc, e - l).total + coalesce(get(scores, int(array_position(ks, (e - l) * {SPAN} + l)) - 1), if(l = 1, {penalty!r}D, NULL)) AS total, l AS l)), x -> x.total IS NOT NULL))"""
+    first = "array(struct(0.0D AS total, 0 AS l))"
+    longest = F.expr(f"greatest(1, array_max(transform(ks, k -> k % {SPAN})))")
+    table = _columns(lattices).withColumn("longest", longest)
+    best = table.withColumn("best", F.expr(f"aggregate(sequence(1, length(unit)), {first}, (acc, e) -> concat(acc, array({reach.format(longest='longest')})))"))
+    step = f"CASE WHEN b.at = 0 THEN b ELSE struct(b.at - get(best, b.at).l AS at, concat(array({_ID.format(k=f'(b.at - get(best, b.at).l) * {SPAN} + get(best, b.at).l', s='(b.at - get(best, b.at).l)')}), b.path) AS path) END"
+    back = f"aggregate(sequence(1, length(unit)), struct(length(unit) AS at, CAST(array() AS ARRAY<INT>) AS path), (b, i) -> {step}).path"
+    return best.select("u", "unit", F.expr(back).alias("path"))
+
+
+FOLDS: dict[str, Callable[[DataFrame], DataFrame]] = {"merge": merge_fold, "viterbi": viterbi_fold}
+
+
+# The same folds of one unit, for those too long for a row.
+def merge_unit(unit: str, table: PieceTable) -> list[int]:
+    """In time near its length: pairs wait in a heap."""
+    get, n = table.pieces.get, len(unit)
+    part: list[str | None] = list(unit)
     after, before = list(range(1, n + 1)), list(range(-1, n - 1))
     heap: list[tuple[float, int, int, str]] = []
 
@@ -151,13 +209,10 @@ def merge_word(word: str, table: PieceTable) -> list[int]:
             both = part[i] + part[j]  # type: ignore[operator]
             hit = get(both)
             if hit is not None:
-                heap.append((-hit[1], i, j, both)) if not heaped else heapq.heappush(heap, (-hit[1], i, j, both))
+                heapq.heappush(heap, (-hit[1], i, j, both))
 
-    heaped = False
     for i in range(n - 1):
         offer(i)
-    heapq.heapify(heap)
-    heaped = True
     while heap:
         _, i, j, both = heapq.heappop(heap)
         if part[i] is None or part[j] is None or after[i] != j or len(part[i]) + len(part[j]) != len(both):  # type: ignore[arg-type]
@@ -169,29 +224,155 @@ def merge_word(word: str, table: PieceTable) -> list[int]:
         if before[i] >= 0:
             offer(before[i])
         offer(i)
-    out: list[int] = []
-    for p in part:
-        if p is not None:
-            hit = get(p)
-            out += [hit[0]] if hit else table.uncovered(p)
-    return out
-
-
-class Folded(dict):
-    """Ids of words: those folded beforehand, and up to ``CACHE`` more that are folded when first asked for.
+    return [x for p in part if p is not None for x in ([table.pieces[p][0]] if p in table.pieces else table.uncovered(p))]
+
+
+def viterbi_unit(unit: str, table: PieceTable, penalty: float = -1e6) -> list[int]:
+    best: list[tuple[float, int]] = [(0.0, 0)]
+    for e in range(1, len(unit) + 1):
+        options = ((best[e - n][0] + (table.pieces[unit[e - n : e]][1] if unit[e - n : e] in table.pieces else penalty if n == 1 else -math.inf), n) for n in range(1, min(table.longest, e) + 1))
+        best.append(max(options))
+    out: list[list[int]] = []
+    at = len(unit)
+    while at:
+        p = unit[at - best[at][1] : at]
+        out.append([table.pieces[p][0]] if p in table.pieces else table.uncovered(p))
+        at -= best[at][1]
+    return [x for ids in reversed(out) for x in ids]
+
+
+UNIT_FOLDS = {"merge": merge_unit, "viterbi": viterbi_unit}
+
+
+# Dictionaries of splits.
+class Dictionary:
+    """Ids of the units of one split, found by hash."""
+
+    def __init__(self, key: np.ndarray, size: np.ndarray, ids: np.ndarray):
+        order = np.argsort(key.view(np.uint64), kind="stable")
+        self.key, self.size = key.view(np.uint64)[order], size[order]
+        self.at = (np.cumsum(size) - size)[order]
+        self.ids = ids
+        self.shift = np.uint64(64 - max(8, int(len(key)).bit_length() + 1))
+        self.bucket = np.searchsorted(self.key, np.arange(1 << int(64 - int(self.shift)), dtype=np.uint64) << self.shift)
+
+    def find(self, hashes: np.ndarray) -> np.ndarray:
+        h = hashes.view(np.uint64)
+        at = self.bucket[(h >> self.shift).astype(np.int64)]
+        last = len(self.key) - 1
+        at = np.minimum(at, last)
+        todo = np.flatnonzero(self.key[at] != h)
+        while len(todo):
+            at[todo] += 1
+            if (at[todo] > last).any() or (self.key[at[todo]] > h[todo]).any():
+                raise ValueError("a unit is not in its split's dictionary")
+            todo = todo[self.key[at[todo]] != h[todo]]
+        return at
+
+    def pack(self) -> bytes:
+        parts = [self.key, self.size.astype("<i4"), self.at.astype("<i8"), self.ids.astype("<i4")]
+        return struct.pack("<qq", len(self.key), len(self.ids)) + zstandard.compress(b"".join(p.tobytes() for p in parts), 3)
 
-    Values are tuples of numbers, which the garbage collector does not follow.
-    """
+    @classmethod
+    def unpack(cls, data: bytes) -> Dictionary:
+        n, m = struct.unpack("<qq", data[:16])
+        raw = zstandard.decompress(data[16:], max_output_size=max(1, 20 * n + 4 * m))
+        key, size, at, ids = np.frombuffer(raw, np.uint64, n), np.frombuffer(raw, "<i4", n, 8 * n), np.frombuffer(raw, "<i8", n, 12 * n), np.frombuffer(raw, "<i4", m, 20 * n)
+        out = cls.__new__(cls)
+        out.key, out.size, out.at, out.ids = key, size.astype(np.int64), at, ids
+        out.shift = np.uint64(64 - max(8, int(n).bit_length() + 1))
+        out.bucket = np.searchsorted(key, np.arange(1 << int(64 - int(out.shift)), dtype=np.uint64) << out.shift)
+        return out
+
+
+def _dictionary_path(root: str, split: int) -> str:
+    return f"{root}/{split & (1 << 64) - 1:016x}"
+
+
+def _spelled(ids: np.ndarray, size: np.ndarray, table: PieceTable) -> tuple[np.ndarray, np.ndarray]:
+    """Ids and their number by unit, with -1 - c replaced by what stands for the uncovered character c."""
+    odd = np.flatnonzero(ids < 0)
+    if not len(odd):
+        return ids, size
+    kinds, which = np.unique(ids[odd], return_inverse=True)
+    spelled = [table.uncovered(chr(-1 - c)) for c in kinds.tolist()]
+    grown = np.ones(len(ids), np.int64)
+    grown[odd] = np.array([len(s) for s in spelled])[which]
+    out, ends = np.repeat(ids, grown), np.concatenate(([0], np.cumsum(grown)))
+    for i, w in zip(ends[odd].tolist(), which.tolist()):
+        out[i : i + len(spelled[w])] = spelled[w]
+    return out, np.diff(ends[np.concatenate(([0], np.cumsum(size)))])
+
+
+def _write_dictionaries(root: str, table: PieceTable):
+    """Over rows (split, u, path) sorted by split: one file a split, named by it, so that a repeated task writes the same again."""
+
+    def write(split: int, rows: list[pa.RecordBatch]) -> int:
+        whole = pa.Table.from_batches(rows).combine_chunks()
+        path = whole.column("path").chunk(0)
+        offsets = path.offsets.to_numpy()
+        ids, size = _spelled(path.values.to_numpy(zero_copy_only=False).astype(np.int64)[offsets[0] : offsets[-1]], np.diff(offsets).astype(np.int64), table)
+        fs, at = file_system(_dictionary_path(root, split))
+        fs.create_dir(at.rsplit("/", 1)[0], recursive=True)
+        with fs.open_output_stream(new := f"{at}.{uuid.uuid4().hex}", compression=None) as f:
+            f.write(Dictionary(whole.column("u").to_numpy(), size, ids).pack())
+        try:
+            fs.move(new, at)
+        except OSError:  # a store that does not replace: another run of this task has left the same file
+            if fs.get_file_info(at).type != pa.fs.FileType.File:
+                raise
+        return len(size)
 
-    def __init__(self, table: PieceTable, known: dict[str, list[int]]):
-        super().__init__((w, tuple(ids)) for w, ids in known.items())
-        self.table, self.most = table, len(known) + CACHE
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held = None, []
+        done: list[tuple[int, int]] = []
+        for batch in batches:
+            split = batch.column(0).to_numpy()
+            edge = [0, *(np.flatnonzero(split[1:] != split[:-1]) + 1).tolist(), len(split)]
+            for lo, hi in zip(edge, edge[1:]):
+                if lo == hi:
+                    continue
+                if now is not None and int(split[lo]) != now:
+                    done.append((now, write(now, held)))
+                    held = []
+                now = int(split[lo])
+                held.append(batch.slice(lo, hi - lo))
+        if held:
+            done.append((now, write(now, held)))  # type: ignore[arg-type]
+        yield pa.RecordBatch.from_arrays([pa.array([d[k] for d in done], pa.int64()) for k in (0, 1)], names=["split", "units"])
+
+    return run
+
+
+def _list_units(table: PieceTable):
+    """The units of each split, each listed once by a task (or as often as ``SEEN`` makes it forget)."""
 
-    def __missing__(self, word: str) -> tuple[int, ...]:
-        ids = tuple(merge_word(word, self.table))
-        if len(self) < self.most:
-            self[word] = ids
-        return ids
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cutter, now, seen = Cutter(table), None, np.empty(0, np.int64)
+        for batch, split, lo, hi in _runs(batches, 1):
+            if split != now or len(seen) > SEEN:
+                now, seen = split, np.empty(0, np.int64)
+            r = cutter.cut(batch[lo:hi])
+            own, at = np.unique(r.hash, return_index=True)
+            fresh = r.end[at] - r.start[at] <= LONG
+            if len(seen):
+                fresh &= seen[np.minimum(np.searchsorted(seen, own), len(seen) - 1)] != own
+            own, at = own[fresh], at[fresh]
+            seen = np.union1d(seen, own)
+            units = [r.text[s:e] for s, e in zip(r.start[at].tolist(), r.end[at].tolist())]
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(own), split)), pa.array(own), pa.array(units, pa.string())], names=["split", "u", "unit"])
+
+    return run
+
+
+def _runs(batches: Iterator[pa.RecordBatch], text: int) -> Iterator[tuple[list, int, int, int]]:
+    """Texts, split and row range of runs of about a million characters; column 0 is the split."""
+    for batch in batches:
+        split, texts = batch.column(0).to_numpy(), batch.column(text).to_pylist()
+        edge = [0, *(np.flatnonzero(split[1:] != split[:-1]) + 1).tolist(), len(split)]
+        for a, b in zip(edge, edge[1:]):
+            for lo, hi in chunks(texts[a:b]):
+                yield texts, int(split[a]), a + lo, a + hi
 
 
 def piece_bytes(table: PieceTable) -> list[bytes]:
@@ -202,60 +383,104 @@ def piece_bytes(table: PieceTable) -> list[bytes]:
     return out
 
 
-def decode(ids: list[int], table: PieceTable, units: list[bytes] | None = None) -> str:
-    units = units or piece_bytes(table)
-    text = b"".join([units[i] for i in ids]).decode("utf-8", "replace").replace(SPACE, " ")
-    return text[1:] if text[:1] == " " else text
-
-
-def common_words(docs: DataFrame, text: str = "text", most: int = COMMON) -> DataFrame:
-    """The most frequent words.  Partitions give their own most frequent; what is missed here is folded in place."""
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: Counter[str] = Counter()
-        for batch in batches:
-            for t in batch.column(0).to_pylist():
-                seen.update(words(t) if t else ())
-                if len(seen) > COUNTED:
-                    seen = Counter(dict(seen.most_common(COUNTED // 4)))
-        top = [(w, c) for w, c in seen.most_common(COMMON_OF_PARTITION) if len(w) <= COMMON_CHARS and w.strip(SPACE + "\n")]
-        yield pa.RecordBatch.from_arrays([pa.array([w for w, _ in top], pa.string()), pa.array([c for _, c in top], pa.int64())], names=["word", "n"])
-
-    counted = docs.select(F.col(text)).mapInArrow(count, "word string, n long")
-    return counted.groupBy("word").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "word").limit(most).select("word")
-
-
-def encode_documents(docs: DataFrame, model: str, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """``key``, ``ids``, and the text decoded from them, for every document, by a byte-pair model."""
+class Coder:
+    """Encodes and decodes runs of texts, given the dictionary of their units."""
+
+    def __init__(self, table: PieceTable, fold: str):
+        self.table, self.fold, self.cutter = table, UNIT_FOLDS[fold], Cutter(table)
+        raw = piece_bytes(table)
+        self.width = np.array([len(b) for b in raw], np.int64)
+        self.place = np.cumsum(self.width) - self.width
+        self.raw = np.frombuffer(b"".join(raw), np.uint8)
+
+    def encode(self, texts: list[str | None], known: Dictionary | None) -> tuple[np.ndarray, np.ndarray]:
+        """All ids, and where each text's begin (one more at the end)."""
+        r = self.cutter.cut(texts)
+        long = np.flatnonzero(r.end - r.start > LONG)
+        short = np.flatnonzero(r.end - r.start <= LONG)
+        size, source = np.zeros(len(r.start), np.int64), np.zeros(len(r.start), np.int64)
+        if len(short):
+            if known is None:
+                raise ValueError("the split has no dictionary")
+            at = known.find(r.hash[short])
+            size[short], source[short] = known.size[at], known.at[at]
+        folded = {i: self.fold(r.text[r.start[i] : r.end[i]], self.table) for i in long.tolist()}
+        for i, ids in folded.items():
+            size[i] = len(ids)
+        ends = np.concatenate(([0], np.cumsum(size)))
+        live = size.copy()
+        live[long] = 0
+        ids = np.empty(int(ends[-1]), np.int32)
+        into = np.repeat(ends[:-1] - (np.cumsum(live) - live), live) + np.arange(int(live.sum()))
+        if len(short):
+            ids[into] = known.ids[np.repeat(source - (np.cumsum(live) - live), live) + np.arange(int(live.sum()))]  # type: ignore[union-attr]
+        for i, own in folded.items():
+            ids[ends[i] : ends[i + 1]] = own
+        return ids, ends[r.first]
+
+    def decode(self, ids: np.ndarray, begin: np.ndarray) -> list[str]:
+        """The texts; the leading space goes, and U+2581 becomes a space."""
+        width = self.width[ids]
+        ends = np.concatenate(([0], np.cumsum(width)))
+        raw = self.raw[np.repeat(self.place[ids] - ends[:-1], width) + np.arange(int(ends[-1]))].tobytes()
+        cut = ends[begin].tolist()
+        texts = (raw[a:b].decode("utf-8", "replace").replace(SPACE, " ") for a, b in zip(cut, cut[1:]))
+        return [t[1:] if t[:1] == " " else t for t in texts]
+
+
+def _with_split(docs: DataFrame, key: str, text: str) -> DataFrame:
+    """``_split``, ``_key``, ``_text``; the split names a stretch of an input file that one task reads, in every job alike."""
+    wanted = [F.col(key).alias("_key"), F.col(text).alias("_text")]
+    split = F.xxhash64("_metadata.file_path", "_metadata.file_block_start").alias("_split")
+    try:
+        return docs.select(split, *wanted)
+    except AnalysisException:  # not read from files: written first
+        return materialise(docs.select(*wanted), "lattice-texts").select(split, "_key", "_text")
+
+
+def fold_units(asks: DataFrame, table: PieceTable, fold: str = "merge") -> DataFrame:
+    """``u``, ``path`` of every distinct unit of ``asks`` (``u``, ``unit``); dealt once, by a number that is not made smaller."""
+    parts = int(asks.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    distinct = asks.repartition(parts, "u").groupBy("u").agg(F.min("unit").alias("unit"))
+    return FOLDS[fold](edges(distinct, table)).select("u", "path")
+
+
+def encode_documents(docs: DataFrame, model: str | PieceTable, key: str = "doc_id", text: str = "text", fold: str = "merge") -> DataFrame:
+    """``key``, ``ids``, and the text ``decoded`` from them, for every document; ``fold`` is the model's kind of encoding."""
     spark = docs.sparkSession
-    table = PieceTable.load(model)
-    folded = {}
-    for r in merge_fold(edges(common_words(docs, text), table)).toLocalIterator():
-        ids: list[int] = []
-        for p in r["path"]:
-            ids += [p["id"]] if p["id"] is not None else table.uncovered(r["word"][p["s"]])
-        folded[r["word"]] = ids
-    sent = spark.sparkContext.broadcast((table, folded))
-    src = docs.select(F.col(key).alias("_key"), F.col(text).alias("_text"))
+    table = model if isinstance(model, PieceTable) else PieceTable.load(model)
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    src = _with_split(docs, key, text)
+    asks = materialise(src.select("_split", "_text").mapInArrow(_list_units(table), "split long, u long, unit string"), "lattice-units")
+    folded = materialise(fold_units(asks.select("u", "unit"), table, fold), "lattice-paths")
+    root = fresh_path(spark, "lattice-dictionaries")
+    answers = asks.select("split", "u").distinct().join(folded, "u").select("split", "u", "path")
+    dealt = answers.repartition(parts, "split").sortWithinPartitions("split", "u")
+    materialise(dealt.mapInArrow(_write_dictionaries(root, table), "split long, units long"), "lattice-manifest")
     kind = src.schema["_key"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if model not in _remembered:
-            _remembered[model] = Folded(*sent.value)
-        ids_of = _remembered[model].__getitem__
-        units = piece_bytes(sent.value[0])
-
-        def encode(t: str | None) -> list[int]:
-            return list(chain.from_iterable(map(ids_of, words(t)))) if t else []
-
+        coder, now, known = Coder(table, fold), None, None
         for batch in batches:
-            keys, texts = batch.column(0), batch.column(1).to_pylist()
-            for lo in range(0, len(texts), 256):
-                ids = [encode(t) for t in texts[lo : lo + 256]]
-                yield pa.RecordBatch.from_arrays([keys[lo : lo + 256], pa.array(ids, pa.list_(pa.int32())), pa.array([decode(i, table, units) for i in ids])], names=["_key", "ids", "decoded"])
+            for texts, split, lo, hi in _runs(iter([batch]), 2):
+                if split != now:
+                    now, known = split, _read_dictionary(root, split)
+                ids, begin = coder.encode(texts[lo:hi], known)
+                lists = pa.ListArray.from_arrays(pa.array(begin.astype(np.int32)), pa.array(ids))
+                yield pa.RecordBatch.from_arrays([batch.column(1)[lo:hi], lists, pa.array(coder.decode(ids, begin), pa.string())], names=["_key", "ids", "decoded"])
 
     return src.mapInArrow(run, f"_key {kind}, ids array<int>, decoded string").withColumnRenamed("_key", key)
 
 
+def _read_dictionary(root: str, split: int) -> Dictionary | None:
+    """None for a split without a short unit."""
+    fs, at = file_system(_dictionary_path(root, split))
+    if fs.get_file_info(at).type != pa.fs.FileType.File:
+        return None
+    with fs.open_input_stream(at, compression=None) as f:
+        return Dictionary.unpack(f.read())
+
+
 def digests(encoded: DataFrame, key: str = "doc_id") -> DataFrame:
     """``key``, number of ids, crc32 of them as little-endian unsigned 32-bit numbers, and sha256 of the decoded text."""
     src = encoded.select(F.col(key).alias("_key"), "ids", F.sha2("decoded", 256).alias("decoded_sha256"))

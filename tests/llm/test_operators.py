@@ -325,42 +325,65 @@ def test_placement(docs, empty, spark, tmp_path):
 
 
 # SentencePiece lattice.
-def test_merge_fold_equals_the_library(spark, docs, empty):
+def test_encoding_equals_the_library(spark, docs, empty):
     import sentencepiece
 
     m = sentencepiece.SentencePieceProcessor(model_file=lattice.default_model())
     rng = random.Random(4)
-    texts = ["".join(rng.choice("abcdehilnorst éü€😀 \n\t the ing") for _ in range(rng.randint(0, 80))) for _ in range(60)] + ["x" * 300 + "  y"]
+    texts = ["".join(rng.choice("abcdehilnorst éü€😀 \n\t the ing") for _ in range(rng.randint(0, 80))) for _ in range(60)] + ["x" * 300 + "  y", "a" * 700 + " b", " " * 3000, "", "▁ a"]
     df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string")
     for r in lattice.encode_documents(df, lattice.default_model()).collect():
-        assert r["ids"] == m.encode(texts[r["doc_id"]]) and r["decoded"] == texts[r["doc_id"]]
-    table = lattice.PieceTable.load(lattice.default_model())
-    words = sorted({w for t in texts for w in lattice.words(t) if 0 < len(w) <= 20 and w.strip("▁\n")})
-    relational = lattice.merge_fold(lattice.edges(spark.createDataFrame([(w,) for w in words], "word string"), table)).collect()
-    for r in relational:
-        ids = [x for p in r["path"] for x in ([p["id"]] if p["id"] is not None else table.uncovered(r["word"][p["s"]]))]
-        assert ids == lattice.merge_word(r["word"], table)
-    assert len(relational) == len(words)
+        t = texts[r["doc_id"]]
+        assert r["ids"] == m.encode(t) and r["decoded"] == t.replace("▁", " ")
     assert lattice.digests(lattice.encode_documents(docs, lattice.default_model())).count() == docs.count()
     assert lattice.encode_documents(empty, lattice.default_model()).count() == 0
 
 
+def test_encoding_of_files_equals_the_library(spark):
+    """Every document of a table, through splits of files and their dictionaries."""
+    import sentencepiece
+
+    m = sentencepiece.SentencePieceProcessor(model_file=lattice.default_model())
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    got = {r["doc_id"]: r for r in lattice.encode_documents(docs, lattice.default_model()).collect()}
+    texts = {r["doc_id"]: r["text"] or "" for r in docs.collect()}
+    assert len(got) == len(texts) and all(got[i]["ids"] == m.encode(t) and got[i]["decoded"] == t for i, t in texts.items())
+
+
+def test_units_lose_no_edge():
+    table = lattice.PieceTable.load(lattice.default_model())
+    text = "Über 123 naïve cafés <tag> don't 😀x  y\nnext"
+    units = lattice.units_of(text, table)
+    assert "".join(units) == "▁" + text.replace(" ", "▁")
+    assert sum(lattice.merge_unit(u, table).__len__() for u in units) == len(lattice.merge_unit("".join(units), table))
+    assert [x for u in units for x in lattice.merge_unit(u, table)] == lattice.merge_unit("".join(units), table)
+
+
+def test_no_shuffle_between_explode_and_group(spark):
+    table = lattice.PieceTable.load(lattice.default_model())
+    asks = spark.createDataFrame([(1, "▁ab"), (1, "▁ab"), (2, "xyz")], "u long, unit string")
+    plan = lattice.fold_units(asks, table)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == 1
+
+
+VITERBI = {"▁": -2.0, "a": -1.5, "b": -1.7, "ab": -2.5, "ba": -2.9, "▁a": -2.1, "aba": -3.4, "bb": -4.0}
+
+
 def test_viterbi_fold_by_brute_force(spark):
-    scores = {"▁": -2.0, "a": -1.5, "b": -1.7, "ab": -2.5, "ba": -2.9, "▁a": -2.1, "aba": -3.4, "bb": -4.0}
-    table = lattice.PieceTable.of({p: (i, s) for i, (p, s) in enumerate(scores.items())}, list(scores))
+    table = lattice.PieceTable.of({p: (i + 1, s) for i, (p, s) in enumerate(VITERBI.items())}, ["?", *VITERBI])
 
     def best(w):
         top = [(0.0, ())] + [None] * len(w)
         for e in range(1, len(w) + 1):
-            options = [(top[s][0] + (scores[w[s:e]] if w[s:e] in scores else -1e6), top[s][1] + (w[s:e],)) for s in range(max(0, e - 3), e) if top[s] and (w[s:e] in scores or e - s == 1)]
-            top[e] = max(options, key=lambda o: o[0])
-        return top[-1][0]
-
-    words = ["▁ab", "▁abab", "bab", "▁abcab", "c", "bbbb"]
-    for r in lattice.viterbi_fold(lattice.edges(spark.createDataFrame([(w,) for w in words], "word string"), table)).collect():
-        parts = [r["word"][p["s"] : p["s"] + p["l"]] for p in r["path"]]
-        assert "".join(parts) == r["word"]
-        assert sum(scores.get(p, -1e6) for p in parts) == pytest.approx(best(r["word"]))
+            options = [(top[s][0] + (VITERBI[w[s:e]] if w[s:e] in VITERBI else -1e6), top[s][1] + (w[s:e],)) for s in range(max(0, e - 3), e) if w[s:e] in VITERBI or e - s == 1]
+            top[e] = max(options, key=lambda o: (o[0], len(o[1][-1])))
+        return [table.pieces[p][0] if p in VITERBI else 0 for p in top[-1][1]]
+
+    texts = ["ab", "abab bab", "abcab", "c", "bbbb abba", "", "aba" * 300]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    for r in lattice.encode_documents(df, table, fold="viterbi").collect():
+        t = texts[r["doc_id"]]
+        assert r["ids"] == (best("▁" + t.replace(" ", "▁")) if t else [])
 
 
 # Media.
