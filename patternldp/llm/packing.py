@@ -7,13 +7,15 @@ a list of fillings with multiplicities.  Pieces are numbered within their length
 and look their place up in it.
 
 Defined results: a null text is an empty one, and an empty text is the closing id alone; equal rows are packed
-each; an empty table gives an empty result.
+each; an empty table gives an empty result; columns other than the key and the text are never read, so their names cannot clash.
 """
 
 from __future__ import annotations
 
 import base64
+import functools
 import os
+import re
 import zlib
 from bisect import bisect_left, insort
 from collections import Counter
@@ -30,6 +32,8 @@ from .wordbytes import chunks
 
 CAPACITY = 2048
 END_ID = 0
+LONG_SPACE = 10_000  # characters of white space in a run that tiktoken is spared
+_LONG_SPACE = re.compile(rf"\s{{{LONG_SPACE}}}")
 BLOCK_ROWS = 100_000  # pieces that are numbered together, about
 
 
@@ -37,7 +41,8 @@ def encoder(name: str = "byte_bpe_50k"):
     """A function from text to ids, as the public tokenizer file gives them without special tokens added.
 
     The byte-level vocabulary is the same in both files; tiktoken runs it about four times as fast.  A text that holds the
-    special token's own string is left to ``tokenizers``.
+    special token's own string is left to ``tokenizers``, and so is one with a very long run of white space, which the
+    other's pattern cannot pass.
     """
     import tiktoken
 
@@ -45,12 +50,16 @@ def encoder(name: str = "byte_bpe_50k"):
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
     fast = tiktoken.Encoding(name, pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
 
-    def encode(text: str) -> list[int]:
-        if "<|endoftext|>" in text:
-            os.environ["TOKENIZERS_PARALLELISM"] = "false"
-            from tokenizers import Tokenizer
+    @functools.cache
+    def whole():
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"
+        from tokenizers import Tokenizer
+
+        return Tokenizer.from_file(public_tokenizers.path(f"{name}.json"))
 
-            return Tokenizer.from_file(public_tokenizers.path(f"{name}.json")).encode(text, add_special_tokens=False).ids
+    def encode(text: str) -> list[int]:
+        if "<|endoftext|>" in text or len(text) > LONG_SPACE and _LONG_SPACE.search(text):
+            return whole().encode(text, add_special_tokens=False).ids
         return fast.encode_ordinary(text)
 
     return encode
