@@ -1,8 +1,9 @@
 """Quality rules judged per document and per host.
 
 Each document gets rule counts from its whole text.  Rule failures are summed by host, each host's failure
-rate is shrunk towards the corpus with a beta prior fitted to the hosts (method of moments), and the verdict on
-the host is joined back to its documents.
+rate is shrunk towards the corpus with a beta prior fitted to the hosts (method of moments), and a host whose shrunk rate
+stands out from the prior's mean by a stated margin is rejected; the verdict is joined back to its documents.
+Hosts that fail about as often as the corpus are all kept, whatever that rate is.
 
 Defined results: a null or empty text has no words, so it fails the base rule; a null host is one host of its own;
 repeated rows are judged each; an empty table gives an empty result; other columns are never looked at.
@@ -23,7 +24,8 @@ SYMBOLS = "#*$%&|<>"
 MIN_WORDS = 10
 REPEAT_PERCENT = 20
 WINDOW = 5
-HOST_MAX_RATE = 0.5
+#: A host is rejected if a rule's shrunk rate is above the prior's mean by more than this.
+MARGIN = 0.2
 #: Rejected hosts that may be broadcast; beyond it the verdicts are joined by a shuffle.
 BROADCAST_HOSTS = 100_000
 #: Hosts with at least this share of all documents are joined by broadcast: there are at most its inverse.
@@ -86,8 +88,8 @@ def measure(docs: DataFrame, key: list[str], text: str, host: str) -> DataFrame:
     return map_texts(src, len(names), schema, lambda cols: dict(zip(names, cols)) | text_counts(cols[-1]))
 
 
-def host_verdicts(counts: DataFrame, max_rate: float = HOST_MAX_RATE) -> DataFrame:
-    """One row per host: documents, shrunk failure rate of each rule and whether one of them is above ``max_rate``.
+def host_verdicts(counts: DataFrame, margin: float = MARGIN) -> DataFrame:
+    """One row per host: documents, shrunk failure rate of each rule and whether one of them stands out by ``margin``.
 
     Prior by moments over hosts: with mean m and variance v of the raw rates, strength s = m(1-m)/v - 1, kept within
     1 and 1e6; the shrunk rate is (failures + m s) / (documents + s).
@@ -100,7 +102,8 @@ def host_verdicts(counts: DataFrame, max_rate: float = HOST_MAX_RATE) -> DataFra
         m, v = F.col(f"m_{r}"), F.col(f"v_{r}")
         s = F.greatest(F.lit(1.0), F.least(F.lit(1e6), m * (1 - m) / F.greatest(v, F.lit(1e-12)) - 1))
         out = out.withColumn(f"rate_{r}", (F.col(f"f_{r}") + m * s) / (F.col("n_docs") + s))
-    return out.select("_host", "n_docs", *[f"rate_{r}" for r in RULES], F.greatest(*[f"rate_{r}" for r in RULES]).__gt__(max_rate).alias("host_rejected"))
+    over = F.greatest(*[F.col(f"rate_{r}") - F.col(f"m_{r}") for r in RULES])
+    return out.select("_host", "n_docs", *[f"rate_{r}" for r in RULES], (over > margin).alias("host_rejected"))
 
 
 def _join_verdicts(counts: DataFrame, verdicts: DataFrame) -> DataFrame:
@@ -117,23 +120,23 @@ def _join_verdicts(counts: DataFrame, verdicts: DataFrame) -> DataFrame:
     return settled.unionByName(rest)
 
 
-def host_quality(docs: DataFrame, key: str = "doc_id", text: str = "text", host: str = "source", max_rate: float = HOST_MAX_RATE) -> DataFrame:
+def host_quality(docs: DataFrame, key: str = "doc_id", text: str = "text", host: str = "source", margin: float = MARGIN) -> DataFrame:
     """The key, the host, all counts, ``base_failed``, ``host_rejected`` and ``kept`` of every document."""
     counts = materialise(measure(docs, [key], text, host), "host-quality")
-    judged = _join_verdicts(counts, host_verdicts(counts, max_rate))
+    judged = _join_verdicts(counts, host_verdicts(counts, margin))
     return judged.select(
         F.col("_k0").alias(key), F.col("_host").alias(host), *_COUNTS, base_failed().alias("base_failed"), "host_rejected",
         (~base_failed() & ~F.col("host_rejected")).alias("kept"),
     )
 
 
-def keep_good(docs: DataFrame, text: str = "text", host: str = "source", max_rate: float = HOST_MAX_RATE) -> DataFrame:
+def keep_good(docs: DataFrame, text: str = "text", host: str = "source", margin: float = MARGIN) -> DataFrame:
     """The rows of ``docs`` that pass, all columns as they were.
 
     Texts are counted twice instead of being shuffled: once for the hosts, once more beside the rows that are kept.
     """
     counts = materialise(measure(docs, [], text, host), "host-quality")
-    verdicts = host_verdicts(counts, max_rate)
+    verdicts = host_verdicts(counts, margin)
     names = docs.columns
     at, where = names.index(text), names.index(host)
     schema = T.StructType([*[T.StructField(f"_c{i}", f.dataType) for i, f in enumerate(docs.schema)], T.StructField("_host", docs.schema[where].dataType)])

@@ -37,7 +37,7 @@ WITH base AS (
 ), prior AS (
   SELECT rule, avg(f / n) AS mu, var_pop(f / n) AS v FROM long GROUP BY rule
 ), verdict AS (
-  SELECT source, max((f + mu * s) / (n + s)) > 0.5 AS bad
+  SELECT source, max((f + mu * s) / (n + s) - mu) > 0.2 AS bad
   FROM (SELECT *, greatest(1.0, least(1e6, mu * (1 - mu) / greatest(v, 1e-12) - 1)) AS s FROM long JOIN prior USING (rule))
   GROUP BY source
 )
