@@ -1,7 +1,9 @@
 import base64
 import hashlib
+import html
 import random
 import re
+import time
 import zlib
 from collections import Counter
 
@@ -65,6 +67,21 @@ def test_bad_hosts_go(spark):
     assert {r["doc_id"] for r in hq.keep_good(df).collect()} == {i for i, k in got.items() if k}
 
 
+def test_hosts_that_stand_out_are_rejected(spark):
+    """By brute force: a host twice as bad as the corpus's mean goes, with its good documents; alike hosts stay, whatever their rate."""
+    good, spam = " ".join(f"w{i}" for i in range(30)), "spam spam"
+    for share, bad_share in ((0.05, 0.4), (0.3, 0.3), (0.6, 0.95), (0.0, 0.1)):
+        rows = [(1000 * h + i, spam if i < 200 * (bad_share if h == 7 else share) else f"{good} {h} {i}", f"h{h}") for h in range(8) for i in range(200)]
+        rates = [bad_share if h == 7 else share for h in range(8)]
+        m = sum(rates) / 8
+        v = sum((r - m) ** 2 for r in rates) / 8
+        s = max(1.0, min(1e6, m * (1 - m) / max(v, 1e-12) - 1))
+        out = {h for h in range(8) if (200 * rates[h] + m * s) / (200 + s) - m > hq.MARGIN}
+        got = hq.host_quality(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()
+        assert {int(r["source"][1:]) for r in got if r["host_rejected"]} == out and (7 in out) == (bad_share - m > 0.25)
+        assert all(r["kept"] == (not r["base_failed"] and not r["host_rejected"]) for r in got)
+
+
 def test_quality_edges(docs, empty, monkeypatch):
     got = hq.host_quality(docs).collect()
     assert len(got) == docs.count() and {r["doc_id"] for r in got if r["kept"]} == {1, 2, 3}  # s2 fails as a host
@@ -203,6 +220,14 @@ def test_ids_equal_the_library(spark, sf):
         assert encode(r["text"]) == t.encode(r["text"], add_special_tokens=False).ids
 
 
+def test_long_white_space_is_encoded():
+    from tokenizers import Tokenizer
+
+    t, encode = Tokenizer.from_file(packing.public_tokenizers.path("byte_bpe_50k.json")), packing.encoder()
+    for text in (" " * 1_000_000, "\n" * 1_000_000, "a" + " \t" * 500_000 + "b", "x" * 20_000 + " " * 9_999, "word " * 50_000, "\u3000" * 30_000):
+        assert encode(text) == t.encode(text, add_special_tokens=False).ids
+
+
 # Toxicity and languages: held-out accuracy.
 def test_toxicity_held_out(spark):
     d = "/root/testdata/sf0.01"
@@ -335,7 +360,12 @@ def test_encoding_equals_the_library(spark, docs, empty):
     for r in lattice.encode_documents(df, lattice.default_model()).collect():
         t = texts[r["doc_id"]]
         assert r["ids"] == m.encode(t) and r["decoded"] == t.replace("▁", " ")
-    assert lattice.digests(lattice.encode_documents(docs, lattice.default_model())).count() == docs.count()
+    digests = lattice.encode_documents(docs, lattice.default_model(), outputs=("n_ids", "ids_crc32", "decoded_sha256")).collect()
+    want = Counter()
+    for r in docs.collect():
+        ids = m.encode(r["text"] or "")
+        want[(r["doc_id"], len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()), hashlib.sha256((r["text"] or "").encode()).hexdigest())] += 1
+    assert Counter(map(tuple, digests)) == want
     assert lattice.encode_documents(empty, lattice.default_model()).count() == 0
 
 
@@ -422,11 +452,53 @@ def test_article_text(spark):
     assert [(r["text"], r["n_chars"]) for r in sorted(out, key=lambda r: r["page_id"])] == [("", 0), ("", 0), ("plain é text", 12)]
 
 
+STORY = "".join(f"<p>This is paragraph number {i} of the story, and it is long enough to count as text.</p>" for i in range(4))
+
+
 def test_line_blocks_without_a_container():
-    body = "".join(f"<p>This is paragraph number {i} of the story, and it is long enough to count as text.</p>" for i in range(4))
-    page = f'<body><ul class="links"><li>Home</li><li>News</li><li>More</li></ul><div>{body}<p>Yes.</p>{body}</div><div>(c) 2020</div></body>'
+    page = f'<body><ul class="links"><li>Home</li><li>News</li><li>More</li></ul><div>{STORY}<p>Yes.</p>{STORY}<p>The end.</p></div><div>(c) 2020</div></body>'
     text = html_text.main_text(page)
-    assert text.count("paragraph") == 8 and "Yes." in text and "2020" not in text and "Home" not in text
+    assert text.count("paragraph") == 8 and "Yes." in text and text.endswith("The end.") and "2020" not in text and "Home" not in text
+
+
+def test_line_blocks_decide_inside_and_beside_articles():
+    assert html_text.main_text(f"<article>Teaser only</article><div>{STORY}</div>").startswith("This is paragraph number 0")
+    text = html_text.main_text(f'<article><header><h1>Title</h1></header>{STORY}<div class="ad">Buy now, it is cheap.</div><ul><li>a<li>b</ul></article><article class="comment">{STORY}</article><div>{"short " * 5}</div>')
+    assert text.startswith("Title This") and text.endswith("text. a b") and text.count("paragraph") == 4 and "Buy" not in text
+    assert html_text.main_text(f'<div class="header-widget related">{STORY.replace("and it is", "and it is " * 30)}</div>').count("paragraph") == 0
+    assert html_text.main_text(f'<div class="related">{STORY.replace("and it is", "and it is " * 30)}</div>').count("paragraph") == 4  # a name alone does not drop a long text
+
+
+def test_line_blocks_by_brute_force(spark):
+    """Every page of a table: windows are summed one by one, and what they leave out is counted."""
+    decided = 0
+    for r in spark.read.parquet("/root/testdata/sf0.01/pages.parquet").collect():
+        lines = html_text.lines_of(r["html"] or "")
+        flat = []
+        for i, (text, weight, group) in enumerate(lines):
+            if i and lines[i - 1][2] != group:
+                flat += [(0.0, None)] * (html_text.WINDOW - 1)
+            flat.append((weight * len(text), i))
+        sums = {i: sum(w for w, _ in flat[i : i + html_text.WINDOW]) for i in range(len(flat))}
+        limit = min(html_text.SURGE, html_text.SURGE_SHARE * max(sums.values(), default=0))
+        surging = {x for i, s in sums.items() if s > limit for _, x in flat[i : i + html_text.WINDOW] if x is not None}
+        groups = {lines[x][2] for x in surging if lines[x][1]}
+        span = [i for i, x in enumerate(lines) if x[2] in groups and x[1]]
+        want = [i for i, x in enumerate(lines) if span and span[0] <= i <= span[-1] and (x[1] >= 1 or x[1] and i in surging)]
+        assert html_text.kept_lines(lines) == want
+        decided += any(x[1] and i not in want for i, x in enumerate(lines))
+        article = re.search("<article>(.*?)</article>", r["html"] or "", re.S)
+        if article:
+            whole = html.unescape(re.sub("<[^>]*>", " ", re.sub("</?b>", "", article[1])))
+            assert html_text.main_text(r["html"]).split() == whole.split()
+    assert decided == 250
+
+
+def test_deep_markup_takes_linear_time():
+    began = time.time()
+    for page in ("<div><p>" * 16000, "<b>" * 20000 + "</i>" * 20000, "<div>" * 16000 + "<li></li>" * 16000, "<p><b>" * 16000):
+        html_text.main_text(page)
+    assert time.time() - began < 4
 
 
 @given(st.text(alphabet="<>/ap \"'=&;!-\n", max_size=60))
