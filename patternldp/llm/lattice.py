@@ -7,8 +7,8 @@ units are encoded apart and the cut changes no id.  All distinct units of the co
 * the edges are grouped by unit and folded with ``aggregate``, either by ``viterbi`` (unigram models: the path with the
   greatest sum of scores) or by ``merge`` (byte-pair models, whose encoding is not the best path: the best-scored pair
   of neighbours, leftmost on ties, is merged until none is left);
-* the ids go back to the units that asked for them, packed into one dictionary for each input split, written beside the
-  table; a task that encodes a split reads that split's dictionary alone.
+* the units lie bucketed by hash, so that they are shuffled once for group and join alike; the ids go back to the splits
+  that hold them, packed into one dictionary for each input split; a task that encodes a split reads that split's dictionary alone.
 
 Nothing is broadcast but the piece table, no list grows with the corpus, and texts are never shuffled.  Units are told apart
 by 64-bit hashes.  A unit of more than ``LONG`` characters (a long run that pieces bridge throughout) is folded in place, as a
@@ -21,6 +21,7 @@ equal or null keys are encoded each; other columns are never read, so their name
 
 from __future__ import annotations
 
+import hashlib
 import heapq
 import math
 import struct
@@ -32,21 +33,23 @@ from dataclasses import dataclass
 import numpy as np
 import public_tokenizers
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 import pyarrow.fs
 import zstandard
 from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .scratch import fresh_path, materialise
+from .scratch import drop_path, fresh_path, materialise, release_memory
 from .warc import file_system
-from .wordbytes import _R, _R_INV, _power, chunks, mix
+from .wordbytes import _R, _R_INV, _power, mix
 
 SPACE = "▁"
 LONG = 512
 SPAN = 4096  # an edge's key is start * SPAN + length
 SEEN = 1 << 20  # units that a task remembers, to leave out those it has listed
 SLICE = 1 << 20  # characters that are hashed at once, about
+RUN = 1 << 18  # bytes of texts that are cut at once, about
 
 
 @dataclass
@@ -155,39 +158,36 @@ def edges(distinct: DataFrame, table: PieceTable) -> DataFrame:
     return hits.groupBy("u").agg(F.first("unit").alias("unit"), F.collect_list(F.struct(F.expr(f"s * {SPAN} + l").alias("k"), "score", "id")).alias("edges"))
 
 
-_ID = "coalesce(get(ids, int(array_position(ks, {k})) - 1), -1 - ascii(substring(unit, {s} + 1, 1)))"
-
-
-def _columns(lattices: DataFrame) -> DataFrame:
-    return lattices.select("u", "unit", F.col("edges.k").alias("ks"), F.col("edges.score").alias("scores"), F.col("edges.id").alias("ids"))
+_PIECES = "map_from_entries(transform(edges, e -> struct(e.k AS k, struct(e.score AS score, e.id AS id) AS v)))"
+_ID = "coalesce(try_element_at(m, {k}).id, -1 - ascii(substring(unit, {s} + 1, 1)))"
 
 
 def merge_fold(lattices: DataFrame) -> DataFrame:
     """``u``, ``unit`` and ``path``: the ids of its pieces; -1 - c where no piece covers the character c.
 
-    What is folded is the list of parts with the score of merging each with the next one; a step merges at the first
-    greatest score and looks up the two scores that change.
+    What is folded is the list of parts, each with the score of merging it with the next one and its negated place, so that
+    the greatest part is the first best merge.  A step merges there and looks up the two scores that change.
     """
-    score = "get(scores, int(array_position(ks, {s} * %d + {l})) - 1)" % SPAN
-    first = f"transform(sequence(0, length(unit) - 1), i -> struct(i AS s, 1 AS l, {score.format(s='i', l='2')} AS score))"
-    both = "(get(acc, p - 1).l + get(acc, p).l)"
-    left = f"transform(slice(acc, greatest(p - 1, 1), if(p > 1, 1, 0)), x -> struct(x.s AS s, x.l AS l, {score.format(s='x.s', l=f'(x.l + {both})')} AS score))"
-    here = f"struct(get(acc, p - 1).s AS s, {both} AS l, {score.format(s='get(acc, p - 1).s', l=f'({both} + get(acc, p + 1).l)')} AS score)"
-    merged = f"concat(slice(acc, 1, greatest(p - 2, 0)), {left}, array({here}), slice(acc, p + 2, size(acc)))"
-    step = f"CASE WHEN array_max(acc.score) IS NULL THEN acc ELSE coalesce(get(transform(array(int(array_position(acc.score, array_max(acc.score)))), p -> {merged}), 0), acc) END"
-    folded = _columns(lattices).withColumn("acc", F.expr(f"aggregate(sequence(1, length(unit)), {first}, (acc, i) -> {step})"))
+    score = f"try_element_at(m, {{s}} * {SPAN} + {{l}}).score"
+    first = f"transform(sequence(0, length(unit) - 1), i -> struct({score.format(s='i', l='2')} AS score, -i AS back, i AS s, 1 AS l))"
+    both = "(get(acc, p).l + get(acc, p + 1).l)"
+    before = f"transform(slice(acc, greatest(p, 1), if(p > 0, 1, 0)), x -> struct({score.format(s='x.s', l=f'(x.l + {both})')} AS score, x.back AS back, x.s AS s, x.l AS l))"
+    here = f"struct({score.format(s='get(acc, p).s', l=f'({both} + coalesce(get(acc, p + 2).l, {SPAN}))')} AS score, -p AS back, get(acc, p).s AS s, {both} AS l)"
+    after = "transform(slice(acc, p + 3, size(acc)), x -> struct(x.score AS score, x.back + 1 AS back, x.s AS s, x.l AS l))"
+    merged = f"concat(slice(acc, 1, greatest(p - 1, 0)), {before}, array({here}), {after})"
+    step = f"get(transform(array(array_max(acc)), best -> CASE WHEN best.score IS NULL THEN acc ELSE get(transform(array(-best.back), p -> {merged}), 0) END), 0)"
+    folded = lattices.withColumn("m", F.expr(_PIECES)).withColumn("acc", F.expr(f"aggregate(sequence(1, length(unit)), {first}, (acc, i) -> coalesce({step}, acc))"))
     return folded.select("u", "unit", F.expr(f"transform(acc, p -> {_ID.format(k=f'p.s * {SPAN} + p.l', s='p.s')})").alias("path"))
 
 
 def viterbi_fold(lattices: DataFrame, penalty: float = -1e6) -> DataFrame:
     """The same for the path of the greatest score, the longest last piece on ties; an uncovered character costs ``penalty``."""
-    reach = f"""array_max(filter(transform(sequence(1, least({{longest}}, e)), l -> struct(
-        get(acc, e - l).total + coalesce(get(scores, int(array_position(ks, (e - l) * {SPAN} + l)) - 1), if(l = 1, {penalty!r}D, NULL)) AS total, l AS l)), x -> x.total IS NOT NULL))"""
-    first = "array(struct(0.0D AS total, 0 AS l))"
-    longest = F.expr(f"greatest(1, array_max(transform(ks, k -> k % {SPAN})))")
-    table = _columns(lattices).withColumn("longest", longest)
-    best = table.withColumn("best", F.expr(f"aggregate(sequence(1, length(unit)), {first}, (acc, e) -> concat(acc, array({reach.format(longest='longest')})))"))
-    step = f"CASE WHEN b.at = 0 THEN b ELSE struct(b.at - get(best, b.at).l AS at, concat(array({_ID.format(k=f'(b.at - get(best, b.at).l) * {SPAN} + get(best, b.at).l', s='(b.at - get(best, b.at).l)')}), b.path) AS path) END"
+    reach = f"""array_max(filter(transform(sequence(1, least(longest, e)), l -> struct(
+        get(acc, e - l).total + coalesce(try_element_at(m, (e - l) * {SPAN} + l).score, if(l = 1, {penalty!r}D, NULL)) AS total, l AS l)), x -> x.total IS NOT NULL))"""
+    table = lattices.withColumn("m", F.expr(_PIECES)).withColumn("longest", F.expr(f"greatest(1, array_max(transform(edges, e -> e.k % {SPAN})))"))
+    best = table.withColumn("best", F.expr(f"aggregate(sequence(1, length(unit)), array(struct(0.0D AS total, 0 AS l)), (acc, e) -> concat(acc, array({reach})))"))
+    start = "(b.at - get(best, b.at).l)"
+    step = f"CASE WHEN b.at = 0 THEN b ELSE struct({start} AS at, concat(array({_ID.format(k=f'{start} * {SPAN} + get(best, b.at).l', s=start)}), b.path) AS path) END"
     back = f"aggregate(sequence(1, length(unit)), struct(length(unit) AS at, CAST(array() AS ARRAY<INT>) AS path), (b, i) -> {step}).path"
     return best.select("u", "unit", F.expr(back).alias("path"))
 
@@ -246,21 +246,25 @@ UNIT_FOLDS = {"merge": merge_unit, "viterbi": viterbi_unit}
 
 # Dictionaries of splits.
 class Dictionary:
-    """Ids of the units of one split, found by hash."""
+    """Ids of the units of one split, found by hash; ``key`` is sorted and unsigned, ``ids`` follow its order."""
 
     def __init__(self, key: np.ndarray, size: np.ndarray, ids: np.ndarray):
-        order = np.argsort(key.view(np.uint64), kind="stable")
-        self.key, self.size = key.view(np.uint64)[order], size[order]
-        self.at = (np.cumsum(size) - size)[order]
-        self.ids = ids
-        self.shift = np.uint64(64 - max(8, int(len(key)).bit_length() + 1))
-        self.bucket = np.searchsorted(self.key, np.arange(1 << int(64 - int(self.shift)), dtype=np.uint64) << self.shift)
+        self.key, self.size, self.ids = key, size, ids
+        self.at = np.cumsum(size) - size
+        bits = max(8, len(key).bit_length() + 1)
+        self.shift = np.uint64(64 - bits)
+        self.bucket = np.searchsorted(key, np.arange(1 << bits, dtype=np.uint64) << self.shift)
+
+    @classmethod
+    def of(cls, u: np.ndarray, size: np.ndarray, ids: np.ndarray) -> Dictionary:
+        """From signed hashes in order: the negative ones, which are the greater as unsigned, go behind."""
+        n = int(np.searchsorted(u, 0))
+        m = int(size[:n].sum())
+        return cls(np.concatenate((u[n:], u[:n])).view(np.uint64), np.concatenate((size[n:], size[:n])), np.concatenate((ids[m:], ids[:m])))
 
     def find(self, hashes: np.ndarray) -> np.ndarray:
-        h = hashes.view(np.uint64)
-        at = self.bucket[(h >> self.shift).astype(np.int64)]
-        last = len(self.key) - 1
-        at = np.minimum(at, last)
+        h, last = hashes.view(np.uint64), len(self.key) - 1
+        at = np.minimum(self.bucket[(h >> self.shift).astype(np.int64)], last)
         todo = np.flatnonzero(self.key[at] != h)
         while len(todo):
             at[todo] += 1
@@ -270,19 +274,18 @@ class Dictionary:
         return at
 
     def pack(self) -> bytes:
-        parts = [self.key, self.size.astype("<i4"), self.at.astype("<i8"), self.ids.astype("<i4")]
-        return struct.pack("<qq", len(self.key), len(self.ids)) + zstandard.compress(b"".join(p.tobytes() for p in parts), 3)
+        """Steps of the keys, sizes and ids, byte by byte of their numbers, as these compress well."""
+        steps = np.diff(self.key, prepend=np.uint64(0))
+        columns = [steps.view(np.uint8).reshape(-1, 8).T, self.size.astype("<u2").view(np.uint8).reshape(-1, 2).T, self.ids.astype("<i4").view(np.uint8).reshape(-1, 4).T]
+        return struct.pack("<qq", len(self.key), len(self.ids)) + zstandard.compress(b"".join(c.tobytes() for c in columns), 3)
 
     @classmethod
     def unpack(cls, data: bytes) -> Dictionary:
         n, m = struct.unpack("<qq", data[:16])
-        raw = zstandard.decompress(data[16:], max_output_size=max(1, 20 * n + 4 * m))
-        key, size, at, ids = np.frombuffer(raw, np.uint64, n), np.frombuffer(raw, "<i4", n, 8 * n), np.frombuffer(raw, "<i8", n, 12 * n), np.frombuffer(raw, "<i4", m, 20 * n)
-        out = cls.__new__(cls)
-        out.key, out.size, out.at, out.ids = key, size.astype(np.int64), at, ids
-        out.shift = np.uint64(64 - max(8, int(n).bit_length() + 1))
-        out.bucket = np.searchsorted(key, np.arange(1 << int(64 - int(out.shift)), dtype=np.uint64) << out.shift)
-        return out
+        raw = np.frombuffer(zstandard.decompress(data[16:], max_output_size=max(1, 10 * n + 4 * m)), np.uint8)
+        part = lambda lo, rows, width: np.ascontiguousarray(raw[lo : lo + rows * width].reshape(width, rows).T)
+        key = np.cumsum(part(0, n, 8).view(np.uint64).ravel(), dtype=np.uint64)
+        return cls(key, part(8 * n, n, 2).view("<u2").ravel().astype(np.int64), part(10 * n, m, 4).view("<i4").ravel())
 
 
 def _dictionary_path(root: str, split: int) -> str:
@@ -309,13 +312,16 @@ def _write_dictionaries(root: str, table: PieceTable):
 
     def write(split: int, rows: list[pa.RecordBatch]) -> int:
         whole = pa.Table.from_batches(rows).combine_chunks()
+        u = whole.column("u").to_numpy()
+        if (u[1:] == u[:-1]).any():  # listed twice by a task that forgot
+            whole = whole.filter(pa.array(np.concatenate(([True], u[1:] != u[:-1])))).combine_chunks()
         path = whole.column("path").chunk(0)
         offsets = path.offsets.to_numpy()
         ids, size = _spelled(path.values.to_numpy(zero_copy_only=False).astype(np.int64)[offsets[0] : offsets[-1]], np.diff(offsets).astype(np.int64), table)
         fs, at = file_system(_dictionary_path(root, split))
         fs.create_dir(at.rsplit("/", 1)[0], recursive=True)
         with fs.open_output_stream(new := f"{at}.{uuid.uuid4().hex}", compression=None) as f:
-            f.write(Dictionary(whole.column("u").to_numpy(), size, ids).pack())
+            f.write(Dictionary.of(whole.column("u").to_numpy(), size, ids).pack())
         try:
             fs.move(new, at)
         except OSError:  # a store that does not replace: another run of this task has left the same file
@@ -339,40 +345,71 @@ def _write_dictionaries(root: str, table: PieceTable):
                 held.append(batch.slice(lo, hi - lo))
         if held:
             done.append((now, write(now, held)))  # type: ignore[arg-type]
+        held = []
+        release_memory()
         yield pa.RecordBatch.from_arrays([pa.array([d[k] for d in done], pa.int64()) for k in (0, 1)], names=["split", "units"])
 
     return run
 
 
+class Seen:
+    """A set of numbers as sorted arrays, each less than half as long as the one before."""
+
+    def __init__(self) -> None:
+        self.parts: list[np.ndarray] = []
+
+    @property
+    def size(self) -> int:
+        return sum(map(len, self.parts))
+
+    def lacks(self, x: np.ndarray) -> np.ndarray:
+        out = np.ones(len(x), bool)
+        for p in self.parts:
+            out &= p[np.minimum(np.searchsorted(p, x), len(p) - 1)] != x
+        return out
+
+    def add(self, x: np.ndarray) -> None:
+        """Sorted numbers that the set lacks."""
+        if len(x):
+            self.parts.append(x)
+        while len(self.parts) > 1 and len(self.parts[-2]) < 2 * len(self.parts[-1]):
+            both = np.concatenate((self.parts.pop(), self.parts.pop()))
+            both.sort(kind="stable")
+            self.parts.append(both)
+
+
 def _list_units(table: PieceTable):
     """The units of each split, each listed once by a task (or as often as ``SEEN`` makes it forget)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cutter, now, seen = Cutter(table), None, np.empty(0, np.int64)
-        for batch, split, lo, hi in _runs(batches, 1):
-            if split != now or len(seen) > SEEN:
-                now, seen = split, np.empty(0, np.int64)
-            r = cutter.cut(batch[lo:hi])
+        cutter, now, seen = Cutter(table), None, Seen()
+        for _, split, texts in _runs(batches, 1):
+            if split != now or seen.size > SEEN:
+                now, seen = split, Seen()
+            r = cutter.cut(texts)
             own, at = np.unique(r.hash, return_index=True)
-            fresh = r.end[at] - r.start[at] <= LONG
-            if len(seen):
-                fresh &= seen[np.minimum(np.searchsorted(seen, own), len(seen) - 1)] != own
+            fresh = seen.lacks(own) & (r.end[at] - r.start[at] <= LONG)
             own, at = own[fresh], at[fresh]
-            seen = np.union1d(seen, own)
+            seen.add(own)
             units = [r.text[s:e] for s, e in zip(r.start[at].tolist(), r.end[at].tolist())]
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(own), split)), pa.array(own), pa.array(units, pa.string())], names=["split", "u", "unit"])
+        release_memory()
 
     return run
 
 
-def _runs(batches: Iterator[pa.RecordBatch], text: int) -> Iterator[tuple[list, int, int, int]]:
-    """Texts, split and row range of runs of about a million characters; column 0 is the split."""
+def _runs(batches: Iterator[pa.RecordBatch], text: int) -> Iterator[tuple[pa.RecordBatch, int, list]]:
+    """Rows, split and texts of runs of about ``RUN`` bytes; column 0 is the split.  Only a run's texts are Python's."""
     for batch in batches:
-        split, texts = batch.column(0).to_numpy(), batch.column(text).to_pylist()
+        split, size = batch.column(0).to_numpy(), pa.compute.binary_length(batch.column(text)).fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
         edge = [0, *(np.flatnonzero(split[1:] != split[:-1]) + 1).tolist(), len(split)]
         for a, b in zip(edge, edge[1:]):
-            for lo, hi in chunks(texts[a:b]):
-                yield texts, int(split[a]), a + lo, a + hi
+            lo = a
+            while lo < b:
+                hi = lo + max(1, int(np.searchsorted(np.cumsum(size[lo : min(b, lo + RUN)] + 1), RUN, "right")))
+                run = batch.slice(lo, hi - lo)
+                yield run, int(split[a]), run.column(text).to_pylist()
+                lo = hi
 
 
 def piece_bytes(table: PieceTable) -> list[bytes]:
@@ -439,37 +476,58 @@ def _with_split(docs: DataFrame, key: str, text: str) -> DataFrame:
 
 
 def fold_units(asks: DataFrame, table: PieceTable, fold: str = "merge") -> DataFrame:
-    """``u``, ``path`` of every distinct unit of ``asks`` (``u``, ``unit``); dealt once, by a number that is not made smaller."""
-    parts = int(asks.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    distinct = asks.repartition(parts, "u").groupBy("u").agg(F.min("unit").alias("unit"))
+    """``u``, ``path`` of every distinct unit of ``asks`` (``u``, ``unit``); no shuffle if it is dealt by ``u``."""
+    distinct = asks.groupBy("u").agg(F.min("unit").alias("unit"))
     return FOLDS[fold](edges(distinct, table)).select("u", "path")
 
 
-def encode_documents(docs: DataFrame, model: str | PieceTable, key: str = "doc_id", text: str = "text", fold: str = "merge") -> DataFrame:
-    """``key``, ``ids``, and the text ``decoded`` from them, for every document; ``fold`` is the model's kind of encoding."""
+#: What an encoded document can give.
+OUTPUTS = {"ids": "array<int>", "decoded": "string", "n_ids": "long", "ids_crc32": "long", "decoded_sha256": "string"}
+
+
+def encode_documents(docs: DataFrame, model: str | PieceTable, key: str = "doc_id", text: str = "text", fold: str = "merge", outputs: tuple[str, ...] = ("ids", "decoded")) -> DataFrame:
+    """``key`` and ``outputs`` of every document: its ids, the text decoded from them, their number, the crc32 of them as
+    little-endian unsigned 32-bit numbers, the sha256 of the decoded text.  ``fold`` is the model's kind of encoding."""
     spark = docs.sparkSession
     table = model if isinstance(model, PieceTable) else PieceTable.load(model)
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     src = _with_split(docs, key, text)
-    asks = materialise(src.select("_split", "_text").mapInArrow(_list_units(table), "split long, u long, unit string"), "lattice-units")
-    folded = materialise(fold_units(asks.select("u", "unit"), table, fold), "lattice-paths")
-    root = fresh_path(spark, "lattice-dictionaries")
-    answers = asks.select("split", "u").distinct().join(folded, "u").select("split", "u", "path")
-    dealt = answers.repartition(parts, "split").sortWithinPartitions("split", "u")
-    materialise(dealt.mapInArrow(_write_dictionaries(root, table), "split long, units long"), "lattice-manifest")
+    asks, root = fresh_path(spark, "lattice-units"), fresh_path(spark, "lattice-dictionaries")
+    name = f"lattice_{uuid.uuid4().hex}"
+    listed = src.select("_split", "_text").mapInArrow(_list_units(table), "split long, u long, unit string")
+    listed.repartition(parts, "u").sortWithinPartitions("u").write.option("path", asks).option("compression", "zstd").bucketBy(parts, "u").sortBy("u").saveAsTable(name)
+    try:
+        answers = spark.table(name).select("split", "u").join(fold_units(spark.table(name), table, fold).hint("merge"), "u").select("split", "u", "path")
+        dealt = answers.repartition(parts, "split").sortWithinPartitions("split", "u")
+        materialise(dealt.mapInArrow(_write_dictionaries(root, table), "split long, units long"), "lattice-manifest")
+    finally:
+        spark.sql(f"DROP TABLE IF EXISTS {name}")
+        drop_path(spark, asks)
     kind = src.schema["_key"].dataType.simpleString()
 
+    def made(ids: np.ndarray, begin: np.ndarray, coder: Coder) -> list[pa.Array]:
+        cuts = begin.tolist()
+        texts = coder.decode(ids, begin) if any(o.startswith("decoded") for o in outputs) else []
+        flat = ids.astype("<u4").tobytes()
+        make = {
+            "ids": lambda: pa.ListArray.from_arrays(pa.array(begin.astype(np.int32)), pa.array(ids)),
+            "decoded": lambda: pa.array(texts, pa.string()),
+            "n_ids": lambda: pa.array(np.diff(begin).astype(np.int64)),
+            "ids_crc32": lambda: pa.array([zlib.crc32(flat[4 * a : 4 * b]) for a, b in zip(cuts, cuts[1:])], pa.int64()),
+            "decoded_sha256": lambda: pa.array([hashlib.sha256(t.encode("utf-8", "surrogatepass")).hexdigest() for t in texts], pa.string()),
+        }
+        return [make[o]() for o in outputs]
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder, now, known = Coder(table, fold), None, None
-        for batch in batches:
-            for texts, split, lo, hi in _runs(iter([batch]), 2):
-                if split != now:
-                    now, known = split, _read_dictionary(root, split)
-                ids, begin = coder.encode(texts[lo:hi], known)
-                lists = pa.ListArray.from_arrays(pa.array(begin.astype(np.int32)), pa.array(ids))
-                yield pa.RecordBatch.from_arrays([batch.column(1)[lo:hi], lists, pa.array(coder.decode(ids, begin), pa.string())], names=["_key", "ids", "decoded"])
+        for rows, split, texts in _runs(batches, 2):
+            if split != now:
+                now, known = split, _read_dictionary(root, split)
+            ids, begin = coder.encode(texts, known)
+            yield pa.RecordBatch.from_arrays([rows.column(1), *made(ids, begin, coder)], names=["_key", *outputs])
+        release_memory()
 
-    return src.mapInArrow(run, f"_key {kind}, ids array<int>, decoded string").withColumnRenamed("_key", key)
+    return src.mapInArrow(run, ", ".join([f"_key {kind}", *(f"{o} {OUTPUTS[o]}" for o in outputs)])).withColumnRenamed("_key", key)
 
 
 def _read_dictionary(root: str, split: int) -> Dictionary | None:
@@ -481,20 +539,5 @@ def _read_dictionary(root: str, split: int) -> Dictionary | None:
         return Dictionary.unpack(f.read())
 
 
-def digests(encoded: DataFrame, key: str = "doc_id") -> DataFrame:
-    """``key``, number of ids, crc32 of them as little-endian unsigned 32-bit numbers, and sha256 of the decoded text."""
-    src = encoded.select(F.col(key).alias("_key"), "ids", F.sha2("decoded", 256).alias("decoded_sha256"))
-    kind = src.schema["_key"].dataType.simpleString()
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            ids = b.column(1)
-            flat, at = ids.values.to_numpy(zero_copy_only=False).astype("<u4"), ids.offsets.to_numpy()
-            crc = [zlib.crc32(np.ascontiguousarray(flat[i:j]).tobytes()) for i, j in zip(at[:-1], at[1:])]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.diff(at).astype(np.int64)), pa.array(crc, pa.int64()), b.column(2)], names=["_key", "n_ids", "ids_crc32", "decoded_sha256"])
-
-    return src.mapInArrow(run, f"_key {kind}, n_ids long, ids_crc32 long, decoded_sha256 string").withColumnRenamed("_key", key)
-
-
 def default_model() -> str:
     return public_tokenizers.path("piece_bpe_32k.model")

@@ -12,7 +12,7 @@ from ..shipping import ship
 from . import language_id, toxicity
 from .host_quality import host_quality
 from .html_text import extract
-from .lattice import default_model, digests, encode_documents
+from .lattice import default_model, encode_documents
 from .media import media_columns
 from .ngram_join import ngram_classes
 from .packing import pack
@@ -70,7 +70,7 @@ def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def op6_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return digests(encode_documents(table(spark, sf_dir, "documents"), default_model()))
+    return encode_documents(table(spark, sf_dir, "documents"), default_model(), outputs=("n_ids", "ids_crc32", "decoded_sha256"))
 
 
 @query

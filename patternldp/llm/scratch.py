@@ -11,6 +11,7 @@ import gc
 import tempfile
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 
@@ -44,8 +45,9 @@ def drop_path(spark: SparkSession, path: str) -> None:
 
 
 def release_memory() -> None:
-    """Give freed memory back to the system where the C library can; a driver that fits models again and again stays small."""
+    """Give freed memory back to the system where the C library can; drivers and workers that are used again stay small."""
     gc.collect()
+    pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL("libc.so.6").malloc_trim(0)
     except (OSError, AttributeError):  # another C library

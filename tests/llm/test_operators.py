@@ -392,7 +392,7 @@ def test_units_lose_no_edge():
 def test_no_shuffle_between_explode_and_group(spark):
     table = lattice.PieceTable.load(lattice.default_model())
     asks = spark.createDataFrame([(1, "▁ab"), (1, "▁ab"), (2, "xyz")], "u long, unit string")
-    plan = lattice.fold_units(asks, table)._jdf.queryExecution().executedPlan().toString()
+    plan = lattice.fold_units(asks.repartition(3, "u"), table)._jdf.queryExecution().executedPlan().toString()
     assert plan.count("Exchange hashpartitioning") == 1
 
 
