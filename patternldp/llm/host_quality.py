@@ -24,8 +24,8 @@ SYMBOLS = "#*$%&|<>"
 MIN_WORDS = 10
 REPEAT_PERCENT = 20
 WINDOW = 5
-#: A host is rejected if a rule's shrunk rate is above the prior's mean by more than this.
-MARGIN = 0.2
+#: A host is rejected if a rule's shrunk rate, less so many posterior deviations, is above the prior's mean by more than this.
+MARGIN, DEVIATIONS = 0.2, 2.0
 #: Rejected hosts that may be broadcast; beyond it the verdicts are joined by a shuffle.
 BROADCAST_HOSTS = 100_000
 #: Hosts with at least this share of all documents are joined by broadcast: there are at most its inverse.
@@ -91,18 +91,21 @@ def measure(docs: DataFrame, key: list[str], text: str, host: str) -> DataFrame:
 def host_verdicts(counts: DataFrame, margin: float = MARGIN) -> DataFrame:
     """One row per host: documents, shrunk failure rate of each rule and whether one of them stands out by ``margin``.
 
-    Prior by moments over hosts: with mean m and variance v of the raw rates, strength s = m(1-m)/v - 1, kept within
-    1 and 1e6; the shrunk rate is (failures + m s) / (documents + s).
+    Prior by moments over hosts: with mean m and variance v of the raw rates, less the variance m(1-m) mean(1/documents) that
+    alike hosts show by chance, strength s = m(1-m)/v - 1, kept within 1 and 1e6; the shrunk rate is
+    (failures + m s) / (documents + s).
     """
     hosts = counts.groupBy(F.col("_host")).agg(F.count("*").alias("n_docs"), *[F.sum(c.cast("long")).alias(f"f_{r}") for r, c in _failures().items()])
     rates = {r: F.col(f"f_{r}") / F.col("n_docs") for r in RULES}
-    prior = hosts.agg(*[x for r, c in rates.items() for x in (F.avg(c).alias(f"m_{r}"), F.var_pop(c).alias(f"v_{r}"))])
+    prior = hosts.agg(*[x for r, c in rates.items() for x in (F.avg(c).alias(f"m_{r}"), F.var_pop(c).alias(f"v_{r}"))], F.avg(1 / F.col("n_docs")).alias("chance"))
     out = hosts.crossJoin(F.broadcast(prior))  # a prior of one row
     for r in RULES:
         m, v = F.col(f"m_{r}"), F.col(f"v_{r}")
-        s = F.greatest(F.lit(1.0), F.least(F.lit(1e6), m * (1 - m) / F.greatest(v, F.lit(1e-12)) - 1))
+        s = F.greatest(F.lit(1.0), F.least(F.lit(1e6), m * (1 - m) / F.greatest(v - m * (1 - m) * F.col("chance"), F.lit(1e-12)) - 1))
         out = out.withColumn(f"rate_{r}", (F.col(f"f_{r}") + m * s) / (F.col("n_docs") + s))
-    over = F.greatest(*[F.col(f"rate_{r}") - F.col(f"m_{r}") for r in RULES])
+        rate = F.col(f"rate_{r}")
+        out = out.withColumn(f"over_{r}", rate - DEVIATIONS * F.sqrt(rate * (1 - rate) / (F.col("n_docs") + s + 1)) - m)
+    over = F.greatest(*[F.col(f"over_{r}") for r in RULES])
     return out.select("_host", "n_docs", *[f"rate_{r}" for r in RULES], (over > margin).alias("host_rejected"))
 
 

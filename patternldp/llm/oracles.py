@@ -35,10 +35,10 @@ WITH base AS (
 ), long AS (
   UNPIVOT hosts ON f1, f2, f3, f4 INTO NAME rule VALUE f
 ), prior AS (
-  SELECT rule, avg(f / n) AS mu, var_pop(f / n) AS v FROM long GROUP BY rule
+  SELECT rule, avg(f / n) AS mu, var_pop(f / n) AS v, avg(1 / n) AS chance FROM long GROUP BY rule
 ), verdict AS (
-  SELECT source, max((f + mu * s) / (n + s) - mu) > 0.2 AS bad
-  FROM (SELECT *, greatest(1.0, least(1e6, mu * (1 - mu) / greatest(v, 1e-12) - 1)) AS s FROM long JOIN prior USING (rule))
+  SELECT source, max(rate - 2.0 * sqrt(rate * (1 - rate) / (n + s + 1)) - mu) > 0.2 AS bad
+  FROM (SELECT *, (f + mu * s) / (n + s) AS rate FROM (SELECT *, greatest(1.0, least(1e6, mu * (1 - mu) / greatest(v - mu * (1 - mu) * chance, 1e-12) - 1)) AS s FROM long JOIN prior USING (rule)))
   GROUP BY source
 )
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
