@@ -6,7 +6,8 @@ their own; only those in the written manifest are read, so that a task that is r
 Reading takes the dictionary from the archive, decodes frame by frame and checks headers, lengths and digests.
 
 Defined results: a null page has an empty payload; rows that repeat the largest id of a payload are all
-responses; a null id is written as a response that nothing refers to; an empty table gives no archive.
+responses; a null id is written as a response that nothing refers to; an empty table gives no archive; other columns are
+never read, so their names cannot clash.  Payloads are not shuffled while the revisits number at most ``BROADCAST_REVISITS``.
 """
 
 from __future__ import annotations
@@ -32,6 +33,8 @@ LEVEL = 3
 DICTIONARY_BYTES, DICTIONARY_SAMPLE = 32 << 10, 200
 ARCHIVE_BYTES = 64 << 20
 BLOCK = 1 << 20
+#: Revisits that may be broadcast; beyond it they are joined by a shuffle.
+BROADCAST_REVISITS = 200_000
 DATE = "2024-01-01T00:00:00Z"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
@@ -175,9 +178,13 @@ def write_archives(pages: DataFrame, key: str = "page_id", url: str = "url", pag
     spark = pages.sparkSession
     src = pages.select(F.col(key).cast("long").alias("id"), F.col(url).alias("url"), F.encode(F.coalesce(F.col(page), F.lit("")), "UTF-8").alias("payload"))
     dictionary = train_dictionary([bytes(r["payload"]) for r in src.select("payload").limit(DICTIONARY_SAMPLE).collect()])
+    named = src.where(F.length("payload") >= least_revisit).select("id", F.sha1("payload").alias("sha"))
+    tops = named.groupBy("sha").agg(F.max("id").alias("top"), F.count("*").alias("copies")).where("copies > 1").select("sha", "top")
+    revisits = materialise(named.join(tops, "sha").where("id <> top").select(F.col("id").alias("_id"), F.col("sha").alias("_sha"), "top").distinct(), "warc-revisits")
+    if revisits.limit(BROADCAST_REVISITS + 1).count() <= BROADCAST_REVISITS:
+        revisits = F.broadcast(revisits)
     hashed = src.withColumn("sha", F.sha1("payload"))
-    again = src.select("id", F.sha1("payload").alias("_sha"), F.length("payload").alias("n")).where(F.col("n") >= least_revisit).groupBy("_sha").agg(F.max("id").alias("top"), F.count("*").alias("copies")).where("copies > 1").select("_sha", "top")
-    rows = hashed.join(again, F.col("sha") == F.col("_sha"), "left").select("id", "url", "payload", "top")
+    rows = hashed.join(revisits, (F.col("id") == F.col("_id")) & (F.col("sha") == F.col("_sha")), "left").select("id", "url", "payload", "top")
     root = fresh_path(spark, "warc")
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
