@@ -9,7 +9,7 @@ sample), each text's page holds a reference to it and a caption, the image is st
 read back and described.
 
 Defined results: a null text is empty; an empty payload is one row of blanks; a reference that the store lacks keeps its
-position with null payload columns; equal texts have equal values.
+position with null payload columns; equal texts have equal values; other columns are never read, so their names cannot clash.
 """
 
 from __future__ import annotations

@@ -16,7 +16,8 @@ No group's pairs are listed: a bucket passes on a spanning forest of the pairs w
 Sets and groups are compared by 64-bit hashes.
 
 Defined results: null or empty texts have no set and link with nothing; a null id is kept, unlinked, with a null
-component; rows of one id are one document; equal sets are one node however many documents have them.
+component; rows of one id are documents of their own, which ``component_id`` names by that id; equal sets are one node
+however many documents have them; ids are whole numbers; other columns are never read, so their names cannot clash.
 """
 
 from __future__ import annotations

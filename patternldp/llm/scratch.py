@@ -18,6 +18,8 @@ from pyspark.sql import DataFrame, SparkSession
 def shared_root(spark: SparkSession) -> str:
     """The shared folder named by ``spark.checkpoint.dir``; a temporary one only where it is unset (tests)."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not root and not spark.sparkContext.master.startswith("local["):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     if not root:
         root = getattr(shared_root, "fallback", None)
         if root is None:
@@ -37,6 +39,12 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def discard(df: DataFrame) -> None:
+    """Delete what ``materialise`` wrote, once nothing reads it any more."""
+    for f in df.inputFiles()[:1]:
+        drop_path(df.sparkSession, f.rsplit("/", 1)[0])
+
+
 def drop_path(spark: SparkSession, path: str) -> None:
     """Delete a finished intermediate through Hadoop's file system, whatever store it is in."""
     jvm = spark.sparkContext._jvm

@@ -4,7 +4,8 @@ Every shard orders the slots of a prime-sized table by a permutation of its own
 next free slot, as often in a round as their weight.  The table has a fixed size, so it is broadcast; a row is placed by
 one hash and one look-up.  When a shard goes, few slots besides its own change hands.
 
-Defined results: a null key is placed like any other value; equal keys share a shard; an empty table gives an empty result.
+Defined results: a null key is placed like any other value; equal keys share a shard; an empty table gives an empty result;
+columns named ``slot`` or ``shard`` are replaced, all others stay.
 """
 
 from __future__ import annotations
@@ -47,7 +48,10 @@ def lookup_table(shards: dict[str, int], slots: int = SLOTS) -> list[str]:
 
 
 def place(df: DataFrame, key: str, shards: dict[str, int], slots: int = SLOTS) -> DataFrame:
-    """``df`` with ``slot`` and ``shard``."""
+    """``df`` with ``slot`` and ``shard``; columns of these names are replaced."""
+    if key in ("slot", "shard"):
+        raise ValueError("the key may not be named slot or shard")
+    df = df.drop("slot", "shard")
     table = df.sparkSession.createDataFrame(list(enumerate(lookup_table(shards, slots))), "slot int, shard string")
     slot = F.pmod(F.xxhash64(F.col(key)), F.lit(slots)).cast("int")
     return df.withColumn("slot", slot).join(F.broadcast(table), "slot")
