@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from patternldp.llm.host_quality import keep_good
 from patternldp.llm.ngram_join import keep_firsts
 from patternldp.llm.packing import pack
-from patternldp.llm.scratch import materialise, table
+from patternldp.llm.scratch import discard, materialise, table
 from patternldp.llm.toxicity import keep_clean
 from patternldp.shipping import ship
 
@@ -49,8 +49,10 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over ``documents``; what a stage keeps is written and reread."""
     docs = table(spark, sf_dir, "documents")
-    for i, (name, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
+    for i, (_, stage) in enumerate(STAGES):
+        before, docs = docs, stage(spark, docs, sf_dir)
         if i < len(STAGES) - 1:
             docs = materialise(docs, f"stage-{i}")
+            if i:
+                discard(before)
     return docs
