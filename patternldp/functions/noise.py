@@ -73,9 +73,9 @@ def unbiased_bit(noisy: Column, eps: float) -> Column:
     return (noisy.cast("double") - (1 - p)) / (2 * p - 1)
 
 
-def laplace_mechanism(value: Column, sensitivity: float, eps: float, *key: Column) -> Column:
+def laplace_mechanism(value: Column, sensitivity: float, eps: float | Column, *key: Column) -> Column:
     """A scalar query's value with noise for its global sensitivity."""
-    return value.cast("double") + laplace(F.lit(sensitivity / eps), *key)
+    return value.cast("double") + laplace(F.lit(float(sensitivity)) / (eps if isinstance(eps, Column) else F.lit(check_epsilon(eps))), *key)
 
 
 def check_epsilon(eps: float) -> float:

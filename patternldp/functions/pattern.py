@@ -232,6 +232,8 @@ ROOTED = {
     "spider2111": RootedPattern((1, 5, 5, 5, 5, None)),
     "d212": RootedPattern((2, 2, 6, 5, 5, 6, None)),
     "spider2211": RootedPattern((1, 6, 3, 6, 6, 6, None)),
+    "spider3111": RootedPattern((1, 2, 6, 6, 6, 6, None)),
+    "d22_leg": RootedPattern((1, 3, 3, 6, 6, 6, None)),
     "path4_end": RootedPattern((1, 2, 3, 4, None)),
     "path4_fold": RootedPattern((1, 4, 3, 4, None)),
     "star4_centre": RootedPattern((4, 4, 4, 4, None)),

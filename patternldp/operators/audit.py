@@ -6,11 +6,12 @@ neighbour is at most the sum of |change of mean| / scale over the released numbe
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.pattern import RootedPattern
 from ..sources.views import Graph
+from .baselines import star_sensitivity
 from .kernel import Noise, round_max
 from .tree import kept_arcs, tree_levels
 from .walk import walk_rounds
@@ -50,6 +51,24 @@ def tree_loss(graph: Graph, runs: DataFrame, tree: RootedPattern) -> DataFrame:
     return runs.select("run").join(found, "run", "left").select("run", F.coalesce("max_loss", F.lit(0.0)).alias("max_loss"), F.coalesce("max_sums", F.lit(0)).alias("max_sums"))
 
 
+def central_star_loss(graph: Graph, runs: DataFrame, k: int, cap: int) -> DataFrame:
+    """``run``, ``eps``, ``max_loss``: the change of the curator's capped count without an edge, over its scale."""
+    def change(c: str) -> Column:
+        def count(d: Column) -> Column:
+            d = F.least(d, F.lit(cap)).cast("double")
+            out = d
+            for i in range(1, k):
+                out = out * (d - i)
+            return out
+
+        return count(F.col(c)) - count(F.col(c) - 1)
+
+    d = graph.degrees()
+    edges = graph.arcs.where("src < dst").join(d.select(F.col("id").alias("src"), F.col("degree").alias("a")), "src").join(d.select(F.col("id").alias("dst"), F.col("degree").alias("b")), "dst")
+    most = edges.agg(F.coalesce(F.max(change("a") + change("b")), F.lit(0.0)).alias("change"))
+    return runs.crossJoin(F.broadcast(most)).select("run", "eps", (F.col("change") * F.col("eps") / float(star_sensitivity(k, cap))).alias("max_loss"))
+
+
 def star_loss(graph: Graph, runs: DataFrame) -> DataFrame:
     """Two degrees change by one each, with scale 2 / eps."""
     return runs.crossJoin(F.broadcast(graph.arcs.agg(F.count("*").alias("n")))).select("run", F.when(F.col("n") > 0, F.col("eps")).otherwise(0.0).alias("max_loss"))

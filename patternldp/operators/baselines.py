@@ -7,7 +7,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.noise import check_epsilon, laplace, randomized_response, uniform  # noqa: F401
+from ..functions.noise import check_epsilon, laplace, laplace_mechanism, randomized_response
 from ..functions.pattern import Pattern
 from ..sources.scratch import pin
 from ..sources.views import Graph
@@ -177,7 +177,17 @@ def star_capped(graph: Graph, runs: DataFrame, k: int) -> DataFrame:
     return d.groupBy("run", "top").agg((F.sum(value) * float(math.factorial(k))).alias("estimate")).select("run", "estimate", "top", F.lit(2).alias("rounds"))
 
 
-def central_laplace(exact: DataFrame, runs: DataFrame, sensitivity: float) -> DataFrame:
-    """``run``, ``estimate``: a trusted curator's noisy count, given the sensitivity of its capped query."""
-    noise = laplace(F.lit(float(sensitivity)) / F.col("eps"), F.col("seed"), F.lit("central"))
-    return runs.crossJoin(F.broadcast(exact)).select("run", (F.col("ordered").cast("double") + noise).alias("estimate"))
+def star_sensitivity(k: int, cap: int) -> int:
+    """What one edge can change of the ordered star count on degrees clipped to ``cap``: both of its ends move by one."""
+    return 2 * k * math.prod(range(cap - k + 1, cap))
+
+
+def central_star(graph: Graph, runs: DataFrame, k: int, cap: int) -> DataFrame:
+    """``run``, ``estimate``: a trusted curator's noisy star count on degrees clipped to a public cap."""
+    d = F.least(F.col("degree"), F.lit(cap)).cast("decimal(38,0)")
+    value = d
+    for i in range(1, k):
+        value = (value * (d - i)).cast("decimal(38,0)")
+    exact = graph.degrees().agg(F.coalesce(F.sum(value).cast("decimal(38,0)"), F.lit(0).cast("decimal(38,0)")).alias("ordered"))
+    noisy = laplace_mechanism(F.col("ordered"), star_sensitivity(k, cap), F.col("eps"), F.col("seed"), F.lit("central"))
+    return runs.crossJoin(F.broadcast(exact)).select("run", noisy.alias("estimate"))

@@ -84,6 +84,20 @@ def walk_measured(graph: Graph, k: int) -> DataFrame:
     return size.select(F.explode(rows).alias("x")).select("x.channel", "x.messages", (F.col("x.messages") * VALUE).alias("bytes"))
 
 
+def walk_operations(graph: Graph, k: int) -> DataFrame:
+    """``max_at``, ``node_ops``, ``analyzer_ops`` of the optimized walk: values read by the busiest node and by the analyzer.
+
+    Where the analyzer takes the maxima, a node reads its neighbours alone; otherwise every node reads all counts as well.
+    """
+    r = max(1, k - 1)
+    size = graph.degrees().agg(F.max("degree").alias("d"), F.count("*").alias("n"))
+    rows = F.array(
+        F.struct(F.lit("analyzer").alias("max_at"), (F.col("d") * r).alias("node_ops"), (F.col("n") * r).alias("analyzer_ops")),
+        F.struct(F.lit("node").alias("max_at"), ((F.col("d") + F.col("n")) * r).alias("node_ops"), F.col("n").alias("analyzer_ops")),
+    )
+    return size.select(F.explode(rows).alias("x")).select("x.*")
+
+
 def operations(graph: Graph, runs: DataFrame, tree: RootedPattern) -> DataFrame:
     """``run``, ``max_node_ops``, ``analyzer_ops``: values read by the busiest node, and by the analyzer."""
     arcs = kept_arcs(graph, runs, tree)

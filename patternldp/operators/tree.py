@@ -27,16 +27,30 @@ def parent_of(tree: RootedPattern, vertex: Column) -> Column:
     return F.element_at(F.array(*[F.lit(p).cast("int") for p in tree.parent]), vertex + 1)
 
 
-def marked_nodes(graph: Graph, runs: DataFrame, tree: RootedPattern) -> DataFrame:
-    """``run``, ``seed``, ``eps``, ``id``, ``vertex``."""
-    return graph.nodes.crossJoin(F.broadcast(runs)).withColumn("vertex", mark(F.col("id"), tree.k, F.col("seed")))
+Kinds = tuple[int | None, ...] | None  # of nodes that may hold each vertex; None: any
 
 
-def kept_arcs(graph: Graph, runs: DataFrame, tree: RootedPattern) -> DataFrame:
+def may_hold(node: Column, vertex: Column, kinds: Kinds) -> Column:
+    """Whether the node is of the public kind that the vertex asks for; a node's kind is its id modulo 8."""
+    if kinds is None:
+        return F.lit(True)
+    wanted = F.element_at(F.array(*[F.lit(k).cast("int") for k in kinds]), vertex + 1)
+    return wanted.isNull() | (node % 8 == wanted)
+
+
+def marked_nodes(graph: Graph, runs: DataFrame, tree: RootedPattern, kinds: Kinds = None) -> DataFrame:
+    """``run``, ``seed``, ``eps``, ``id``, ``vertex``; a node whose mark is not for its kind holds none."""
+    drawn = graph.nodes.crossJoin(F.broadcast(runs)).withColumn("vertex", mark(F.col("id"), tree.k, F.col("seed")))
+    return drawn if kinds is None else drawn.where(may_hold(F.col("id"), F.col("vertex"), kinds))
+
+
+def kept_arcs(graph: Graph, runs: DataFrame, tree: RootedPattern, kinds: Kinds = None) -> DataFrame:
     """``run``, ``src``, ``dst``, ``child``, ``vertex`` of the arcs from a child's mark to its parent's."""
     both = graph.arcs.crossJoin(F.broadcast(runs.select("run", "seed")))
     drawn = both.withColumn("child", mark(F.col("src"), tree.k, F.col("seed"))).withColumn("vertex", mark(F.col("dst"), tree.k, F.col("seed")))
-    return drawn.where(parent_of(tree, F.col("child")) == F.col("vertex")).select("run", "src", "dst", "child", "vertex")
+    kept = drawn.where(parent_of(tree, F.col("child")) == F.col("vertex"))
+    kept = kept if kinds is None else kept.where(may_hold(F.col("src"), F.col("child"), kinds) & may_hold(F.col("dst"), F.col("vertex"), kinds))
+    return kept.select("run", "src", "dst", "child", "vertex")
 
 
 @dataclass
@@ -46,15 +60,15 @@ class TreeRun:
     noise: Noise
 
 
-def tree_levels(graph: Graph, runs: DataFrame, tree: RootedPattern, noise: Noise | None = None) -> TreeRun:
+def tree_levels(graph: Graph, runs: DataFrame, tree: RootedPattern, noise: Noise | None = None, kinds: Kinds = None) -> TreeRun:
     """Released counts of the internal vertices, level by level, each written once.
 
     A node that holds an internal vertex reports even if it has no neighbour for a child: its sum is zero plus noise.
     The scale of a child's noise is the public maximum over the nodes that hold the child, over epsilon; for a leaf it is 1.
     """
     noise = noise or Noise()
-    nodes = marked_nodes(graph, runs, tree)
-    arcs = kept_arcs(graph, runs, tree)
+    nodes = marked_nodes(graph, runs, tree, kinds)
+    arcs = kept_arcs(graph, runs, tree, kinds)
     arcs = pin(arcs, "marked-arcs") if len(tree.levels) > 1 else arcs
     leaves = [F.lit(v) for v in tree.leaves]
     done: list[DataFrame] = []
@@ -66,10 +80,10 @@ def tree_levels(graph: Graph, runs: DataFrame, tree: RootedPattern, noise: Noise
         sums = here.where(F.col("child").isin(*leaves)).groupBy("run", F.col("dst").alias("id"), "child").agg(noise.number(F.count("*")).alias("sx"), noise.number(F.count("*")).alias("sy"))
         peaks = None
         inner = [c for v in level for c in tree.children[v] if c not in tree.leaves]
-        for below in done:
-            below = below.where(F.col("vertex").isin(inner)) if inner else None
-            if below is None:
-                break
+        for vertices, below in zip(tree.levels, done):
+            if not set(vertices) & set(inner):
+                continue
+            below = below.where(F.col("vertex").isin(inner))
             sent = here.join(below.select("run", F.col("id").alias("src"), "x", "y"), ["run", "src"])
             sums = sums.unionByName(sent.groupBy("run", F.col("dst").alias("id"), "child").agg(noise.total(F.col("x")).alias("sx"), noise.total(F.col("y")).alias("sy")))
             peak = round_max(below, "x", ("run", "vertex")).withColumnRenamed("vertex", "child")
@@ -97,9 +111,13 @@ def tree_levels(graph: Graph, runs: DataFrame, tree: RootedPattern, noise: Noise
     return TreeRun(done, tree, noise)
 
 
-def tree_dp(graph: Graph, runs: DataFrame, tree: RootedPattern, noise: Noise | None = None) -> DataFrame:
-    """``run``, ``estimate`` (private), ``marked_estimate`` (the same marks without noise), ``rounds``."""
-    got = tree_levels(graph, runs, tree, noise)
+def tree_dp(graph: Graph, runs: DataFrame, tree: RootedPattern, noise: Noise | None = None, kinds: Kinds = None) -> DataFrame:
+    """``run``, ``estimate`` (private), ``marked_estimate`` (the same marks without noise), ``rounds``.
+
+    ``kinds`` labels the pattern: vertex v is held by nodes of kind ``kinds[v]`` alone, so that the count is that of an acyclic
+    join of several relations.  Kinds and marks are public, so privacy and the factor stay as they are.
+    """
+    got = tree_levels(graph, runs, tree, noise, kinds)
     factor = got.noise.number(tree.factor)
     root = got.levels[-1].where(F.col("vertex") == tree.root)
     sums = root.groupBy("run").agg(got.noise.total(F.col("x")).alias("sx"), got.noise.total(F.col("y")).alias("sy"))
@@ -109,6 +127,24 @@ def tree_dp(graph: Graph, runs: DataFrame, tree: RootedPattern, noise: Noise | N
     )
 
 
+def tree_marked(graph: Graph, runs: DataFrame, tree: RootedPattern) -> DataFrame:
+    """``run``, ``estimate`` by the marks alone, not private; no noise is drawn."""
+    kept = kept_arcs(graph, runs, tree)
+    whole = Noise()
+    x: dict[int, DataFrame] = {}
+    for v in [v for level in tree.levels for v in level]:
+        parts = None
+        for c in tree.children[v]:
+            here = kept.where((F.col("child") == c) & (F.col("vertex") == v))
+            if c not in tree.leaves:
+                here = here.join(x[c].select("run", F.col("id").alias("src"), "x"), ["run", "src"])
+            s = here.groupBy("run", F.col("dst").alias("id")).agg((whole.number(F.count("*")) if c in tree.leaves else whole.total(F.col("x"))).alias("y"))
+            parts = s.withColumnRenamed("y", "x") if parts is None else parts.join(s, ["run", "id"]).select("run", "id", whole.number(F.col("x") * F.col("y")).alias("x"))
+        x[v] = pin(parts, "marked")
+    sums = x[tree.root].groupBy("run").agg(whole.total(F.col("x")).alias("s"))
+    return runs.select("run").join(sums, "run", "left").select("run", whole.number(F.coalesce("s", whole.number(0)) * whole.number(tree.factor)).alias("estimate"))
+
+
 def path_dp(graph: Graph, runs: DataFrame, k: int, noise: Noise | None = None) -> DataFrame:
     """The same for paths with ``k`` edges; ``k`` rounds, the marking included."""
     return tree_dp(graph, runs, path_tree(k), noise).withColumn("rounds", F.lit(max(1, k)))

@@ -69,6 +69,31 @@ def sweep_nrep(graph: Graph, mechanism: Callable[[Graph, DataFrame], DataFrame],
     return by.crossJoin(F.broadcast(one)).select("n_rep", F.col("trimmed").alias("rel_err"), (F.col("one") / F.col("trimmed")).alias("gain"))
 
 
+def mean_bytes(runs: DataFrame, sent: DataFrame) -> DataFrame:
+    """``eps``, ``comm_mean``: the bytes of all channels, averaged over the runs of an epsilon."""
+    total = sent.groupBy("run").agg(F.sum("bytes").alias("bytes"))
+    return runs.join(total, "run").groupBy("eps").agg(F.avg("bytes").alias("comm_mean"))
+
+
+def sweep_nrep_split(graph: Graph, mechanism: Callable[[Graph, DataFrame], DataFrame], exact: DataFrame, values: list[int], eps: float = 1.0, seed: int = 42, trials: int = REPS) -> DataFrame:
+    """``n_rep`` and trimmed ``total_err``, ``sampling_err``, ``dp_err`` of the averages; ``gain`` of the total over one run's; ``best``.
+
+    The mechanism also gives ``marked_estimate``.
+    """
+    spark = graph.nodes.sparkSession
+    rows = [(i, seed + 1000 * t + 100 * n + r, check_epsilon(eps) / n, n, t) for i, (n, t, r) in enumerate((n, t, r) for n in values for t in range(trials) for r in range(n))]
+    plan = spark.createDataFrame(rows, "run int, seed long, eps double, n_rep int, trial int")
+    got = plan.join(mechanism(graph, plan.select("run", "seed", "eps")), "run").groupBy("n_rep", "trial").agg(F.sum("estimate").alias("s"), F.sum("marked_estimate").alias("u"))
+    means = got.select("n_rep", "trial", (F.col("s").cast("double") / F.col("n_rep")).alias("a"), (F.col("u").cast("double") / F.col("n_rep")).alias("m")).crossJoin(F.broadcast(exact.select(F.col("ordered").cast("double").alias("t"))))
+    share = lambda x, y: F.when(F.col("t") != 0, 100.0 * F.abs(x - y) / F.abs(F.col("t")))
+    a, m, t = F.col("a"), F.col("m"), F.col("t")
+    kinds = {"total_err": share(a, t), "sampling_err": share(m, t), "dp_err": share(a, m)}
+    long = means.select("n_rep", F.explode(F.array(*[F.struct(F.lit(k).alias("kind"), c.alias("error")) for k, c in kinds.items()])).alias("x")).select("n_rep", "x.kind", "x.error")
+    wide = trimmed_mean(long, "error", ["n_rep", "kind"]).groupBy("n_rep").pivot("kind", list(kinds)).agg(F.max("trimmed"))
+    ends = wide.agg(F.max(F.when(F.col("n_rep") == 1, F.col("total_err"))).alias("one"), F.min("total_err").alias("least"))
+    return wide.crossJoin(F.broadcast(ends)).select("n_rep", *kinds, (F.col("one") / F.col("total_err")).alias("gain"), (F.col("total_err") == F.col("least")).alias("best"))
+
+
 def improvement(ours: DataFrame, other: DataFrame) -> DataFrame:
     """``error_gain``: how many times larger the other's error is (both ``rel_err``)."""
     return ours.select(F.col("rel_err").alias("a")).crossJoin(F.broadcast(other.select(F.col("rel_err").alias("b")))).select((F.col("b") / F.col("a")).alias("error_gain"))

@@ -175,30 +175,37 @@ add("rr_walk_dense_3_handoff", on("handoff", lambda g: baselines.rr_walk(g, 3, 1
 for v, k in (("nation_region", 3), ("handoff", 3), ("handoff", 4)):
     value = " + ".join(f"{sql.choose('ones', j)} * {sql.choose('(n - ones)', k - j)} * {(W1**j * W0 ** (k - j))!r}e0" for j in range(k + 1))
     add(f"rr_star_{k}_{v}", on(v, lambda g, k=k: baselines.rr_star(g, k, 1.0).select(digits("estimate"))), sql.graph(v) + sql.noisy_pairs(1.0) + f",\nr AS (SELECT a, sum(noisy) AS ones, count(*) AS n FROM bp GROUP BY a)\nSELECT {sql.digits(f'sum(({value}) * {[1, 1, 2, 6, 24, 120][k]}e0)')} AS estimate FROM r")
-add("rr_tree_marked_fork_handoff", on("handoff", lambda g: baselines.rr_tree_marked(g, ROOTED["fork"], 1.0, reps=5).select(digits("estimate"))))
 
 _TOP = f",\ntop AS MATERIALIZED (SELECT run, greatest(1.0e0, max(CAST(d AS DOUBLE) + {sql.laplace('20.0e0 / eps', 'seed', chr(39) + 'x' + chr(39), 'id')})) AS top FROM deg, runs GROUP BY run)"
 
 
-def clipped_sql(v: str, k: int) -> str:
-    out = sql.graph(v) + ",\n" + sql.runs() + _TOP + ",\nx0 AS (SELECT run, id, 1.0e0 AS x FROM nodes, runs)"
+def clipped_sql(v: str, k: int, reps: int = 1, raw: bool = False) -> str:
+    out = sql.graph(v) + ",\n" + sql.runs(reps=reps) + _TOP + ",\nx0 AS (SELECT run, id, 1.0e0 AS x FROM nodes, runs)"
     for i in range(1, k + 1):
         noise = sql.laplace(f"{2.0 * k / 0.9!r}e0 / r.eps * pow(sqrt(top), {i - 1})", "r.seed", f"'c{i}'", "n.id")
         out += f""",
 s{i} AS (SELECT x.run, dst AS id, sum(greatest(0.0e0, least(x.x, pow(sqrt(top), {i - 1})))) AS y FROM arcs JOIN x{i - 1} x ON x.id = src JOIN top ON top.run = x.run GROUP BY x.run, dst),
 x{i} AS MATERIALIZED (SELECT r.run, n.id, greatest(0.0e0, least(coalesce(y, 0.0e0) + {noise}, pow(sqrt(top), {i}))) AS x FROM nodes n CROSS JOIN runs r JOIN top USING (run) LEFT JOIN s{i} s ON s.run = r.run AND s.id = n.id)"""
+    if raw:
+        return out + f"\nSELECT run, sum(x) AS estimate FROM x{k} GROUP BY run"
     return out + f"\nSELECT x.run, {sql.digits('sum(x)')} AS estimate, {sql.digits('max(top)')} AS top, {k + 1} AS rounds FROM x{k} x JOIN top ON top.run = x.run GROUP BY x.run"
 
 
 for v, ks in {"copurchase": (2, 4), "trade": (2, 3, 4), "handoff": (2, 3, 4)}.items():
     for k in ks:
         add(f"clip_wk{k}_{v}", on(v, lambda g, k=k: baselines.walk_clipped(g, make_runs(g.nodes.sparkSession), k).select("run", digits("estimate"), digits("top"), "rounds"), True), clipped_sql(v, k))
+
+
+def capped_sql(v: str, k: int, reps: int = 1, raw: bool = False) -> str:
+    noise = sql.laplace(f"{2.0 / 0.9!r}e0 * {sql.choose('(t - 1)', k - 1)} / eps", "seed", "'k'", "id")
+    value = f"sum({sql.choose('least(d, t)', k)} + {noise}) * {[1, 1, 2, 6, 24, 120][k]}e0"
+    out = sql.graph(v) + ",\n" + sql.runs(reps=reps) + _TOP + ",\nc AS (SELECT run, CAST(ceil(top) AS BIGINT) AS t FROM top)"
+    return out + f"\nSELECT run, {value if raw else sql.digits(value)} AS estimate, max(t) AS top, 2 AS rounds FROM deg, runs JOIN c USING (run) GROUP BY run"
+
+
 for v, ks in {"copurchase": (3,), "trade": (3, 4, 5), "handoff": (3, 4)}.items():
     for k in ks:
-        noise = sql.laplace(f"{2.0 / 0.9!r}e0 * {sql.choose('(t - 1)', k - 1)} / eps", "seed", "'k'", "id")
-        o = sql.graph(v) + ",\n" + sql.runs() + _TOP + f",\nc AS (SELECT run, CAST(ceil(top) AS BIGINT) AS t FROM top)\nSELECT run, {sql.digits(f'sum({sql.choose('least(d, t)', k)} + {noise}) * {[1, 1, 2, 6, 24, 120][k]}e0')} AS estimate, max(t) AS top, 2 AS rounds FROM deg, runs JOIN c USING (run) GROUP BY run"
-        add(f"cap_star{k}_{v}", on(v, lambda g, k=k: baselines.star_capped(g, make_runs(g.nodes.sparkSession), k).select("run", digits("estimate"), "top", "rounds")), o)
-add("central_laplace_star3_trade", on("trade", lambda g: baselines.central_laplace(exact.star_exact(g, 3), make_runs(g.nodes.sparkSession), 3 * 90.0**2).select("run", digits("estimate"))), sql.graph("trade") + ",\n" + sql.runs() + f"\nSELECT run, {sql.digits(f'CAST((SELECT sum({sql.falling('CAST(d AS HUGEINT)', 3)}) FROM deg) AS DOUBLE) + ' + sql.laplace('24300.0e0 / eps', 'seed', chr(39) + 'central' + chr(39)))} AS estimate FROM runs")
+        add(f"cap_star{k}_{v}", on(v, lambda g, k=k: baselines.star_capped(g, make_runs(g.nodes.sparkSession), k).select("run", digits("estimate"), "top", "rounds")), capped_sql(v, k))
 
 # Measures: bounds, theory, communication, operations, privacy loss.
 _STATS = ",\nst AS (SELECT CAST(count(*) AS DOUBLE) AS n, CAST(sum(d) / 2 AS DOUBLE) AS m, CAST(max(d) AS DOUBLE) AS d FROM deg)"
@@ -336,17 +343,3 @@ for v, t, true, name in (("handoff", path_tree(2), truth_sql("handoff", "pt", 2)
     add(f"nrep_{name}_{v}", on(v, lambda g, t=t, name=name: proto.sweep_nrep(g, proto.tree_mechanism(t), exact.closed_form(g, "fork" if name == "fork" else "path2"), [1, 2, 4, 6, 8, 10], 16.0, trials=6).select("n_rep", digits("rel_err")), True), o)
     av = sql.graph(v) + ",\n" + nrep_runs([4], 1.0, 1) + sql.tree_estimates(t) + f"\nSELECT n_rep, trial, {sql.digits('CAST(sum(estimate) AS DOUBLE) / n_rep')} AS estimate FROM est JOIN runs USING (run) GROUP BY n_rep, trial"
     add(f"avg_dp_{name}_{v}", on(v, lambda g, t=t: proto.averaged(g, proto.tree_mechanism(t), 4).select("n_rep", "trial", digits("estimate")), True), av)
-
-
-def _improve(g: Graph) -> DataFrame:
-    r = make_runs(g.nodes.sparkSession, reps=proto.REPS)
-    true = walk.walk_exact(g, 3)
-    ours = proto.protocol(r, walk.walk_dp(g, r, 3), true)
-    other = proto.protocol(r, baselines.walk_clipped(g, r, 3), true)
-    n, m = g.nodes.agg(F.count("*").cast("double").alias("n")), g.arcs.agg((F.count("*") / 2).alias("m"))
-    gain = n.crossJoin(m).select((F.lit(8.0 * 3) * F.col("n") * F.col("n") / (8.0 * ((2 * F.col("m") + 2 * F.col("n")) + F.col("n")))).alias("comm_gain"))
-    return proto.improvement(ours, other).crossJoin(gain).select(F.format_string("%.3e", "error_gain").alias("error_gain"), digits("comm_gain"))
-
-
-for v in ("trade", "handoff"):
-    add(f"improve_wk3_{v}", on(v, _improve, True))

@@ -45,7 +45,7 @@ VIEW_SQL: dict[str, tuple[str, str]] = {
     "near_vectors": ("SELECT vec_id AS id FROM embeddings", "SELECT a, b FROM (SELECT x.vec_id AS a, y.vec_id AS b, row_number() OVER (PARTITION BY x.vec_id ORDER BY list_cosine_similarity(CAST(x.embedding AS DOUBLE[]), CAST(y.embedding AS DOUBLE[])) DESC, y.vec_id) AS r FROM embeddings x JOIN embeddings y ON x.vec_id <> y.vec_id) WHERE r <= 3"),
     "page_links": (f"SELECT page_id * 8 AS id FROM pages UNION ALL SELECT DISTINCT b FROM ({_LINKS})", _LINKS),
     "doc_facets": (f"SELECT DISTINCT {text_id('source', 'source')} AS id FROM documents UNION SELECT DISTINCT {text_id('lang', 'lang')} FROM documents", f"SELECT {text_id('source', 'source')} AS a, {text_id('lang', 'lang')} AS b FROM documents"),
-    "turns": ("SELECT conv_id * 1000 + turn AS id FROM conversations", "SELECT x.conv_id * 1000 + x.turn AS a, y.conv_id * 1000 + y.turn AS b FROM conversations x JOIN conversations y ON x.conv_id = y.conv_id AND y.turn = x.turn + 1"),
+    "turns": ("SELECT conv_id * 1048576 + turn AS id FROM conversations", "SELECT x.conv_id * 1048576 + x.turn AS a, y.conv_id * 1048576 + y.turn AS b FROM conversations x JOIN conversations y ON x.conv_id = y.conv_id AND y.turn = x.turn + 1"),
 }
 
 
@@ -138,10 +138,12 @@ def walk_estimates(k: int, variant: str) -> str:
     return walk_levels(k, k - 1) + f",\nest AS (SELECT run, sum(x * {noisy}) AS estimate FROM x{k - 1} JOIN deg USING (id) GROUP BY run)"
 
 
-def tree_estimates(tree: RootedPattern, label: str = "") -> str:
-    """CTEs ``x_v`` of each internal vertex and ``est`` (run, estimate, marked_estimate)."""
+def tree_estimates(tree: RootedPattern, kinds: tuple[int | None, ...] | None = None) -> str:
+    """CTEs ``x_v`` of each internal vertex and ``est`` (run, estimate, marked_estimate); ``kinds``: what may hold a vertex."""
     k = tree.k
-    out = f",\nmk AS MATERIALIZED (SELECT run, seed, eps, id, {mark('id', k)} AS vertex FROM nodes, runs)"
+    named = [f"({mark('id', k)} = {v} AND id % 8 <> {kind})" for v, kind in enumerate(kinds or ()) if kind is not None]
+    allowed = f" WHERE NOT ({' OR '.join(named)})" if named else ""
+    out = f",\nmk AS MATERIALIZED (SELECT run, seed, eps, id, {mark('id', k)} AS vertex FROM nodes, runs{allowed})"
     out += f",\nka AS MATERIALIZED (SELECT a.run, src, dst, a.vertex AS child, b.vertex FROM arcs JOIN mk a ON a.id = src JOIN mk b ON b.id = dst AND a.run = b.run WHERE {' OR '.join(f'(a.vertex = {c} AND b.vertex = {p})' for c, p in tree.edges)})"
     for v in [v for level in tree.levels for v in level]:
         joins, xs, ys = "", [], []

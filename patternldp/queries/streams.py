@@ -13,7 +13,7 @@ from ..functions.pattern import Pattern
 from ..operators.kernel import make_runs
 from ..operators.star import star_dp
 from ..shipping import ship
-from ..sources.views import Graph, encode, table, view
+from ..sources.views import TURNS, Graph, encode, table, view
 from ..sqlapi import dp_sql
 from ..streaming import streams
 from . import sql
@@ -71,8 +71,18 @@ def _late(spark: SparkSession, d: str) -> DataFrame:
 
 
 add("stream_late_drop", _late, "SELECT CAST(0 AS BIGINT) AS late_windows")
-add("stream_star_window", lambda s, d: streams.star_snapshots(streams.event_stream(s, d)).select("batch", "estimate"))
-add("stream_foreach_walk", lambda s, d: streams.walk_snapshots(streams.event_stream(s, d)).select("batch", "estimate"))
+
+
+def snapshots_sql(estimates: str) -> str:
+    """A release on the edges up to each week."""
+    return "\nUNION ALL\n".join(
+        f"SELECT {w} AS batch, CAST(estimate AS VARCHAR) AS estimate FROM (WITH pairs AS (SELECT user_id * 8 + 6 AS a, CAST('0x' || substr(md5(event_type), 1, 8) AS BIGINT) * 8 + 7 AS b FROM events{'' if w == 4 else f" WHERE date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) // 7 <= {w}"}), arcs AS (SELECT DISTINCT a AS src, b AS dst FROM (SELECT a, b FROM pairs UNION ALL SELECT b, a FROM pairs)), deg AS (SELECT dst AS id, count(*) AS d FROM arcs GROUP BY dst), nodes AS (SELECT id FROM deg), {sql.runs(1.0, 1000 + w)}{estimates} SELECT * FROM est)"
+        for w in range(5)
+    )
+
+
+add("stream_star_window", lambda s, d: streams.star_snapshots(streams.event_stream(s, d)).select("batch", "estimate"), snapshots_sql(sql.star_estimates(3)))
+add("stream_foreach_walk", lambda s, d: streams.walk_snapshots(streams.event_stream(s, d)).select("batch", "estimate"), snapshots_sql(sql.walk_estimates(3, "")))
 
 
 def _star_by_window(spark: SparkSession, d: str) -> DataFrame:
@@ -95,7 +105,7 @@ add("stream_star_weeks_batch", _star_by_window, _WEEK)
 
 # Python functions.
 add("udf_pandas_laplace", lambda s, d: table(s, d, "part").select("p_partkey", F.round(udfs.laplace_np(uniform(F.lit(42), F.lit("f"), encode("p_partkey", 1)), F.lit(2.0)), 9).alias("x")), f"SELECT p_partkey, round({sql.laplace('2.0e0', '42', chr(39) + 'f' + chr(39), 'p_partkey * 8 + 1')}, 9) AS x FROM part")
-add("udf_grouped_exact_paths", lambda s, d: udfs.grouped_paths(view(s, d, "turns").arcs.withColumn("conv", F.floor(F.col("src") / 1000)), "conv", 4).agg(F.sum("ordered").alias("ordered")), "SELECT CAST(2 * sum(greatest(n - 4, 0)) AS BIGINT) AS ordered FROM (SELECT count(*) AS n FROM conversations GROUP BY conv_id)")
+add("udf_grouped_exact_paths", lambda s, d: udfs.grouped_paths(view(s, d, "turns").arcs.withColumn("conv", F.floor(F.col("src") / TURNS)), "conv", 4).agg(F.sum("ordered").alias("ordered")), "SELECT CAST(2 * sum(greatest(n - 4, 0)) AS BIGINT) AS ordered FROM (SELECT count(*) AS n FROM conversations GROUP BY conv_id)")
 add("udaf_trimmed_mean", lambda s, d: table(s, d, "lineitem").groupBy("l_returnflag").agg(F.round(udfs.trimmed(F.col("l_quantity"), 100), 9).alias("trimmed")), "SELECT l_returnflag, round(avg(q), 9) AS trimmed FROM (SELECT l_returnflag, l_quantity AS q, row_number() OVER (PARTITION BY l_returnflag ORDER BY l_quantity) AS r, count(*) OVER (PARTITION BY l_returnflag) AS n FROM lineitem) WHERE r > 100 AND r <= n - 100 GROUP BY l_returnflag")
 
 

@@ -16,6 +16,7 @@ from .scratch import pin
 
 # The kinds of nodes in ids.
 PART, SUPPLIER, CUSTOMER, NATION, REGION, USER, DOCUMENT = 1, 2, 3, 4, 5, 6, 7
+TURNS = 1 << 20  # more than any conversation has
 
 
 @dataclass
@@ -132,16 +133,16 @@ def supply_sparse(spark: SparkSession, d: str) -> Graph:
 def handoff(spark: SparkSession, d: str) -> Graph:
     """Users whose purchases follow one another in time.
 
-    The successor in time is found by day: within a day by a window, across days from each day's first and last
+    The successor in time is found by hour: within an hour by a window, across hours from each one's first and last
     purchase, so that no task orders all events.
     """
     e = table(spark, d, "events")
-    buys = e.where("event_type = 'purchase'").select("ts", "event_id", "user_id", F.to_date("ts").alias("day"))
-    order = Window.partitionBy("day").orderBy("ts", "event_id")
+    buys = e.where("event_type = 'purchase'").select("ts", "event_id", "user_id", F.date_trunc("hour", "ts").alias("hour"))
+    order = Window.partitionBy("hour").orderBy("ts", "event_id")
     within = buys.withColumn("next", F.lead("user_id").over(order)).where("next is not null").select("user_id", "next")
-    ends = buys.groupBy("day").agg(F.min_by("user_id", F.struct("ts", "event_id")).alias("first"), F.max_by("user_id", F.struct("ts", "event_id")).alias("last"))
-    days = ends.withColumn("next", F.lead("first").over(Window.orderBy("day"))).where("next is not null").select(F.col("last").alias("user_id"), "next")  # a row per day
-    pairs = within.union(days).select(encode("user_id", USER).alias("a"), encode("next", USER).alias("b"))
+    ends = buys.groupBy("hour").agg(F.min_by("user_id", F.struct("ts", "event_id")).alias("first"), F.max_by("user_id", F.struct("ts", "event_id")).alias("last"))
+    hours = ends.withColumn("next", F.lead("first").over(Window.orderBy("hour"))).where("next is not null").select(F.col("last").alias("user_id"), "next")  # a row per hour
+    pairs = within.union(hours).select(encode("user_id", USER).alias("a"), encode("next", USER).alias("b"))
     return Graph.from_pairs(e.select(encode("user_id", USER).alias("id")).distinct(), pairs, "handoff")
 
 
@@ -196,7 +197,7 @@ def doc_facets(spark: SparkSession, d: str) -> Graph:
 
 def turns(spark: SparkSession, d: str) -> Graph:
     """Each turn of a conversation and the next: disjoint paths."""
-    c = table(spark, d, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), "conv_id", "turn")
+    c = table(spark, d, "conversations").select((F.col("conv_id") * TURNS + F.col("turn")).alias("id"), "conv_id", "turn")
     after = Window.partitionBy("conv_id").orderBy("turn")
     pairs = c.select(F.col("id").alias("a"), F.when(F.lead("turn").over(after) == F.col("turn") + 1, F.lead("id").over(after)).alias("b")).where("b is not null")
     return Graph.from_pairs(c.select("id"), pairs, "turns")

@@ -105,7 +105,7 @@ def snapshots(events: DataFrame, release: Callable[[Graph, DataFrame, int], Data
     out, seen, state = fresh_path(spark, label), fresh_path(spark, f"{label}-edges"), fresh_path(spark, f"{label}-state")
 
     def step(batch: DataFrame, i: int) -> None:
-        batch.select((F.col("user_id") * 8 + 6).alias("a"), (F.crc32(F.encode("event_type", "UTF-8")) * 8 + 7).alias("b")).distinct().write.mode("append").parquet(seen)
+        batch.select((F.col("user_id") * 8 + 6).alias("a"), (F.conv(F.substring(F.md5("event_type"), 1, 8), 16, 10).cast("long") * 8 + 7).alias("b")).distinct().write.mode("append").parquet(seen)
         pairs = batch.sparkSession.read.schema("a long, b long").parquet(seen)
         graph = Graph.from_pairs(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct(), pairs).pinned()
         release(graph, make_runs(batch.sparkSession, eps, seed=1000 + i), i).withColumn("batch", F.lit(i)).write.mode("append").parquet(out)

@@ -221,3 +221,72 @@ def test_plans_have_no_cartesian_or_python(spark, small):
     assert "CartesianProduct" not in text and "Python" not in text
     scan = view(spark, "/root/testdata/sf0.001", "copurchase").arcs._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull(l_quantity)" in scan and "l_extendedprice" not in scan
+
+
+def test_scales_of_the_worked_examples():
+    """Two rounds at epsilon 4 give every node and round a share of 1; a three-edge path under marks is rescaled by 256."""
+    shares = [e for name, e in ledger.walk_ledger(2, 4.0).entries if e]
+    assert shares == [2.0, 2.0] and ledger.walk_ledger(2, 4.0).total == pytest.approx(4.0)  # both endpoints, 1 each
+    assert path_tree(3).factor == 256 and path_tree(3).rounds == 3
+    assert ledger.tree_ledger(path_tree(3), 1.0).total == 1.0  # public marks give neither a split nor a discount
+
+
+def test_bytes_depend_on_neither_epsilon_nor_much_on_the_pattern(spark):
+    g = view(spark, "/root/testdata/sf0.001", "trade").pinned()
+    means = []
+    for t in (path_tree(4), path_tree(5), path_tree(6), ROOTED["fork"], ROOTED["fork_alt"], ROOTED["d22"]):
+        by = {e: protocol.mean_bytes(make_runs(spark, e, reps=4), cost.tree_measured(g, make_runs(spark, e, reps=4), t)).first()["comm_mean"] for e in (0.2, 4.0)}
+        assert len(set(by.values())) == 1
+        means.append(by[0.2])
+    assert max(means) < 1.35 * min(means)
+
+
+def test_zero_reporting_costs_more_and_routing_less():
+    n, m = 1000, 5000
+    for k in (4, 5, 6):
+        assert cost.tree_bytes(n, m, k, k - 1, "zero") > cost.path_bytes(n, m, k)
+        assert cost.walk_bytes(n, m, k) < cost.walk_bytes(n, m, k, routing="broadcast")
+
+
+def test_tail_bounds_hold():
+    rng = random.Random(9)
+    scales = [1.0, 2.0, 0.5, 3.0]
+    draw = lambda b: b * math.log(rng.random() / rng.random())
+    sums = [abs(sum(draw(b) for b in scales)) for _ in range(4000)]
+    assert sum(s > bounds.laplace_sum_bound(scales, 0.1) for s in sums) / len(sums) <= 0.1
+    heads = [sum(rng.random() < 0.5 for _ in range(100)) for _ in range(4000)]
+    for delta in (0.1, 0.2, 0.4):
+        assert sum(h >= (1 + delta) * 50 for h in heads) / len(heads) <= bounds.chernoff_upper(50.0, delta)
+    assert sum(abs(h - 50) >= 3 * 5 for h in heads) / len(heads) <= bounds.chebyshev(3.0)
+
+
+def test_labelled_patterns_by_brute_force(spark, small):
+    """A node's kind is its id modulo 8; only nodes of the asked kind hold a vertex."""
+    g, pairs = small
+    t, kinds = path_tree(2), (None, 3, 1)
+    near = defaultdict(set)
+    for a, b in pairs:
+        near[a].add(b)
+        near[b].add(a)
+    marks = {r["id"]: r["m"] for r in g.nodes.select("id", mark(F.col("id"), t.k, F.lit(42)).alias("m")).collect()}
+    holds = {x: m for x, m in marks.items() if kinds[m] is None or x % 8 == kinds[m]}
+    want = t.factor * sum(math.prod(sum(holds.get(y) == c for y in near[x]) for c in t.children[t.root]) for x, m in holds.items() if m == t.root)
+    got = tree.tree_dp(g, make_runs(spark, 1e9), t, kinds=kinds).first()
+    assert int(got["marked_estimate"]) == want == int(got["estimate"])
+
+
+def test_marked_only_equals_the_marked_estimate(spark, small):
+    g, _ = small
+    runs = make_runs(spark, reps=5)
+    for t in (path_tree(3), ROOTED["fork"], ROOTED["d212"]):
+        a = {r["run"]: r["estimate"] for r in tree.tree_marked(g, runs, t).collect()}
+        assert a == {r["run"]: r["marked_estimate"] for r in tree.tree_dp(g, runs, t).collect()}
+
+
+def test_central_noise_covers_both_ends(spark, small):
+    g, _ = small
+    runs = make_runs(spark)
+    for cap in (3, 5, 64):
+        assert audit.central_star_loss(g, runs, 3, cap).first()["max_loss"] <= 1.0
+    star5 = graph_of(spark, 8, [(a, b) for a in range(7) for b in range(a)])
+    assert audit.central_star_loss(star5, runs, 3, 6).first()["max_loss"] == pytest.approx(1.0)  # tight where both ends are at the cap
