@@ -41,36 +41,33 @@ def _stamp(c: str) -> F.Column:
 
 add("stream_edges_dedup", lambda s, d: streams.drained(streams.dedup_edges(streams.event_stream(s, d)), "dedup"), "SELECT DISTINCT user_id, event_type FROM events")
 add("stream_degree", lambda s, d: streams.last_batch(streams.drained(streams.stateful_degree(streams.event_stream(s, d)), "degree", "update"), ["user_id"]), "SELECT user_id, count(*) AS degree FROM events GROUP BY user_id")
-_LATE = "date_trunc('day', (SELECT max(ts) FROM events)) - INTERVAL 2 DAY"
-add("stream_tumbling_pairs", lambda s, d: (lambda x: x.where(F.col("start") < F.lit("2024-01-25").cast("timestamp")).select(_stamp("start"), "event_type", "n"))(streams.drained(streams.tumbling_counts(streams.event_stream(s, d)), "tumbling")), "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS start, event_type, count(*) AS n FROM events WHERE ts < TIMESTAMP '2024-01-25' GROUP BY 1, 2")
-add("stream_sliding_users", lambda s, d: (lambda x: x.where(F.col("start") < F.lit("2024-01-20").cast("timestamp")).select(_stamp("start"), "n"))(streams.drained(streams.sliding_users(streams.event_stream(s, d)), "sliding")), "SELECT strftime(w, '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM (SELECT unnest([date_trunc('day', ts), date_trunc('day', ts) - INTERVAL 1 DAY]) AS w FROM events) WHERE w < TIMESTAMP '2024-01-20' GROUP BY w")
-add("stream_session_users", lambda s, d: (lambda x: x.where(F.col("start") < F.lit("2024-01-15").cast("timestamp")).groupBy("user_id").agg(F.count("*").alias("sessions")))(streams.drained(streams.user_sessions(streams.event_stream(s, d)), "sessions")), "SELECT user_id, count(*) AS sessions FROM (SELECT user_id, ts, lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS p FROM events) WHERE (p IS NULL OR ts >= p + INTERVAL 6 HOUR) AND ts < TIMESTAMP '2024-01-15' GROUP BY user_id")
 # Over all events: a closing row lets the watermark pass every window and session.
-add("stream_tumbling_pairs_all", lambda s, d: streams.drained(streams.tumbling_counts(streams.event_stream(s, d, closing=True)), "tumbling").select(_stamp("start"), "event_type", "n"), "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")
-add("stream_sliding_users_all", lambda s, d: streams.drained(streams.sliding_users(streams.event_stream(s, d, closing=True)), "sliding").select(_stamp("start"), "users", "n"), "SELECT strftime(w, '%Y-%m-%d %H:%M:%S') AS start, count(DISTINCT user_id) AS users, count(*) AS n FROM (SELECT user_id, unnest([date_trunc('day', ts), date_trunc('day', ts) - INTERVAL 1 DAY]) AS w FROM events) GROUP BY w")
-add("stream_session_users_all", lambda s, d: streams.drained(streams.user_sessions(streams.event_stream(s, d, closing=True)), "sessions").select("user_id", _stamp("start"), "n"), "SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM (SELECT user_id, ts, count(*) FILTER (WHERE p IS NULL OR ts >= p + INTERVAL 6 HOUR) OVER (PARTITION BY user_id ORDER BY ts) AS session FROM (SELECT user_id, ts, lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS p FROM events)) GROUP BY user_id, session")
+add("stream_tumbling_pairs", lambda s, d: streams.drained(streams.tumbling_counts(streams.event_stream(s, d, closing=True)), "tumbling").select(_stamp("start"), "event_type", "n"), "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")
+add("stream_sliding_users", lambda s, d: streams.drained(streams.sliding_users(streams.event_stream(s, d, closing=True)), "sliding").select(_stamp("start"), "users", "n"), "SELECT strftime(w, '%Y-%m-%d %H:%M:%S') AS start, count(DISTINCT user_id) AS users, count(*) AS n FROM (SELECT user_id, unnest([date_trunc('day', ts), date_trunc('day', ts) - INTERVAL 1 DAY]) AS w FROM events) GROUP BY w")
+add("stream_session_users", lambda s, d: streams.drained(streams.user_sessions(streams.event_stream(s, d, closing=True)), "sessions").select("user_id", _stamp("start"), "n"), "SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM (SELECT user_id, ts, count(*) FILTER (WHERE p IS NULL OR ts >= p + INTERVAL 6 HOUR) OVER (PARTITION BY user_id ORDER BY ts) AS session FROM (SELECT user_id, ts, lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS p FROM events)) GROUP BY user_id, session")
 
 
 def _late(spark: SparkSession, d: str) -> DataFrame:
-    """Rows that arrive a day late and more are dropped by the watermark: files come in reverse time order."""
+    """Rows that arrive a day late and more are dropped by the watermark: all later events come first."""
     from ..sources.scratch import fresh_path
 
     folder = fresh_path(spark, "late-files")
     ev = table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
-    ev.where("ts >= '2024-01-20'").coalesce(1).write.mode("append").parquet(folder)
-    first = spark.readStream.schema(ev.schema).option("maxFilesPerTrigger", 1).option("latestFirst", "false").parquet(folder)
+    ev.where("ts >= '2024-01-10'").write.mode("append").parquet(folder)
+    first = spark.readStream.schema(ev.schema).parquet(folder)
     out, state = fresh_path(spark, "late"), fresh_path(spark, "late-state")
 
     def go() -> None:
         streams.tumbling_counts(first).writeStream.format("parquet").option("path", out).option("checkpointLocation", state).outputMode("append").trigger(availableNow=True).start().awaitTermination()
 
     go()
-    ev.where("ts < '2024-01-10'").coalesce(1).write.mode("append").parquet(folder)
+    ev.where("ts < '2024-01-10'").write.mode("append").parquet(folder)
     go()
-    return spark.read.parquet(out).agg(F.count_if(F.col("start") < F.lit("2024-01-10").cast("timestamp")).alias("late_windows"))
+    early = F.col("start") < F.lit("2024-01-10").cast("timestamp")
+    return spark.read.parquet(out).agg(F.count_if(early).alias("late_windows"), F.count_if(~early).alias("windows"))
 
 
-add("stream_late_drop", _late, "SELECT CAST(0 AS BIGINT) AS late_windows")
+add("stream_late_drop", _late, "SELECT CAST(0 AS BIGINT) AS late_windows, count(*) AS windows FROM (SELECT DISTINCT date_trunc('day', ts) AS start, event_type FROM events WHERE ts >= TIMESTAMP '2024-01-10') WHERE start + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 DAY FROM events)")
 
 
 def snapshots_sql(estimates: str) -> str:

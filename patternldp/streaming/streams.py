@@ -23,27 +23,32 @@ from ..sources.views import Graph
 
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 CLOSING = "30 days"
+WEEKS, FILE_ROWS = 5, 5_000_000
 
 
-def event_stream(spark: SparkSession, sf_dir: str, files: int = 1, closing: bool = False) -> DataFrame:
-    """The events as a stream of files, a week each, in the order of time; ``ts`` as a timestamp.
+def event_stream(spark: SparkSession, sf_dir: str, file_rows: int = FILE_ROWS, closing: bool = False) -> DataFrame:
+    """The events as a stream, a week a micro-batch, in the order of time; ``ts`` as a timestamp.
 
-    ``closing`` adds a last file with one row of nulls ``CLOSING`` after the last event: it moves watermarks past all windows
+    A trigger takes as many files as every week has, so a week is written and read by many tasks, about ``file_rows`` rows in
+    each of the thinnest week's files, and still arrives at once.
+
+    ``closing`` adds a last batch, one row of nulls ``CLOSING`` after the last event: it moves watermarks past all windows
     and sessions of events, while its own window stays open and is never written.
     """
     path = f"{sf_dir}/events.parquet"
-    schema = spark.read.parquet(path).schema
-    reader = spark.readStream.schema(schema).option("maxFilesPerTrigger", files)
+    rows = spark.read.parquet(path)
+    schema = rows.schema
+    week = F.least(F.greatest(F.floor(F.datediff(F.to_date("ts"), F.lit("2024-01-01")) / 7), F.lit(0)), F.lit(WEEKS - 1))
+    sizes = {r["week"]: r["count"] for r in rows.groupBy(week.alias("week")).count().collect()}
+    files = max(1, min(sizes.values(), default=0) // file_rows)
     folder = fresh_path(spark, "event-files")
-    week = F.floor(F.datediff(F.to_date("ts"), F.lit("2024-01-01")) / 7)
-    for w in range(5):  # one after the other, so that files are taken in the order of time
-        rows = spark.read.parquet(path)
-        rows.where((week <= 0) if w == 0 else (week >= 4) if w == 4 else week == w).coalesce(1).write.mode("append").parquet(folder)
-    if closing:
-        last = spark.read.parquet(path).agg(F.max("ts").alias("ts")).where("ts IS NOT NULL")
+    for w in sorted(sizes):  # one after the other, so that files are taken in the order of time
+        rows.where(week == w).repartition(files).write.mode("append").parquet(folder)
+    if closing or not sizes:
+        last = rows.agg(F.max("ts").alias("ts")).where("ts IS NOT NULL")
         row = [(F.col("ts") + F.expr(f"INTERVAL {CLOSING}") if f.name == "ts" else F.lit(None)).cast(f.dataType).alias(f.name) for f in schema]
         last.select(*row).coalesce(1).write.mode("append").parquet(folder)
-    return reader.parquet(folder).withColumn("ts", F.col("ts").cast("timestamp"))
+    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files).parquet(folder).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def drained(stream: DataFrame, label: str, mode: str = "append") -> DataFrame:

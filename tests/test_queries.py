@@ -35,15 +35,16 @@ def test_streams_and_functions(name, spark, sf, duck):
     check(streams, name, spark, sf, duck)
 
 
-@pytest.mark.parametrize("name", ["stream_tumbling_pairs_all", "stream_sliding_users_all", "stream_session_users_all"])
+@pytest.mark.parametrize("name", ["stream_tumbling_pairs", "stream_sliding_users", "stream_session_users"])
 def test_streams_return_every_window(name, spark, sf, duck):
     """Against SQL over all events, the last days included."""
     check(streams, name, spark, sf, duck)
 
 
-@pytest.mark.parametrize("name", ["stream_tumbling_pairs", "stream_sliding_users", "stream_session_users"])
-def test_streams_by_date(name, spark, sf, duck):
-    check(streams, name, spark, sf, duck)
+def test_weeks_of_many_files_stay_whole_batches(spark, sf):
+    got = streams.streams.drained(streams.streams.tumbling_counts(streams.streams.event_stream(spark, sf, file_rows=10, closing=True)), "many")
+    one = streams.streams.drained(streams.streams.tumbling_counts(streams.streams.event_stream(spark, sf, closing=True)), "one")
+    assert rows(got.toPandas()) == rows(one.toPandas()) and got.agg({"n": "sum"}).first()[0] == spark.read.parquet(f"{sf}/events.parquet").count()
 
 
 def test_sql_calls():
