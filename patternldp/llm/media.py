@@ -5,11 +5,12 @@ positions, captions and payload columns back side by side.  Payloads never take
 it lies, and the join sees one small row per digest.
 
 ``media_columns`` applies this to texts: a text's bytes become a grey image (binary PGM, 192 samples a row, one byte a
-sample), each text's page holds a reference to it and a caption, the image is stored once per partition and digest,
-read back and described.
+sample), stored once per partition and digest; the text's page is its own paragraphs with the image's figure and caption
+between their halves; the page is parsed, the references are resolved, and what is read back is described.
 
 Defined results: a null text is empty; an empty payload is one row of blanks; a reference that the store lacks keeps its
-position with null payload columns; equal texts have equal values; other columns are never read, so their names cannot clash.
+position with null payload columns; a paragraph is a line with a character that is no white space, and white space within it
+becomes one space; equal texts have equal values; other columns are never read, so their names cannot clash.
 """
 
 from __future__ import annotations
@@ -122,33 +123,66 @@ def resolve(rows: DataFrame, described: DataFrame, carried: list[str]) -> DataFr
     return flat.join(described, "digest", "left")
 
 
-def media_columns(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """``key``, ``n_bytes`` and what is read back of the stored image of every text."""
-    src = docs.select(F.col(key).alias("_key"), F.col(text).alias("_text"))
-    kind = src.schema["_key"].dataType.simpleString()
+def image_of(text: str | None) -> tuple[int, bytes]:
+    """The size of the text in bytes and its stored form: blanks fill the last row."""
+    data = text.encode("utf-8", "surrogatepass") if text else b""
+    return len(data), encode(data + b" " * (max(1, -(-len(data) // WIDTH)) * WIDTH - len(data)))
+
+
+def page_of(text: str | None, n_bytes: int, digest: str) -> str:
+    """The text's paragraphs with the figure after the first half of them (the middle one included)."""
+    parts = [f"<p>{html.escape(p)}</p>" for p in (text or "").split("\n") if p and not p.isspace()]
+    figure = f'<figure><img src="sha256:{digest}"><figcaption>{n_bytes} bytes</figcaption></figure>'
+    half = (len(parts) + 1) // 2
+    return f"<article>{''.join(parts[:half])}{figure}{''.join(parts[half:])}</article>"
+
+
+def text_sequences(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """``key``, ``n_bytes`` and the ``items`` of every text's page, in page order."""
+    src = docs.select(F.col(key), F.col(text))
+    schema = T.StructType([src.schema.fields[0], T.StructField("n_bytes", T.LongType()), T.StructField("items", T.ArrayType(ITEM))])
+
+    def make(cols: list[list]) -> dict[str, list]:
+        stored = [image_of(t) for t in cols[1]]
+        pages = (page_of(t, n, hashlib.sha256(image).hexdigest()) for t, (n, image) in zip(cols[1], stored))
+        return {key: cols[0], "n_bytes": [n for n, _ in stored], "items": [parse_sequence(p) for p in pages]}
+
+    return map_texts(src, 1, schema, make)
+
+
+def stored_images(docs: DataFrame, text: str = "text") -> DataFrame:
+    """``digest`` and ``image`` of every text, written once per partition and digest."""
 
     def store(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[bytes] = set()
         for batch in batches:
-            texts = batch.column(1).to_pylist()
+            texts = batch.column(0).to_pylist()
             for lo, hi in chunks(texts):
-                sizes, pages, digests, images = [], [], [], []
+                digests, images = [], []
                 for t in texts[lo:hi]:
-                    data = t.encode("utf-8", "surrogatepass") if t else b""
-                    image = encode(data + b" " * (max(1, -(-len(data) // WIDTH)) * WIDTH - len(data)))
+                    image = image_of(t)[1]
                     sha = hashlib.sha256(image)
-                    sizes.append(len(data))
-                    pages.append(f'<article><figure><img src="sha256:{sha.hexdigest()}"><figcaption>{len(data)} bytes</figcaption></figure></article>')
-                    digests.append(sha.hexdigest())
-                    images.append(None if sha.digest() in seen else image)
-                    seen.add(sha.digest())
-                yield pa.RecordBatch.from_arrays([batch.column(0)[lo:hi], pa.array(sizes, pa.int64()), pa.array(pages), pa.array(digests), pa.array(images, pa.binary())], names=["_key", "n_bytes", "page", "digest", "image"])
-
-    stored = materialise(src.mapInArrow(store, f"_key {kind}, n_bytes long, page string, digest string, image binary"), "media")
-    described = describe(stored.where("image is not null").select("digest", "image"))
-    schema = T.StructType([stored.schema["_key"], stored.schema["n_bytes"], T.StructField("items", T.ArrayType(ITEM))])
-    rows = map_texts(stored.select("_key", "n_bytes", "page"), 2, schema, lambda c: {"_key": c[0], "n_bytes": c[1], "items": [parse_sequence(p) for p in c[2]]})
-    return resolve(rows, described, ["_key", "n_bytes"]).withColumnRenamed("_key", key)
+                    if sha.digest() not in seen:
+                        seen.add(sha.digest())
+                        digests.append(sha.hexdigest())
+                        images.append(image)
+                yield pa.RecordBatch.from_arrays([pa.array(digests, pa.string()), pa.array(images, pa.binary())], names=["digest", "image"])
+
+    return materialise(docs.select(F.col(text)).mapInArrow(store, "digest string, image binary"), "media")
+
+
+def media_columns(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """``key``, ``n_bytes``, the image's place and caption, and what is read back of it, one row for every text.
+
+    ``n_items`` and ``sequence_crc32`` (texts and references in page order, a line feed after each) stand for the whole
+    sequence, which ``text_sequences`` returns and which takes no part in the join.
+    """
+    plain = docs.select(F.col(key).alias("_key"), F.col(text).alias("_text"))
+    described = describe(stored_images(plain, "_text"))
+    line = F.transform("items", lambda x: F.concat(F.coalesce(x["text"], x["ref"]), F.lit("\n")))
+    carried = ["_key", "n_bytes", F.size("items").cast("long").alias("n_items"), F.crc32(F.encode(F.concat_ws("", line), "utf-8")).alias("sequence_crc32")]
+    rows = text_sequences(plain, "_key", "_text").select(*carried, F.filter("items", lambda x: x["ref"].isNotNull()).alias("items"))
+    return resolve(rows, described, ["_key", "n_bytes", "n_items", "sequence_crc32"]).withColumnRenamed("_key", key)
 
 
 _DESCRIBED = "digest string, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"

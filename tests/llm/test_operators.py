@@ -423,6 +423,27 @@ def test_viterbi_fold_by_brute_force(spark):
 
 
 # Media.
+def n_lines(text):
+    return sum(bool(x.split()) for x in (text or "").split("\n"))
+
+
+def test_media_stand_among_the_paragraphs_of_their_text(spark):
+    texts = ["one\n\ntwo <b> &amp; x\n \t \nthree  four\nfive", "only", None, "", "\n\n", "a\x1cb\nc\u2003d\n\u00a0"]
+    df = spark.createDataFrame([(i, t, "clash", 5) for i, t in enumerate(texts)], "doc_id long, text string, items string, digest long")
+    got = {r["doc_id"]: r for r in media.text_sequences(df).collect()}
+    columns = {r["doc_id"]: r for r in media.media_columns(df).collect()}
+    for i, t in enumerate(texts):
+        want = [" ".join(x.split()) for x in (t or "").split("\n") if x.split()]
+        half = (len(want) + 1) // 2
+        items = got[i]["items"]
+        assert [x["text"] for x in items] == want[:half] + [None] + want[half:] and [x["position"] for x in items] == list(range(len(want) + 1))
+        assert items[half]["caption"] == f"{len((t or '').encode())} bytes" == columns[i]["caption"] and columns[i]["position"] == half
+        assert items[half]["ref"] == "sha256:" + columns[i]["media_sha256"]
+        lines = "".join((x["text"] or x["ref"]) + "\n" for x in items)
+        assert (columns[i]["n_items"], columns[i]["sequence_crc32"]) == (len(items), zlib.crc32(lines.encode()))
+    assert columns[2]["media_sha256"] == columns[3]["media_sha256"] != columns[4]["media_sha256"]
+
+
 def test_media_round_trip(docs, empty):
     got = media.media_columns(docs).collect()
     assert len(got) == docs.count() and media.media_columns(empty).count() == 0
@@ -431,7 +452,8 @@ def test_media_round_trip(docs, empty):
         data = (texts[r["doc_id"]] or "").encode()
         p = data + b" " * (max(1, -(-len(data) // 192)) * 192 - len(data))
         image = media.encode(p)
-        assert (r["n_bytes"], r["payload_bytes"], r["payload_sha256"], r["tail_crc32"], r["media_bytes"], r["media_sha256"], r["feature"], r["position"], r["caption"]) == (len(data), len(p), hashlib.sha256(p).hexdigest(), zlib.crc32(p[-16:]), len(image), hashlib.sha256(image).hexdigest(), media.feature(p), 0, f"{len(data)} bytes")
+        assert (r["n_bytes"], r["payload_bytes"], r["payload_sha256"], r["tail_crc32"], r["media_bytes"], r["media_sha256"], r["feature"], r["position"], r["caption"]) == (len(data), len(p), hashlib.sha256(p).hexdigest(), zlib.crc32(p[-16:]), len(image), hashlib.sha256(image).hexdigest(), media.feature(p), (n_lines(texts[r["doc_id"]]) + 1) // 2, f"{len(data)} bytes")
+        assert r["n_items"] == n_lines(texts[r["doc_id"]]) + 1
     with pytest.raises(ValueError):
         media.decode(b"P5\n192 2\n255\nxx")
     with pytest.raises(ValueError):
