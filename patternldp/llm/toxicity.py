@@ -1,10 +1,14 @@
 """Convolutional toxicity classifier in numpy: hashed word embeddings, filters of several widths, max pooling.
 
-A word's embedding holds fixed numbers, the shrunk log-odds of its hashed form and of its hashed prefixes of four to
-eight bytes, and a few learned ones from a hashed table.  While training, a document's own words are taken
-out of its log-odds, so that rare words do not look decisive.  Filters of width 1, 2 and 3 run over the words, each keeps
-its largest response in the whole text, and a logistic layer scores them.  Thresholds are set by language; the
-language is guessed from the text's function words, and scores are shifted so that every threshold lies at 0.7.
+A word is known by the hashes of itself and of its prefixes of four to eight bytes.  Its embedding is the sum of the learned
+rows of these hashes, from a random start, beside the shrunk log-odds of each hash in the rows that are learned from.  While
+training, a document's own words are taken out of its log-odds, so that rare words do not look decisive, and half of the
+words are left out at random.  Filters of width 1, 2 and 3 run over the words, each keeps its largest response in the whole
+text, and a logistic layer scores them; filters and layer start at random, and the weights of the later epochs are averaged.
+
+A fifth of the rows of either label takes no part in the training: thresholds are set on it, by language, and drawn towards the
+threshold of all languages, and that towards even odds, the fewer rows there are.  The language is guessed from the text's
+function words, and scores are shifted so that every threshold lies at 0.7.
 
 The model is fitted on at most ``SAMPLE`` labelled documents of either label, drawn by hash; all else covers all
 rows.  Defined results: a null or empty text has no response and gets the score of none; rows of one id are scored each;
@@ -27,13 +31,15 @@ from .wordbytes import chunks, mix, word_hashes
 
 SAMPLE = 2500
 CUTOFF = 0.7
-BITS, LEARNED_BITS, LEARNED = 17, 12, 4
+BITS, LEARNED_BITS, LEARNED = 17, 14, 16
 PREFIXES = (4, 5, 6, 7, 8)
 FIXED = 1 + len(PREFIXES)
 WIDTHS = {1: 8, 2: 4, 3: 4}
-EPOCHS, BATCH, RATE, PENALTY = 6, 32, 0.02, 1e-4
+BATCH, RATE, TABLE_RATE, PENALTY, LEFT_OUT = 16, 0.01, 0.05, 1e-3, 0.5
+STEPS, EPOCHS = 800, (5, 40)  # epochs make about so many steps, within these bounds
 SHRINK = 1.5  # documents that the log-odds of a word are shrunk by
-MIN_CALIBRATION = 20
+ODDS_SCALE = 0.3
+CALIBRATION, PRIOR = 5, 20  # a row in five; rows that a threshold is shrunk by
 
 # Common function words of the languages that thresholds are kept for.
 FUNCTION_WORDS = {
@@ -113,26 +119,24 @@ class ToxicityModel:
         rng = np.random.default_rng(7)
         d = FIXED + LEARNED
         self.odds = np.zeros((FIXED, 1 << BITS), np.float32)
-        self.table = (rng.standard_normal((1 << LEARNED_BITS, LEARNED)) * 0.05).astype(np.float32)
-        self.filters = {w: (rng.standard_normal((w, d, n)) * 0.1).astype(np.float32) for w, n in WIDTHS.items()}
-        for f in range(FIXED):
-            self.filters[1][0, f, f] = 1.0
-        self.out = np.zeros(sum(WIDTHS.values()), np.float32)
-        self.out[:FIXED] = 0.4
-        self.bias = np.float32(-4.0)
+        self.weights = {"table": (rng.standard_normal((FIXED << LEARNED_BITS, LEARNED)) * 0.3).astype(np.float32), "bias": np.zeros(1, np.float32)}
+        for w, n in WIDTHS.items():
+            self.weights[f"filter{w}"] = (rng.standard_normal((w, d, n)) / np.sqrt(d * w)).astype(np.float32)
+            self.weights[f"shift{w}"] = np.zeros(n, np.float32)
+        self.weights["out"] = (rng.standard_normal(sum(WIDTHS.values())) * 0.3).astype(np.float32)
         self.limits = np.zeros(len(FUNCTION_WORDS) + 1)  # the last is for other languages
         self.fitted = False
 
     def embed(self, buckets: np.ndarray) -> np.ndarray:
-        x = np.empty((len(buckets), FIXED + LEARNED), np.float32)
+        x = np.zeros((len(buckets), FIXED + LEARNED), np.float32)
         for f in range(FIXED):
             x[:, f] = self.odds[f, buckets[:, f]]
-        x[:, FIXED:] = self.table[buckets[:, 0] >> (BITS - LEARNED_BITS)]
+            x[:, FIXED:] += self.weights["table"][_slot(buckets[:, f], f)]
         return x
 
     def _log_odds(self, pos: np.ndarray, neg: np.ndarray) -> np.ndarray:
         p1 = self.n[1] / (self.n[0] + self.n[1])
-        return np.log((pos + SHRINK * p1) / (neg + SHRINK * (1 - p1))) + np.log((1 - p1) / p1)
+        return ODDS_SCALE * (np.log((pos + SHRINK * p1) / (neg + SHRINK * (1 - p1))) + np.log((1 - p1) / p1))
 
     def _without(self, b: np.ndarray, f: int, label: int) -> np.ndarray:
         pos, neg = self.seen[f][1][b].astype(float), self.seen[f][0][b].astype(float)
@@ -140,7 +144,7 @@ class ToxicityModel:
 
     def respond(self, x: np.ndarray, w: int) -> np.ndarray:
         n = len(x) - w + 1
-        return sum(x[j : n + j] @ self.filters[w][j] for j in range(w)) if n > 0 else np.empty((0, WIDTHS[w]), np.float32)
+        return sum(x[j : n + j] @ self.weights[f"filter{w}"][j] for j in range(w)) + self.weights[f"shift{w}"] if n > 0 else np.empty((0, WIDTHS[w]), np.float32)
 
     def logits(self, buckets: np.ndarray, first: np.ndarray) -> np.ndarray:
         """One number per text, before calibration."""
@@ -158,12 +162,12 @@ class ToxicityModel:
                 starts = first[:-1][ok]
                 best[ok] = np.maximum(np.maximum.reduceat(r, starts, axis=0), 0)
             parts.append(best)
-        return np.concatenate(parts, 1) @ self.out + self.bias
+        return np.concatenate(parts, 1) @ self.weights["out"] + self.weights["bias"][0]
 
-    def fit(self, texts: list[str], labels: list[int]) -> ToxicityModel:
+    def fit(self, texts: list[str], labels: list[int], train: bool = True) -> ToxicityModel:
+        """``train=False`` leaves filters, layer and learned rows at their random start, for comparison."""
         y = np.array(labels, np.int64)
-        self.n = np.bincount(y, minlength=2).astype(float)
-        if not len(y) or not self.n.all():
+        if len(np.unique(y)) < 2:
             return self
         vocabulary, docs, langs = Vocabulary(), [], []
         for lo, hi in chunks(texts):
@@ -174,29 +178,35 @@ class ToxicityModel:
         langs = np.concatenate(langs)
         rows = vocabulary.rows()
         del vocabulary
+        aside = np.zeros(len(y), bool)
+        rng = np.random.default_rng(11)
+        for label in (0, 1):
+            own = rng.permutation(np.flatnonzero(y == label))
+            aside[own[: len(own) // CALIBRATION]] = True
+        self.n = np.bincount(y[~aside], minlength=2).astype(float)
         self.seen = np.zeros((FIXED, 2, 1 << BITS), np.float32)
-        for words, label in zip(docs, y):
-            own = rows[np.unique(words)]
+        for i in np.flatnonzero(~aside):
+            own = rows[np.unique(docs[i])]
             for f in range(FIXED):
-                self.seen[f, label, np.unique(own[:, f])] += 1
+                self.seen[f, y[i], np.unique(own[:, f])] += 1
         self.odds = np.stack([self._log_odds(s[1], s[0]) for s in self.seen]).astype(np.float32)
-        # Own words are taken out by label alone, so a word has two rows of fixed numbers, whatever the documents.
-        self.fixed = [np.stack([self._without(rows[:, f], f, label) for f in range(FIXED)], 1).astype(np.float32) for label in (0, 1)]
-        self.slots = rows[:, 0] >> (BITS - LEARNED_BITS)
-        del rows
-        self._train(docs, y)
-        scores = np.array([self._forward(words, label)[0] for words, label in zip(docs, y)])
-        everywhere = _limit(scores, y)
+        if train:
+            # Own words are taken out by label alone, so a word has two rows of fixed numbers, whatever the documents.
+            self.fixed = [np.stack([self._without(rows[:, f], f, label) for f in range(FIXED)], 1).astype(np.float32) for label in (0, 1)]
+            self.slots = np.stack([_slot(rows[:, f], f) for f in range(FIXED)], 1)
+            self._train(docs, y, np.flatnonzero(~aside), rng)
+            del self.fixed, self.slots
+        del self.seen
+        scores = np.array([self.logits(rows[docs[i]], np.array([0, len(docs[i])]))[0] for i in np.flatnonzero(aside)])
+        known, langs = y[aside], langs[aside]
+        everywhere = _limit(scores, known, 0.0)
         for at in range(-1, len(FUNCTION_WORDS)):
-            own = langs == at
-            enough = own.sum() >= MIN_CALIBRATION and 3 <= y[own].sum() < own.sum()
-            self.limits[at] = _limit(scores[own], y[own]) if enough else everywhere
+            self.limits[at] = _limit(scores[langs == at], known[langs == at], everywhere)
         self.fitted = True
-        del self.seen, self.fixed, self.slots
         return self
 
     def _forward(self, words: np.ndarray, label: int):
-        x = np.concatenate((self.fixed[label][words], self.table[self.slots[words]]), 1)
+        x = np.concatenate((self.fixed[label][words], self.weights["table"][self.slots[words]].sum(1)), 1)
         pooled, where = [], {}
         for w, n in WIDTHS.items():
             r = self.respond(x, w)
@@ -206,41 +216,58 @@ class ToxicityModel:
             else:
                 pooled.append(np.zeros(n, np.float32))
         h = np.concatenate(pooled)
-        return float(h @ self.out + self.bias), h, where, x
+        return float(h @ self.weights["out"] + self.weights["bias"][0]), h, where, x
 
-    def _train(self, docs: list[np.ndarray], y: np.ndarray) -> None:
-        rng = np.random.default_rng(11)
-        weights = {"out": self.out, "bias": np.array([self.bias], np.float32), "table": self.table} | {f"f{w}": a for w, a in self.filters.items()}
-        moment = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in weights.items()}
+    def _train(self, docs: list[np.ndarray], y: np.ndarray, rows: np.ndarray, rng: np.random.Generator) -> None:
+        table = self.weights["table"]
+        dense = {k: v for k, v in self.weights.items() if k != "table"}
+        moment = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in dense.items()}
+        spread = np.zeros(len(table), np.float32)
         heavy = min(4.0, self.n[0] / self.n[1])
+        epochs = min(max(-(-STEPS * BATCH // len(rows)), EPOCHS[0]), EPOCHS[1])
+        mean: dict[str, np.ndarray] = {}
         step = 0
-        for _ in range(EPOCHS):
-            order = rng.permutation(len(y))
-            for lo in range(0, len(y), BATCH):
-                grad = {k: np.zeros_like(v) for k, v in weights.items()}
+        for epoch in range(epochs):
+            order = rng.permutation(rows)
+            for lo in range(0, len(order), BATCH):
                 batch = order[lo : lo + BATCH]
+                grad = {k: np.zeros_like(v) for k, v in dense.items()}
+                touched, pulls = [], []
                 for i in batch:
-                    z, h, where, x = self._forward(docs[i], y[i])
+                    words = docs[i][rng.random(len(docs[i])) >= LEFT_OUT]
+                    z, h, where, x = self._forward(words, y[i])
                     g = (1 / (1 + np.exp(-z)) - y[i]) * (heavy if y[i] else 1.0) / len(batch)
                     grad["out"] += g * h
                     grad["bias"] += g
                     at = 0
                     for w, n in WIDTHS.items():
                         if w in where:
-                            live = g * self.out[at : at + n] * (h[at : at + n] > 0)
+                            live = g * dense["out"][at : at + n] * (h[at : at + n] > 0)
+                            grad[f"shift{w}"] += live
                             for j in range(w):
                                 p = where[w] + j
-                                grad[f"f{w}"][j] += x[p].T * live
-                                np.add.at(grad["table"], self.slots[docs[i][p]], live[:, None] * self.filters[w][j][FIXED:].T)
+                                grad[f"filter{w}"][j] += x[p].T * live
+                                touched.append(self.slots[words[p]].ravel())
+                                pulls.append(np.repeat(live[:, None] * dense[f"filter{w}"][j][FIXED:].T, FIXED, axis=0))
                         at += n
                 step += 1
-                for k, v in weights.items():
+                for k, v in dense.items():
                     m, s = moment[k]
-                    g = grad[k] + PENALTY * v
+                    g = grad[k] + (0 if k == "bias" else PENALTY) * v
                     m += 0.1 * (g - m)
                     s += 0.01 * (g * g - s)
                     v -= RATE * (m / (1 - 0.9**step)) / (np.sqrt(s / (1 - 0.99**step)) + 1e-6)
-                self.bias = weights["bias"][0]
+                if touched:
+                    slots, at_slot = np.unique(np.concatenate(touched), return_inverse=True)
+                    total = np.zeros((len(slots), LEARNED), np.float32)
+                    np.add.at(total, at_slot, np.concatenate(pulls))
+                    spread[slots] += (total * total).mean(1)
+                    table[slots] -= TABLE_RATE * total / (np.sqrt(spread[slots])[:, None] + 1e-6)
+            late = epoch - epochs // 2
+            if late >= 0:
+                for k, v in self.weights.items():
+                    mean[k] = v.copy() if late == 0 else mean[k] + (v - mean[k]) / (late + 1)
+        self.weights = mean
 
     def score(self, texts: list[str | None]) -> np.ndarray:
         if not self.fitted:
@@ -250,15 +277,24 @@ class ToxicityModel:
         return 1 / (1 + np.exp(-np.clip(z.astype(float), -40, 40)))
 
 
-def _limit(scores: np.ndarray, y: np.ndarray) -> float:
-    """The threshold with the best balanced accuracy, in the middle of its gap."""
+def _slot(bucket: np.ndarray, f: int) -> np.ndarray:
+    """The learned row of a bucket of feature ``f``."""
+    return (bucket >> (BITS - LEARNED_BITS)) + (f << LEARNED_BITS)
+
+
+def _limit(scores: np.ndarray, y: np.ndarray, base: float) -> float:
+    """The threshold with the best balanced accuracy, in the middle of its gap, drawn towards ``base`` where rows are few."""
+    rarer = min((y == 0).sum(), (y == 1).sum())
+    if not rarer:
+        return base
     order = np.argsort(scores, kind="stable")
     s, label = scores[order], y[order]
-    below = np.concatenate(([0], np.cumsum(label == 0))) / max(1, (label == 0).sum())
-    above = 1 - np.concatenate(([0], np.cumsum(label == 1))) / max(1, (label == 1).sum())
+    below = np.concatenate(([0], np.cumsum(label == 0))) / (label == 0).sum()
+    above = 1 - np.concatenate(([0], np.cumsum(label == 1))) / (label == 1).sum()
     edges = np.concatenate(([s[0] - 2], (s[1:] + s[:-1]) / 2, [s[-1] + 2]))
     ok = np.concatenate(([True], s[1:] > s[:-1], [True]))
-    return float(edges[np.argmax(np.where(ok, below + above, -1))])
+    best = edges[np.argmax(np.where(ok, below + above, -1))]
+    return float(base + (best - base) * rarer / (rarer + PRIOR))
 
 
 def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, key: str = "doc_id", text: str = "text", label: str = "toxic", learnable: Column | None = None) -> list[tuple[str, int]]:

@@ -241,6 +241,22 @@ def test_toxicity_held_out(spark):
     assert clean.columns == docs.columns and 0.8 < clean.count() / docs.count() < 0.95
 
 
+def test_training_beats_the_random_start(spark):
+    d = "/root/testdata/sf0.1"
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    rows = toxicity.training_rows(docs, labels, learnable=F.crc32(F.col("doc_id").cast("string")) % 3 != 1)
+    held = docs.join(labels, "doc_id").where(F.crc32(F.col("doc_id").cast("string")) % 3 == 1).select("text", "toxic").collect()
+    texts, labels = [r["text"] or "" for r in held], np.array([r["toxic"] for r in held])
+
+    def balanced(train):
+        m = toxicity.ToxicityModel().fit([t for t, _ in rows], [y for _, y in rows], train)
+        hit = np.concatenate([m.score(texts[lo:hi]) for lo, hi in wordbytes.chunks(texts)]) >= toxicity.CUTOFF
+        return (hit[labels == 1].mean() + (~hit[labels == 0]).mean()) / 2
+
+    trained, start = balanced(True), balanced(False)
+    assert trained > 0.94 and trained > start + 0.1, (trained, start)
+
+
 def test_toxicity_edges(spark, docs, empty):
     labels = spark.createDataFrame([(1, 0), (2, 1), (4, 0), (None, 1)], "doc_id long, toxic int")
     model = toxicity.fit(docs, labels)
