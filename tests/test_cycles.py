@@ -27,3 +27,9 @@ def test_cycles_equal_joins(spark, pattern):
     g = Graph.from_pairs(spark.range(13).toDF("id"), spark.createDataFrame(pairs, "a long, b long")).pinned()
     want = exact.tree_exact_by_joins(g, pattern).first()[0]
     assert want > 0 and exact.tree_exact(g, pattern).first()[0] == want
+
+
+def test_a_pinned_graph_is_dealt_to_all_cores(spark):
+    """Its few bytes lay in one file, so that one task drew the noise of all runs."""
+    g = Graph(spark.range(0, 5000, 1, 1).toDF("id"), spark.range(0, 5000, 1, 1).select(F.col("id").alias("src"), F.col("id").alias("dst"))).pinned()
+    assert len(g.nodes.inputFiles()) > 1 and len(g.arcs.inputFiles()) > 1 and g.pinned() is g and g.nodes.count() == 5000
