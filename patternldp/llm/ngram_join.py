@@ -32,6 +32,7 @@ import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .arrowmap import released
 from .components import components
 from .scratch import materialise
 from .wordbytes import chunks, mix, shingle_sets
@@ -354,7 +355,7 @@ def _edges(placed: DataFrame, content: str, solve) -> DataFrame:
     meets = F.expr("transform(sequence(0L, parts - 1), p -> struct(least(part, p) AS i, greatest(part, p) AS j))")
     spread = placed.withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts"))).select("name", "part", "node", content, F.explode(meets).alias("m"))
     pairs = spread.select("name", F.col("m.i").alias("i"), F.col("m.j").alias("j"), "part", "node", content)
-    return pairs.repartition(parts, "name", "i", "j").sortWithinPartitions("name", "i", "j", "node").mapInArrow(_by_pair(solve), "a long, b long")
+    return pairs.repartition(parts, "name", "i", "j").sortWithinPartitions("name", "i", "j", "node").mapInArrow(released(_by_pair(solve)), "a long, b long")
 
 
 def _bitmap(ids: DataFrame) -> bytes:
@@ -381,7 +382,7 @@ def _texts_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
             yield batch.filter(pa.array(keep.astype(bool))).select([1, 2])
 
     hashed = docs.where("id is not null").select(F.pmod(F.xxhash64("id"), F.lit(parts)).alias("h"), "id", "text")
-    return hashed.mapInArrow(run, "id long, text string")
+    return hashed.mapInArrow(released(run), "id long, text string")
 
 
 def ngram_classes(docs: DataFrame, key: str = "doc_id", text: str = "text", k: int = 4, num: int = 85, den: int = 100) -> DataFrame:
@@ -389,8 +390,8 @@ def ngram_classes(docs: DataFrame, key: str = "doc_id", text: str = "text", k: i
     threshold = Threshold(num, den)
     src = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"))
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = src.mapInArrow(_describe(k, threshold), _ROW_DDL).repartition(parts, "key").sortWithinPartitions("key", "a")
-    rows = materialise(dealt.mapInArrow(_buckets, _ROW_DDL), "ngram-rows")
+    dealt = src.mapInArrow(released(_describe(k, threshold)), _ROW_DDL).repartition(parts, "key").sortWithinPartitions("key", "a")
+    rows = materialise(dealt.mapInArrow(released(_buckets), _ROW_DDL), "ngram-rows")
     described = rows.where("n is not null").select(F.col("a").alias("id"), "node", "n")
     firsts = described.where("node is not null").groupBy("node").agg(F.min("id").alias("id"), F.max("n").alias("n"))
     vectors = rows.where("vec is not null").groupBy("node").agg(F.min("vec").alias("vec"))

@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .arrowmap import map_texts
+from .arrowmap import map_texts, released
 from .scratch import release_memory
 from .wordbytes import chunks, mix, word_hashes
 
@@ -337,4 +337,4 @@ def keep_clean(docs: DataFrame, labels: DataFrame, text: str = "text") -> DataFr
 
     names = [f"_c{i}" for i in range(len(docs.columns))]
     plain = docs.toDF(*names)
-    return plain.mapInArrow(run, plain.schema).toDF(*docs.columns)
+    return plain.mapInArrow(released(run), plain.schema).toDF(*docs.columns)
