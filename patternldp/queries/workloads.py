@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.pattern import ROOTED, RootedPattern, path_tree
-from ..operators import audit, baselines, bounds, cost, exact, star, tree, walk
+from ..operators import audit, baselines, bounds, cost, exact, many, star, tree, walk
 from ..operators.kernel import make_runs
 from ..plans import protocol as proto
 from ..sources.views import Graph
@@ -37,8 +37,9 @@ def comm_channels(t: RootedPattern) -> str:
 def tree_protocol(v: str, t: RootedPattern, eps: float | list[float] = 1.0) -> tuple[Callable[[SparkSession, str], DataFrame], str]:
     def make(g: Graph) -> DataFrame:
         r = make_runs(g.nodes.sparkSession, eps, reps=proto.REPS)
-        error = proto.protocol(r, tree.tree_dp(g, r, t), exact.tree_exact(g, t.pattern()))
-        sent = proto.mean_bytes(r, cost.tree_measured(g, r, t))
+        got = many.tree_totals(g, r, t)
+        error = proto.protocol(r, got.estimate, exact.tree_exact(g, t.pattern()))
+        sent = proto.mean_bytes(r, got.sent)
         return error.join(sent, "eps").select("eps", digits("rel_err"), digits("comm_mean"))
 
     o = sql.graph(v) + ",\n" + sql.runs(eps, 42, proto.REPS) + sql.tree_estimates(t) + bytes_of(t)
