@@ -90,7 +90,7 @@ def versus(v: str, kind: str, k: int) -> tuple[Callable[[SparkSession, str], Dat
     def make(g: Graph) -> DataFrame:
         r = make_runs(g.nodes.sparkSession, reps=proto.REPS)
         if kind == "wk":
-            true, a, b = walk.walk_exact(g, k), walk.walk_dp(g, r, k), baselines.walk_clipped(g, r, k)
+            true, a, b = walk.walk_exact(g, k), many.walk3_dp(g, r) if k == 3 else walk.walk_dp(g, r, k), baselines.walk_clipped(g, r, k)
         else:
             true, a, b = exact.star_exact(g, k), star.star_dp(g, r, k), baselines.star_capped(g, r, k)
         both = proto.protocol(r, a, true).select("eps", F.col("rel_err").alias("ours")).join(proto.protocol(r, b, true).select("eps", F.col("rel_err").alias("other")), "eps").crossJoin(F.broadcast(_size(g)))

@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from patternldp.functions.pattern import ROOTED, path_tree
-from patternldp.operators import cost, many, tree
+from patternldp.operators import baselines, cost, many, tree, walk
 from patternldp.operators.kernel import make_runs
 from patternldp.sources.views import Graph
 
@@ -57,3 +57,32 @@ def test_empty_graphs(spark):
     g = Graph(spark.range(5).toDF("id"), spark.createDataFrame([], "src long, dst long"))
     runs = make_runs(spark, 1.0, reps=3)
     assert as_rows(many.tree_dp(g, runs, ROOTED["d22"])) == as_rows(tree.tree_dp(g, runs, ROOTED["d22"]))
+
+
+def test_walks_of_three_edges_equal_rows(spark, graph, monkeypatch):
+    monkeypatch.setattr(many, "ARCS", 40)
+    runs = make_runs(spark, [0.2, 1.0, 1e9], reps=3)
+    assert as_rows(many.walk3_dp(graph, runs)) == as_rows(walk.walk_dp(graph, runs, 3))
+    lone = Graph(spark.range(4).toDF("id"), spark.createDataFrame([], "src long, dst long"))
+    assert as_rows(many.walk3_dp(lone, runs)) == as_rows(walk.walk_dp(lone, runs, 3))
+
+
+def test_exact_walks_from_the_middle(spark, graph):
+    near = np.zeros((90, 90), object)
+    at = {r["id"]: i for i, r in enumerate(graph.nodes.orderBy("id").collect())}
+    for r in graph.arcs.collect():
+        near[at[r["src"]], at[r["dst"]]] = 1
+    power = np.eye(90, dtype=object)
+    for k in range(1, 7):
+        power = power.dot(near)
+        assert int(walk.walk_exact(graph, k).first()[0]) == power.sum()
+
+
+def test_clipped_walks_in_columns_equal_single_runs(spark, graph, monkeypatch):
+    """Every run repeated all arcs; now a run is a column, in groups."""
+    monkeypatch.setattr(baselines, "TOGETHER", 3)
+    runs = make_runs(spark, [1.0, 4.0], reps=4)
+    got = {r["run"]: r for r in baselines.walk_clipped(graph, runs, 3).collect()}
+    assert sorted(got) == list(range(8))
+    one = baselines.walk_clipped(graph, runs.where("run = 5"), 3).first()
+    assert got[5]["estimate"] == pytest.approx(one["estimate"], rel=1e-9) and got[5]["top"] == one["top"] and one["rounds"] == 4
